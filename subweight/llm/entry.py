@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table
+from . import quality_rules
 from .simhash import near_duplicates
 from .substring_dedup import remove_repeats
 
@@ -20,8 +21,13 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.verdicts(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 QUERIES = {
     "op3_substring_dedup": op3_substring_dedup,
+    "op8_quality_rules": op8_quality_rules,
     "op9_simhash": op9_simhash,
 }
 
@@ -29,6 +35,7 @@ QUERIES = {
 _WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
 
 ORACLES = {
+    "op8_quality_rules": quality_rules.oracle(),
     "op3_substring_dedup": rf"""
         WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
         p AS (SELECT doc_id, len(w) AS n, w, unnest(range(1, greatest(len(w) - 11, 1))) AS i FROM d),
