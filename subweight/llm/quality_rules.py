@@ -20,7 +20,7 @@ WINDOW, LEAST_WORDS, MOST_REPEATED = 5, 10, 20
 SYMBOLS = "#*$%&|<>"
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Feature, slack over the upper fence, slack under the lower fence (None: no lower threshold).
-FEATURES = (("symbols", 50, None), ("dup_lines", 300, None), ("repeats", 200, None), ("length", 20, 20), ("upper", 300, None), ("marks", 50, None))
+FEATURES = (("symbols", 50, None), ("dup_lines", 500, None), ("repeats", 200, None), ("length", 20, 20), ("upper", 300, None), ("marks", 50, None))
 #: Fewest rows of a group with thresholds of its own; interquartile ranges to the fences.
 LEAST_ROWS, FENCE = 40, 3
 #: Groups up to which thresholds are broadcast (about 100 bytes each); above, they are joined with salt.
