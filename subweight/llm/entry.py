@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table
-from . import quality_rules
+from . import bpe, quality_rules, tiff
 from .simhash import near_duplicates
 from .substring_dedup import remove_repeats
 
@@ -21,12 +21,40 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op5_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
+    stored = tiff.store_text(table(spark, sf_dir, "documents"))
+    stored = stored.select("id", "n_bytes", F.length("media").cast("long").alias("media_bytes"), F.sha2("media", 256).alias("media_sha256"), "media")
+    pages = tiff.tiff_pages(stored)
+    return pages.select(
+        F.col("id").alias("doc_id"),
+        "n_bytes",
+        F.length("pixels").cast("long").alias("payload_bytes"),
+        F.sha2("pixels", 256).alias("payload_sha256"),
+        F.crc32(F.expr("substring(pixels, -32)")).alias("tail_crc32"),
+        "media_bytes",
+        "media_sha256",
+        "feature",
+    )
+
+
+def op6_byte_bpe(spark: SparkSession, sf_dir: str, vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:
+    import public_tokenizers
+
+    with open(public_tokenizers.path(vocabulary), "rb") as f:
+        lines = f.read()
+    ids = bpe.encode(table(spark, sf_dir, "documents").select("doc_id", "text"), lines, public_tokenizers.PATTERN)
+    both = bpe.decode(ids.drop("text"), lines, public_tokenizers.PATTERN)
+    return both.select("doc_id", (F.length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.verdicts(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
 
 
 QUERIES = {
     "op3_substring_dedup": op3_substring_dedup,
+    "op5_tiff": op5_tiff,
+    "op6_byte_bpe": op6_byte_bpe,
     "op8_quality_rules": op8_quality_rules,
     "op9_simhash": op9_simhash,
 }
