@@ -6,11 +6,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table
-from . import bpe, quality_rules, tiff
+from . import bpe, chat, packing, quality_rules, tiff, url_filters
 from .simhash import near_duplicates
 from .substring_dedup import remove_repeats
 
 
+def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filters.judge_urls(table(spark, sf_dir, "pages")).withColumnRenamed("id", "page_id")
+
+
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"), min_words=13)
     return out.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
@@ -21,6 +25,10 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op4_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.render(table(spark, sf_dir, "conversations")).withColumnRenamed("id", "conv_id")
+
+
 def op5_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
     stored = tiff.store_text(table(spark, sf_dir, "documents"))
     stored = stored.select("id", "n_bytes", F.length("media").cast("long").alias("media_bytes"), F.sha2("media", 256).alias("media_sha256"), "media")
@@ -47,14 +55,21 @@ def op6_byte_bpe(spark: SparkSession, sf_dir: str, vocabulary: str = "byte_bpe_5
     return both.select("doc_id", (F.length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
+def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(table(spark, sf_dir, "documents"), capacity=2048)
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.verdicts(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
 
 
 QUERIES = {
+    "op2_url_filters": op2_url_filters,
     "op3_substring_dedup": op3_substring_dedup,
+    "op4_chat_formatting": op4_chat_formatting,
     "op5_tiff": op5_tiff,
     "op6_byte_bpe": op6_byte_bpe,
+    "op7_best_fit_packing": op7_best_fit_packing,
     "op8_quality_rules": op8_quality_rules,
     "op9_simhash": op9_simhash,
 }
@@ -63,6 +78,7 @@ QUERIES = {
 _WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
 
 ORACLES = {
+    "op4_chat_formatting": chat.ORACLE,
     "op8_quality_rules": quality_rules.oracle(),
     "op3_substring_dedup": rf"""
         WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
