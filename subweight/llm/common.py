@@ -125,13 +125,18 @@ ANSWER_SCHEMA = "block_id long, level int, bucket int, answer binary"
 ANSWER_ARROW = pa.schema([("block_id", pa.int64()), ("level", pa.int32()), ("bucket", pa.int32()), ("answer", pa.binary())])
 
 
-def ask(questions: DataFrame, answer: Callable[[list[bytes], list[bytes]], list[bytes | None]]) -> DataFrame:
-    """Bring the questions of a bucket together; ``answer`` gets the blobs of all blocks and returns one for each (None: nothing to say)."""
+def ask(questions: DataFrame, answer: Callable[[list[bytes], list[bytes]], list[bytes | None] | tuple[list[bytes | None], bytes]]) -> DataFrame:
+    """Bring the questions of a bucket together; ``answer`` gets the blobs of all blocks and returns one for each (None: nothing to say).
+
+    If it returns a summary of the bucket too, that comes as the answer to a block -1.
+    """
 
     def run(group: pa.Table) -> pa.Table:
         got = group.to_pydict()
         told = answer(got["keys"], got["extra"])
-        rows = [(b, v, k, x) for b, v, k, x in zip(got["block_id"], got["level"], got["bucket"], told, strict=True) if x is not None]
+        told, summary = told if isinstance(told, tuple) else (told, None)
+        rows = [(-1, got["level"][0], got["bucket"][0], summary)] if summary is not None else []
+        rows += [(b, v, k, x) for b, v, k, x in zip(got["block_id"], got["level"], got["bucket"], told, strict=True) if x is not None]
         return pa.Table.from_batches([arrow_rows(rows, ANSWER_ARROW)])
 
     return durable(questions.groupBy("bucket").applyInArrow(run, ANSWER_SCHEMA))

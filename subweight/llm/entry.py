@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table
-from . import bpe, chat, packing, quality_classifier, quality_rules, tiff, url_filters
+from . import bpe, chat, lm, packing, quality_classifier, quality_rules, tiff, url_filters
 from .simhash import near_duplicates
 from .substring_dedup import remove_repeats
 
@@ -70,6 +70,10 @@ def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.verdicts(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
 
 
+def op10_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm.score_texts(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 QUERIES = {
     "op1_quality_classifier": op1_quality_classifier,
     "op2_url_filters": op2_url_filters,
@@ -80,6 +84,7 @@ QUERIES = {
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_quality_rules": op8_quality_rules,
     "op9_simhash": op9_simhash,
+    "op10_lm_scoring": op10_lm_scoring,
 }
 
 #: DuckDB: the words of a text, and the SQL for the queries that have some.
