@@ -48,12 +48,19 @@ def _repeat_words(hashes: Column, n: Column) -> Column:
     return F.when(F.size(F.array_distinct(window)) == F.size(window), F.lit(0)).otherwise(covered(places)).cast("long")
 
 
+def _once(docs: DataFrame, name: str, value: Column) -> DataFrame:
+    """``docs`` with a column that is worked out once: a generator of one row, which the optimizer does not merge with what reads it."""
+    return docs.select("*", F.explode(F.array(value)).alias(name))
+
+
 def with_stats(docs: DataFrame, text_column: str = "text") -> DataFrame:
     """``docs`` with one more column ``__q``: a struct of the counts and features of each row."""
     text = F.coalesce(F.col(text_column), F.lit(""))
-    staged = docs.withColumn("__w", word_array(text_column)).withColumn("__h", F.transform("__w", lambda w: F.xxhash64(w))).withColumn("__l", F.filter(F.split(text, "\n", -1), lambda x: F.translate(x, SEPARATORS, "") != ""))
-    n = F.size("__w")
-    counts = staged.withColumn(
+    staged = _once(docs, "__h", F.transform(word_array(text_column), lambda w: F.xxhash64(w)))
+    staged = _once(staged, "__l", F.filter(F.split(text, "\n", -1), lambda x: F.translate(x, SEPARATORS, "") != ""))
+    n = F.size("__h")
+    counts = _once(
+        staged,
         "__q",
         F.struct(
             n.cast("long").alias("n_words"),
@@ -65,20 +72,21 @@ def with_stats(docs: DataFrame, text_column: str = "text") -> DataFrame:
             _count_of(text, UPPER).alias("n_upper"),
             _count_of(text, "!?").alias("n_marks"),
         ),
-    ).drop("__w", "__h", "__l")
+    ).drop("__h", "__l")
 
     def share(a: str, b: str, by: int = 1000) -> Column:
-        return F.floor(F.col(f"__q.{a}") * by / F.greatest(F.col(f"__q.{b}"), F.lit(1)))
+        return F.floor(F.col(f"__c.{a}") * by / F.greatest(F.col(f"__c.{b}"), F.lit(1)))
 
-    words, repeated = F.col("__q.n_words"), F.col("__q.n_repeat_words")
-    return counts.withColumn(
+    words, repeated = F.col("__c.n_words"), F.col("__c.n_repeat_words")
+    return _once(
+        counts.withColumnRenamed("__q", "__c"),
         "__q",
         F.struct(
-            "__q.*",
+            "__c.*",
             ((words < LEAST_WORDS) | (100 * repeated > MOST_REPEATED * words)).alias("base_failed"),
             F.array(share("n_symbols", "word_chars"), share("n_dup_lines", "n_lines"), share("n_repeat_words", "n_words"), share("word_chars", "n_words", 10), share("n_upper", "word_chars"), share("n_marks", "word_chars")).alias("features"),
         ),
-    )
+    ).drop("__c")
 
 
 def sketch(stats: DataFrame) -> DataFrame:
