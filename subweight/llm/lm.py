@@ -31,7 +31,10 @@ END, START = CELLS - 1, CELLS
 SHORT = 4
 #: Rows of the hashed tables for classes and for members.
 CLASS_ROWS, MEMBER_ROWS = 1 << 12, 1 << 14
-ROUNDS, BATCH, RATE = 3, 8192, 0.15
+#: Rounds, tokens of a gradient step, rate of the steps; tokens scored at a time.
+ROUNDS, BATCH, RATE, STEP = 3, 65536, 0.3, 1 << 19
+#: What the squares of gradients start from: larger, and rarely used weights move less.
+DAMPING = 1.0
 SEED = 77
 WIDTH = max(CLASSES, MEMBERS)
 
@@ -65,16 +68,27 @@ class Tokens:
         self.cells = np.full(len(self.text), END)
         self.cells[self.at] = cells_of(self.words, self.hashes)
 
-    def contexts(self) -> tuple[np.ndarray, np.ndarray]:
-        """Rows of features (tokens, 4) for the class table, and the hashes for the member table before the class is known."""
+    def contexts(self) -> np.ndarray:
+        """The two cells before every token, as one number."""
         before = np.full((2, len(self.cells)), START)
         for d in (1, 2):
             same = self.text[d:] == self.text[:-d]
             before[d - 1, d:][same] = self.cells[:-d][same]
-        one, two = before.astype(np.uint64)
-        keys = np.stack([one + np.uint64(1 << 20), two + np.uint64(2 << 20), one * np.uint64(CELLS + 1) + two + np.uint64(3 << 20), np.full(len(one), 4 << 20, np.uint64)], axis=1)
-        mixed = mix(keys)
-        return (mixed % np.uint64(CLASS_ROWS)).astype(np.int64), mixed
+        return before[0] * (CELLS + 1) + before[1]
+
+
+def _ranked(values: np.ndarray, below: int) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct values, in order, and each value's place among them; by marking, as values are under a known bound."""
+    there = np.zeros(below, bool)
+    there[values] = True
+    place = np.cumsum(there, dtype=np.int32) - 1
+    return np.flatnonzero(there), place[values]
+
+
+def _features(context: np.ndarray) -> np.ndarray:
+    """Hashes of the features of contexts: the cell before, the one before that alone, and both."""
+    one, two = np.divmod(context.astype(np.uint64), np.uint64(CELLS + 1))
+    return mix(np.stack([one + np.uint64(1 << 20), two + np.uint64(2 << 20), context.astype(np.uint64) + np.uint64(3 << 20)], axis=1))
 
 
 def _softmax(x: np.ndarray) -> np.ndarray:
@@ -84,62 +98,90 @@ def _softmax(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _logits(table: np.ndarray, rows: np.ndarray) -> np.ndarray:
-    x = table[rows[:, 0]]
-    for j in range(1, rows.shape[1]):
-        x += table[rows[:, j]]
-    return x
+def _class_rows(mixed: np.ndarray) -> np.ndarray:
+    return (mixed % np.uint64(CLASS_ROWS)).astype(np.uint16)
 
 
 def _member_rows(mixed: np.ndarray, classes: np.ndarray) -> np.ndarray:
-    return (mix(mixed + classes.astype(np.uint64)[:, None]) % np.uint64(MEMBER_ROWS)).astype(np.int64)
+    return (mix(mixed + classes.astype(np.uint64)[:, None]) % np.uint64(MEMBER_ROWS)).astype(np.uint16)
 
 
-def new_weights() -> list[np.ndarray]:
-    return [np.zeros((CLASS_ROWS, CLASSES), np.float32), np.zeros((MEMBER_ROWS, MEMBERS), np.float32)]
+def new_weights(of_cell: np.ndarray) -> list[np.ndarray]:
+    """Tables of class and member weights; after the hashed rows, the constants: one row, and one for each class, that give the cells their training shares."""
+    members = of_cell[0].reshape(CLASSES, MEMBERS) + 0.5
+    return [np.concatenate([np.zeros((rows, part.shape[1])), np.log(part / part.sum(axis=1, keepdims=True))]).astype(np.float32) for rows, part in ((CLASS_ROWS, members.sum(axis=1)[None]), (MEMBER_ROWS, members))]
+
+
+def _logits(table: np.ndarray, rows: np.ndarray, constant: np.ndarray) -> np.ndarray:
+    x = table[constant]
+    for j in range(rows.shape[1]):
+        x += table[rows[:, j]]
+    return x
 
 
 def log_cells(tokens: Tokens, weights: list[np.ndarray]) -> np.ndarray:
-    """Natural log of P(cell | context) of every token."""
-    rows, mixed = tokens.contexts()
-    out = np.zeros(len(tokens.cells))
-    for a in range(0, len(out), BATCH):
-        s = slice(a, a + BATCH)
-        kind, member = tokens.cells[s] // MEMBERS, tokens.cells[s] % MEMBERS
-        n = np.arange(len(kind))
-        p = _softmax(_logits(weights[0], rows[s]))[n, kind]
-        q = _softmax(_logits(weights[1], _member_rows(mixed[s], kind)))[n, member]
-        out[s] = np.log(np.maximum(p, 1e-30)) + np.log(np.maximum(q, 1e-30))
+    """Natural log of P(cell | context) of every token; each distinct context is worked out once."""
+    context = tokens.contexts()
+    out = np.zeros(len(context))
+    for a in range(0, len(out), STEP):
+        s = slice(a, a + STEP)
+        kind, member = np.divmod(tokens.cells[s], MEMBERS)
+        distinct, index = _ranked(context[s], (CELLS + 1) ** 2)
+        mixed = _features(distinct)
+        p = _softmax(_logits(weights[0], _class_rows(mixed), np.full(len(distinct), CLASS_ROWS)))
+        pairs, at = _ranked(kind * len(distinct) + index, CLASSES * len(distinct))
+        own, of = np.divmod(pairs, len(distinct))
+        q = _softmax(_logits(weights[1], _member_rows(mixed[of], own), MEMBER_ROWS + own))
+        out[s] = np.log(np.maximum(p[index, kind], 1e-30)) + np.log(np.maximum(q[at, member], 1e-30))
     return out
 
 
 class Trainer:
-    """Gradient steps of one task, with steps that shrink by what each weight has moved."""
+    """Gradient steps of one task, with steps that shrink by what each weight has moved.
+
+    Tokens of a batch with the same context have the same probabilities, so a step works on distinct
+    contexts with counts.
+    """
 
     def __init__(self, weights: list[np.ndarray]):
         self.weights = [w.copy() for w in weights]
-        self.squares = [np.full(w.shape, 1e-2, np.float32) for w in weights]
+        self.squares = [np.full(w.shape, DAMPING, np.float32) for w in weights]
         self.used = [np.zeros(len(w), np.int64) for w in weights]
 
-    def _step(self, t: int, rows: np.ndarray, target: np.ndarray) -> None:
-        p = _softmax(_logits(self.weights[t], rows))
-        p[np.arange(len(p)), target] -= 1
-        order = np.argsort(rows.ravel(), kind="stable")
-        sorted_rows = rows.ravel()[order]
-        first = np.flatnonzero(np.diff(sorted_rows, prepend=-1))
-        touched, n = sorted_rows[first], np.diff(np.append(first, len(sorted_rows)))
-        g = np.add.reduceat(p[order // rows.shape[1]], first, axis=0) / np.sqrt(n)[:, None].astype(np.float32)
-        self.squares[t][touched] += g * g
-        self.weights[t][touched] -= RATE * g / np.sqrt(self.squares[t][touched])
-        self.used[t][touched] += n
+    def _move(self, t: int, rows: np.ndarray, g: np.ndarray, n: np.ndarray) -> None:
+        g = (g / np.sqrt(n)[:, None]).astype(np.float32)
+        square = self.squares[t][rows] + g * g
+        self.squares[t][rows] = square
+        self.weights[t][rows] -= RATE * g / np.sqrt(square)
+        self.used[t][rows] += n
+
+    def _step(self, t: int, rows: np.ndarray, constant: np.ndarray, index: np.ndarray, target: np.ndarray) -> None:
+        """Contexts come sorted by class, so that those of one constant stand together."""
+        size = self.weights[t].shape[1]
+        g = _softmax(_logits(self.weights[t], rows, constant))
+        n = np.bincount(index, minlength=len(rows))
+        g *= n[:, None].astype(np.float32)
+        np.subtract.at(g.ravel(), index * size + target, np.float32(1))
+        edges = np.flatnonzero(np.concatenate([[True], constant[1:] != constant[:-1]]))
+        ends = np.append(edges[1:], len(constant))
+        self._move(t, constant[edges], np.stack([g[x:y].sum(axis=0) for x, y in zip(edges, ends, strict=True)]), np.add.reduceat(n, edges))
+        for own in rows.T:
+            order = np.argsort(own, kind="stable")
+            placed = own[order]
+            first = np.flatnonzero(np.concatenate([[True], placed[1:] != placed[:-1]]))
+            self._move(t, placed[first].astype(np.int64), np.add.reduceat(g[order], first, axis=0), np.add.reduceat(n[order], first))
 
     def learn(self, tokens: Tokens) -> None:
-        rows, mixed = tokens.contexts()
-        for a in range(0, len(tokens.cells), BATCH):
+        context = tokens.contexts()
+        for a in range(0, len(context), BATCH):
             s = slice(a, a + BATCH)
-            kind = tokens.cells[s] // MEMBERS
-            self._step(0, rows[s], kind)
-            self._step(1, _member_rows(mixed[s], kind), tokens.cells[s] % MEMBERS)
+            kind, member = np.divmod(tokens.cells[s], MEMBERS)
+            distinct, index = _ranked(context[s], (CELLS + 1) ** 2)
+            mixed = _features(distinct)
+            self._step(0, _class_rows(mixed), np.full(len(distinct), CLASS_ROWS), index, kind)
+            pairs, at = _ranked(kind * len(distinct) + index, CLASSES * len(distinct))
+            own, of = np.divmod(pairs, len(distinct))
+            self._step(1, _member_rows(mixed[of], own), MEMBER_ROWS + own, at, member)
 
 
 def _block(payload: bytes) -> tuple[np.ndarray, np.ndarray, list[bytes | None]]:
@@ -147,9 +189,9 @@ def _block(payload: bytes) -> tuple[np.ndarray, np.ndarray, list[bytes | None]]:
     return batch.column("id"), batch.column("held").to_numpy(zero_copy_only=False), batch.column("text").cast(pa.binary()).to_pylist()
 
 
-def train(blocks: DataFrame, rounds: int = ROUNDS) -> list[np.ndarray]:
+def train(blocks: DataFrame, of_cell: np.ndarray, rounds: int = ROUNDS) -> list[np.ndarray]:
     """Weights after all rounds over the training texts of all blocks."""
-    weights = new_weights()
+    weights = new_weights(of_cell)
     fields = ", ".join(f"d{i} double" for i in range(WIDTH))
     names = ["t", "row", "n", *[f"d{i}" for i in range(WIDTH)]]
     for turn in range(rounds):
@@ -259,7 +301,7 @@ def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "
     rows = docs.select(F.col(id_column).alias("id"), F.coalesce(held, F.lit(False)).alias("held"), F.col(text_column).cast("string").alias("text"))
     blocks = to_blocks(rows)
     answers, of_cell = count_words(blocks)
-    weights = train(blocks, rounds)
+    weights = train(blocks, of_cell, rounds)
     n, v = int(of_cell[0].sum()), int(of_cell[1].sum())
     buckets = bucket_count(blocks)
     sent = docs.sparkSession.sparkContext.broadcast((weights, of_cell))
