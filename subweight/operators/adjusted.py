@@ -63,7 +63,7 @@ def prefix_conditioned(sketch: Sketch, total: float | None = None) -> DataFrame:
 
     def term(m: Column) -> Column:
         others = F.when(m < F.col("pos") - 1, F.get("prefix", m)).otherwise(F.get("prefix", m + 1) - w)
-        return F.log1p(-w / (F.col("total_weight") - others))
+        return F.log1p(-w / F.nullif(F.col("total_weight") - others, F.lit(0.0)))
 
     log = F.aggregate(F.sequence(F.lit(0), n - 1), F.lit(0.0), lambda acc, m: acc + term(m))
     return rows.withColumn("adj_weight", F.when(F.col("exact"), w).otherwise(w / -F.expm1(log))).drop("upto", "prefix")
@@ -152,7 +152,7 @@ def ordered_average(sketch: Sketch, total: float | None = None, draws: int = 200
     whole = Window.partitionBy("sketch_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     run = Window.partitionBy("sketch_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
     rows = flat.withColumn("upto", F.sum("weight").over(run)).withColumn("rates", F.transform(F.concat(F.array(F.lit(0.0)), F.collect_list("upto").over(whole)), lambda s: F.col("total_weight") - s))
-    gaps = lambda d: F.aggregate(F.transform("rates", lambda r, j: -F.log(hash_uniform(seed, "sketch_id", d, j)) / r), F.lit(0.0), lambda a, x: a + x)
+    gaps = lambda d: F.aggregate(F.transform("rates", lambda r, j: -F.log(hash_uniform(seed, "sketch_id", d, j)) / F.nullif(r, F.lit(0.0))), F.lit(0.0), lambda a, x: a + x)
     taus = rows.filter("pos = 1").select("sketch_id", F.transform(F.sequence(F.lit(1), F.lit(draws)), gaps).alias("taus"))
     mean = F.aggregate("taus", F.lit(0.0), lambda a, t: a + F.col("weight") / -F.expm1(-F.col("weight") * t)) / draws
     return rows.join(taus, "sketch_id").withColumn("adj_weight", F.when(F.col("exact"), F.col("weight")).otherwise(mean)).drop("upto", "rates", "taus")
