@@ -166,10 +166,14 @@ class Trainer:
         ends = np.append(edges[1:], len(constant))
         self._move(t, constant[edges], np.stack([g[x:y].sum(axis=0) for x, y in zip(edges, ends, strict=True)]), np.add.reduceat(n, edges))
         for own in rows.T:
-            order = np.argsort(own, kind="stable")
-            placed = own[order]
-            first = np.flatnonzero(np.concatenate([[True], placed[1:] != placed[:-1]]))
-            self._move(t, placed[first].astype(np.int64), np.add.reduceat(g[order], first, axis=0), np.add.reduceat(n[order], first))
+            first = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
+            if len(first) > len(own) // 2 or len(np.unique(own[first])) < len(first):  # equal rows stand apart
+                order = np.argsort(own, kind="stable")
+                placed, gs, ns = own[order], g[order], n[order]
+                first = np.flatnonzero(np.concatenate([[True], placed[1:] != placed[:-1]]))
+            else:
+                placed, gs, ns = own, g, n
+            self._move(t, placed[first].astype(np.int64), np.add.reduceat(gs, first, axis=0), np.add.reduceat(ns, first))
 
     def learn(self, tokens: Tokens) -> None:
         context = tokens.contexts()
@@ -229,11 +233,16 @@ def _large(blob: bytes) -> np.ndarray:
     return np.frombuffer(blob, f"u{blob[0]}", offset=1).astype(np.int64)
 
 
-def _distinct(tokens: Tokens) -> tuple[np.ndarray, list[bytes], np.ndarray]:
-    """Sorted hashes of the distinct words, the words, and each word's place among them."""
-    keys, first, index = np.unique(tokens.hashes, return_index=True, return_inverse=True)
-    w = tokens.words
-    return keys, [w.buffer[s:e] for s, e in zip(w.starts[first].tolist(), w.ends[first].tolist(), strict=True)], index
+def _distinct(tokens: Tokens) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted hashes of the distinct words, and each word's place among them."""
+    return np.unique(tokens.hashes, return_inverse=True)
+
+
+def _spelt(tokens: Tokens, n: int, index: np.ndarray) -> list[bytes]:
+    """The distinct words, in the order of their hashes."""
+    w, at = tokens.words, np.empty(n, np.int64)
+    at[index] = np.arange(len(index))
+    return [w.buffer[s:e] for s, e in zip(w.starts[at].tolist(), w.ends[at].tolist(), strict=True)]
 
 
 def answer_counts(keys: list[bytes], extras: list[bytes]) -> tuple[list[bytes], bytes]:
@@ -261,7 +270,8 @@ def count_words(blocks: DataFrame) -> tuple[DataFrame, np.ndarray]:
             for row in batch.to_pylist():
                 _, held, texts = _block(row["payload"])
                 tokens = Tokens(texts)
-                keys, words, index = _distinct(tokens)
+                keys, index = _distinct(tokens)
+                words = _spelt(tokens, len(keys), index)
                 learnt = np.bincount(index[~held[tokens.words.text]], minlength=len(keys)) if len(keys) else np.zeros(0, np.int64)
                 bounds, own = split_buckets(keys, buckets)
                 rows = [(int(b), 0, row["block_id"], b" ".join(words[bounds[k] : bounds[k + 1]]), _small(learnt[bounds[k] : bounds[k + 1]])) for k, b in enumerate(own)]
@@ -313,7 +323,7 @@ def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "
             for row in batch.to_pylist():
                 ids, held, texts = _block(row["payload"])
                 tokens = Tokens(texts)
-                keys, _, index = _distinct(tokens)
+                keys, index = _distinct(tokens)
                 counts = np.zeros(len(keys), np.int64)
                 told = {x["bucket"]: x["answer"] for x in row["answers"] or []}
                 bounds, own = split_buckets(keys, buckets)
