@@ -7,6 +7,11 @@ differ in up to 2 bits share a nearby codeword (that of a vector half way betwee
 4 differing bits, two of the three segments hold at most 2 each, so two linked fingerprints share a
 pair of nearby codewords of the same two segments: about 3 x 28 keys a fingerprint.
 
+For near copies of a given similarity, which differ in more bits than that, a fingerprint of 256 bits
+is made from four hashes of each shingle, and the distinct shingles are dealt by hash to parts of
+about eight (and of about four): texts that share most shingles share some part whole.  Texts with
+an equal part are compared by their 256 bits.
+
 Only distinct fingerprints get keys.  Rows of a key are brought together by sorting; within a run
 each fingerprint is compared with those not yet reached, so a large group costs its size times its
 number of separate pieces, and gives a tree of links, never all its pairs.
@@ -14,6 +19,7 @@ number of separate pieces, and gives a tree of links, never all its pairs.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, utf8_columns
+from .common import durable, mix, utf8_columns
 from .components import components
 
 #: Fixed value: a generator polynomial of the binary Golay code of length 23 (x^11 + x^9 + x^7 + x^6 + x^5 + x + 1).
@@ -33,13 +39,17 @@ FINE_ABOVE = 50_000_000
 SEED = 42
 
 
-def fingerprint(text: bytes | None, shingle: int = 4) -> int:
-    """Majority vote of the XXH64 of all shingles of words, as a signed 64-bit integer; 0 without words."""
+#: Parts of a text that make keys at each of two sizes; shingles in a part, at least, at the larger size.
+PARTS, PART_SIZE, WIDE = 64, 8, 4
+
+
+def shingle_hashes(text: bytes | None, shingle: int) -> np.ndarray:
+    """XXH64 of all shingles of the words of a text, A-Z lower-cased; of fewer words, of all together."""
     import xxhash
 
     words = text.lower().split() if text else []
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     normal = b" ".join(words)
     if len(words) < shingle:
         hashes = np.array([xxhash.xxh64_intdigest(normal, SEED)], np.uint64)
@@ -49,6 +59,11 @@ def fingerprint(text: bytes | None, shingle: int = 4) -> int:
         ends = [*gaps.tolist(), len(normal)]
         digest = xxhash.xxh64_intdigest
         hashes = np.array([digest(normal[s:e], SEED) for s, e in zip(starts[: len(words) - shingle + 1], ends[shingle - 1 :], strict=True)], np.uint64)
+    return hashes
+
+
+def vote(hashes: np.ndarray) -> int:
+    """Each bit by majority, as a signed 64-bit integer; 0 without hashes."""
     ones = np.zeros(64, np.int64)
     for a in range(0, len(hashes), 1 << 16):
         part = hashes[a : a + (1 << 16)]
@@ -56,6 +71,28 @@ def fingerprint(text: bytes | None, shingle: int = 4) -> int:
     return int(np.packbits(2 * ones > len(hashes), bitorder="little").view(np.int64)[0])
 
 
+def fingerprint(text: bytes | None, shingle: int = 4) -> int:
+    """Majority vote of the XXH64 of all shingles of words; 0 without words."""
+    return vote(shingle_hashes(text, shingle))
+
+
+def part_keys(hashes: np.ndarray) -> np.ndarray:
+    """Hashes of the sets of distinct shingles in parts: of 2^k and 2^(k+1) parts, so that parts have about 8 to 16 and 4 to 8, the first PARTS of each."""
+    own = np.unique(hashes)
+    if not len(own):
+        return own
+    mixed, out = mix(own), []
+    scale = max(0, (len(own) // PART_SIZE).bit_length() - 1)
+    for k in (scale, scale + 1):
+        part = (mixed >> np.uint64(64 - k)).astype(np.int64) if k else np.zeros(len(own), np.int64)
+        kept = part < PARTS
+        sums = np.zeros(min(PARTS, 1 << k), np.uint64)
+        np.add.at(sums, part[kept], mix(own[kept] ^ np.uint64(0xA5A5A5A5)))
+        full = np.bincount(part[kept], minlength=len(sums)) > 0
+        out.append(mix(sums[full] + np.uint64(k)))
+    return np.concatenate(out)
+
+
 def fingerprints(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 4) -> DataFrame:
     """(id, fp) of every row; computed once and kept."""
 
@@ -68,6 +105,82 @@ def fingerprints(docs: DataFrame, id_column: str = "doc_id", text_column: str =
     return durable(rows.mapInArrow(run, "id long, fp long"))
 
 
+def views(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 5) -> DataFrame:
+    """(id, fp, w0 to w3, parts) of every row: the fingerprint, the one of 256 bits, and the keys of the parts; computed once and kept."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for a in range(0, batch.num_rows, 1024):
+                rows = batch.slice(a, 1024)
+                fps, wide, parts = [], [[] for _ in range(WIDE)], []
+                for t in utf8_columns(rows, "text"):
+                    h = shingle_hashes(t, shingle)
+                    fps.append(vote(h))
+                    for i in range(WIDE):
+                        wide[i].append(vote(mix(h + np.uint64(i + 1))))
+                    parts.append(part_keys(h).tobytes())
+                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(fps, pa.int64()), *[pa.array(w, pa.int64()) for w in wide], pa.array(parts, pa.binary())], names=["id", "fp", *[f"w{i}" for i in range(WIDE)], "parts"])
+
+    rows = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).cast("string").alias("text"))
+    return durable(rows.mapInArrow(run, f"id long, fp long, {', '.join(f'w{i} long' for i in range(WIDE))}, parts binary"))
+
+
+def most_wide_bits(similarity: float) -> int:
+    """Bits of the 256 in which texts of that share of common shingles may differ: the mean by the angle between their counts, and one and a half deviations."""
+    p = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    n = 64 * WIDE
+    return math.floor(n * p + 1.5 * math.sqrt(n * p * (1 - p)))
+
+
+def similar_links(nodes: DataFrame, similarity: float) -> DataFrame:
+    """(a, b) between nodes (node, w0 to w3, parts) that have a part in common and differ in few enough of their 256 bits.
+
+    In a run of equal parts each node is paired with one, picked by a hash of part and node: another
+    one in each run, and never all pairs of a run.
+    """
+
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            node = batch.column(0).to_numpy()
+            keys = [np.frombuffer(x, np.int64) for x in batch.column(1).to_pylist()]
+            sizes = [len(k) for k in keys]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*keys, np.zeros(0, np.int64)])), pa.array(np.repeat(node, sizes))], names=["key", "node"])
+
+    def pair(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for key, node in whole_runs(batches, 2):
+            order = np.lexsort((mix(key.view(np.uint64) + mix(node.view(np.uint64))), key))
+            key, node = key[order], node[order]
+            first = np.concatenate([[True], key[1:] != key[:-1]])
+            head = node[np.maximum.accumulate(np.where(first, np.arange(len(key)), 0))]
+            other = ~first & (head != node)
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(head, node)[other]), pa.array(np.maximum(head, node)[other])], names=["a", "b"])
+
+    parts = int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = nodes.select("node", "parts").mapInArrow(keyed, "key long, node long").repartition(parts, "key").sortWithinPartitions("key")
+    pairs = durable(rows.mapInArrow(pair, "a long, b long").distinct())
+    side = lambda name: nodes.select(F.col("node").alias(name), *[F.col(f"w{i}").alias(f"{name}{i}") for i in range(WIDE)])
+    both = pairs.join(side("x"), F.col("a") == F.col("x")).join(side("y"), F.col("b") == F.col("y"))
+    differ = sum((F.bit_count(F.col(f"x{i}").bitwiseXOR(F.col(f"y{i}"))) for i in range(1, WIDE)), F.bit_count(F.col("x0").bitwiseXOR(F.col("y0"))))
+    return both.filter(differ <= most_wide_bits(similarity)).select("a", "b")
+
+
+def whole_runs(batches: Iterator[pa.RecordBatch], columns: int) -> Iterator[list[np.ndarray]]:
+    """Rows sorted by their first column, in pieces that do not cut a run of equal keys."""
+    held: list[list[np.ndarray]] = []
+    for batch in batches:
+        now = [batch.column(i).to_numpy() for i in range(columns)]
+        if not len(now[0]):
+            continue
+        cut = int(np.searchsorted(now[0], now[0][-1]))
+        if cut == 0 and (not held or held[-1][0][-1] == now[0][0]):
+            held.append(now)
+            continue
+        yield [np.concatenate([*[h[i] for h in held], now[i][:cut]]) for i in range(columns)]
+        held = [[c[cut:] for c in now]]
+    if held:
+        yield [np.concatenate([h[i] for h in held]) for i in range(columns)]
+
+
 class Golay:
     """Nearby codewords of 23-bit vectors, by syndromes."""
 
@@ -177,50 +290,42 @@ def near_links(nodes: DataFrame, most: int = MOST_BITS) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(fp[row]), pa.array(node[row])], names=["key", "fp", "node"])
 
     def link(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[list[np.ndarray]] = []
-
-        def done(columns: list[np.ndarray]) -> pa.RecordBatch:
-            pairs = _linked(columns[0], columns[1].view(np.uint64), columns[2], most)
-            return pa.RecordBatch.from_arrays([pa.array(pairs.min(axis=1, initial=np.iinfo(np.int64).max)), pa.array(pairs.max(axis=1, initial=np.iinfo(np.int64).min))], names=["a", "b"])
-
-        for batch in batches:
-            columns = [batch.column(i).to_numpy() for i in range(3)]
-            cut = int(np.searchsorted(columns[0], columns[0][-1])) if len(columns[0]) else 0
-            if not len(columns[0]) or (cut == 0 and (not held or held[-1][0][-1] == columns[0][0])):
-                held += [columns] if len(columns[0]) else []
-                continue
-            yield done([np.concatenate([*[h[i] for h in held], columns[i][:cut]]) for i in range(3)])
-            held = [[c[cut:] for c in columns]]
-        if held:
-            yield done([np.concatenate([h[i] for h in held]) for i in range(3)])
+        for key, fp, node in whole_runs(batches, 3):
+            pairs = _linked(key, fp.view(np.uint64), node, most)
+            yield pa.RecordBatch.from_arrays([pa.array(pairs.min(axis=1, initial=np.iinfo(np.int64).max)), pa.array(pairs.max(axis=1, initial=np.iinfo(np.int64).min))], names=["a", "b"])
 
     parts = int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     keys = nodes.select("fp", "node").mapInArrow(keyed, "key long, fp long, node long")
     return keys.repartition(parts, "key").sortWithinPartitions("key", "fp").mapInArrow(link, "a long, b long").distinct()
 
 
-def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 4, most: int = MOST_BITS) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 4, most: int = MOST_BITS, similarity: float | None = None) -> DataFrame:
     """(id, fp, component_id) of every row: the smallest id that is reached by links of ``most`` or fewer differing bits.
 
+    With ``similarity``, texts with about that share of common shingles, by their 256 bits, are linked too.
+
     Rows of equal fingerprints are linked.  A null text has no words: fingerprint zero, as an empty
     one.  Rows of a null id are returned with a null component and link nothing; repeated rows are
     returned as often as they come; no rows give no rows.
     """
-    rows = fingerprints(docs, id_column, text_column, shingle)
+    rows = fingerprints(docs, id_column, text_column, shingle) if similarity is None else views(docs, id_column, text_column, shingle)
     nodes = durable(rows.filter("id IS NOT NULL").groupBy("fp").agg(F.min("id").alias("node")))
-    found = components(near_links(nodes, most))
+    links = near_links(nodes, most)
+    if similarity is not None:
+        seen = rows.withColumnRenamed("fp", "seen_fp").join(nodes, (F.col("id") == F.col("node")) & (F.col("seen_fp") == F.col("fp"))).dropDuplicates(["node"])
+        links = links.unionByName(similar_links(durable(seen.select("node", *[f"w{i}" for i in range(WIDE)], "parts")), similarity))
+    found = components(links)
     whole = durable(nodes.join(found, "node", "left").select(F.col("fp").alias("of_fp"), F.coalesce("component", "node").alias("component")))
     joined = rows.join(whole, F.col("fp") == F.col("of_fp"), "left")
     return joined.select("id", "fp", F.when(F.col("id").isNotNull(), F.col("component")).alias("component_id"))
 
 
-def drop_near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 5, most: int = MOST_BITS) -> DataFrame:
+def drop_near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 5, most: int = MOST_BITS, similarity: float | None = 0.8) -> DataFrame:
     """The rows of ``docs`` without all but one of each group of near copies: the one of the smallest id stays.
 
-    Four of 64 differing bits stand for a cosine of 0.98 between the shingle counts, well over a
-    similarity of 0.8.  Rows of a null id are not compared, and stay.  Of rows that share an id that
+    Rows of a null id are not compared, and stay.  Of rows that share an id that
     stays, one stays.  No rows give no rows; other columns are carried as they are.
     """
-    keep = durable(near_duplicates(docs, id_column, text_column, shingle, most).filter("id = component_id").select(F.col("id").alias("__kept")).distinct())
+    keep = durable(near_duplicates(docs, id_column, text_column, shingle, most, similarity).filter("id = component_id").select(F.col("id").alias("__kept")).distinct())
     rows = docs.filter(F.col(id_column).isNull()).unionByName(docs.join(keep, F.col(id_column) == F.col("__kept"), "left_semi").dropDuplicates([id_column]))
     return rows

@@ -163,3 +163,41 @@ def test_components(spark):
     assert got == {i: find(i) for i in parent}
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
     assert durable(spark.range(3)).count() == 3
+
+
+def test_similar_texts(spark):
+    """Near copies with some words exchanged are linked, texts that share a long passage are not."""
+    rng = np.random.default_rng(6)
+    words = [f"v{i}" for i in range(3000)]
+    rows, want = [], {}
+    for i in range(30):
+        base = rng.choice(words, int(rng.choice([40, 150, 600, 3000]))).tolist()
+        rows.append((10 * i, " ".join(base)))
+        want[10 * i] = 10 * i
+        for j in (1, 2):
+            copy = list(base)
+            for at in rng.choice(len(base), max(1, len(base) // 100), replace=False):
+                copy[int(at)] = "changed"
+            rows.append((10 * i + j, "\n".join(copy)))
+            want[10 * i + j] = 10 * i
+        passage = base[:60] if len(base) > 100 else []
+        rows.append((10 * i + 5, " ".join(passage + rng.choice(words, 100).tolist())))
+        want[10 * i + 5] = 10 * i + 5
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r.id: r.component_id for r in simhash.near_duplicates(df, shingle=5, similarity=0.8).collect()}
+    assert sum(got[i] != want[i] for i in want) <= 2
+    assert all(got[i] == i for i in want if i % 10 == 5)
+    assert simhash.drop_near_duplicates(df.limit(0)).count() == 0
+    texts = [b"a b c", b"", None]
+    assert [len(simhash.part_keys(simhash.shingle_hashes(t, 5))) for t in texts] == [2, 0, 0]
+
+
+def test_runs_are_not_cut():
+    import pyarrow as pa
+
+    key = np.sort(np.random.default_rng(0).integers(0, 9, 200))
+    batches = [pa.RecordBatch.from_arrays([pa.array(key[a : a + 7]), pa.array(np.arange(a, min(a + 7, 200)))], names=["k", "v"]) for a in range(0, 200, 7)]
+    pieces = list(simhash.whole_runs(iter(batches), 2))
+    assert np.concatenate([p[1] for p in pieces]).tolist() == list(range(200))
+    assert all(a[0][-1] != b[0][0] for a, b in zip(pieces, pieces[1:], strict=False) if len(a[0]) and len(b[0]))
+    assert list(simhash.whole_runs(iter([]), 2)) == []
