@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.ranks import family_of, hash_uniform
-from .sketch import Sketch
+from .sketch import Sketch, family_in
 
 OUT = "sketch_id string, pos int, adj_weight double"
 
@@ -27,11 +27,7 @@ def partitioned_ht(sketch: Sketch, probability: Column) -> DataFrame:
 
 def rank_conditioned(sketch: Sketch, family: str | None = None) -> DataFrame:
     """Given the (k+1)-st rank: weight over the chance of a rank below it.  One division an item, all families."""
-    if family is None:
-        heads = [r["family"] for r in sketch.header.select("family").distinct().limit(2).collect()]
-        if len(heads) > 1:
-            raise ValueError("sketches of several families; name one")
-        family = heads[0] if heads else "exp"
+    family = family or family_in(sketch)
     flat = sketch.flat()
     w, tau = F.col("weight"), F.col("tau")
     value = F.greatest(w, 1 / tau) if family == "priority" else w / family_of(family).cdf(w, tau)
@@ -39,7 +35,7 @@ def rank_conditioned(sketch: Sketch, family: str | None = None) -> DataFrame:
 
 
 def _need_exp(sketch: Sketch, what: str) -> None:
-    if sketch.header.filter("family <> 'exp'").limit(1).count():
+    if family_in(sketch) != "exp":
         raise ValueError(f"{what} needs exponential ranks")
 
 

@@ -21,11 +21,17 @@ from ..functions.ranks import hash_uniform
 from ..functions.solve import bind, bisect, inverse_sum, normal_quantile, peak, sum_of
 from .kmins import KMins
 from .mle import split_sums
-from .sketch import Sketch
+from .sketch import Sketch, family_in
 
 OUT = "sketch_id string, lower double, upper double"
 
 
+def _need(sketch: Sketch, family: str) -> None:
+    """Bounds of one family are not those of another; for others than these two there is no good upper bound, and none is given."""
+    if family_in(sketch) != family:
+        raise ValueError(f"these bounds need {family} ranks")
+
+
 def _finish(df: DataFrame, delta: float, method: str) -> DataFrame:
     return df.select("sketch_id", "lower", "upper", (F.col("upper") - F.col("lower")).alias("width"), F.lit(delta).alias("delta"), F.lit(method).alias("method"))
 
@@ -86,6 +92,7 @@ def _pick(sorted_values: Column, level: float, draws: int) -> Column:
 
 def bounds_total(sketch: Sketch, conditioning: str = "order", solver: str = "normal", delta: float = 0.05, draws: int = 200, seed: str = "bt") -> DataFrame:
     """Bounds on the total weight from an exponential sketch, given the order of its items or (``set``, tightest) only which they are."""
+    _need(sketch, "exp")
     if conditioning == "set":
         return _finish(_numeric(sketch, "true", lambda g: set_bounds(g["weight"].to_numpy(float), float(g["tau"].iloc[0]), delta)), delta, "exp_total_set")
     row = split_sums(sketch).withColumn("sums", F.concat("ins", F.array("sum_in")))
@@ -106,6 +113,7 @@ def bounds_subpop(sketch: Sketch, predicate: Column | str, total: float | bool |
     Without the total: the upper bound has one term more than sampled items and tau, the lower one
     as many terms and the largest sampled rank.
     """
+    _need(sketch, "exp")
     if total is not None and total is not False:
         return _finish(_numeric(sketch, predicate, lambda g: split_bounds(g, None if total is True else float(total), delta, draws, seed)), delta, "exp_subpop_total")
     row = split_sums(sketch, predicate).withColumn("sums", F.concat("ins", F.array("sum_in")))
@@ -123,6 +131,7 @@ def bounds_subpop(sketch: Sketch, predicate: Column | str, total: float | bool |
 
 def bounds_priority(sketch: Sketch, predicate: Column | str = "true", tail: str = "chernoff", delta: float = 0.05) -> DataFrame:
     """Priority ranks: items heavier than 1/tau are certain; the number of light ones bounds their expected number, by Chernoff's bound or the exact Poisson tail."""
+    _need(sketch, "priority")
     if tail == "poisson":
         return _finish(_numeric(sketch, predicate, lambda g: poisson_bounds(g, delta)), delta, "priority_poisson")
     predicate = F.expr(predicate) if isinstance(predicate, str) else predicate
@@ -139,6 +148,7 @@ def bounds_priority(sketch: Sketch, predicate: Column | str = "true", tail: str
 
 def bounds_priority_total(sketch: Sketch, delta: float = 0.05) -> DataFrame:
     """Bounds on the total weight from a priority sketch by the law of the (k+1)-st rank given which items are sampled."""
+    _need(sketch, "priority")
     return _finish(_numeric(sketch, "true", lambda g: priority_total_bounds(g["weight"].to_numpy(float), float(g["tau"].iloc[0]), delta)), delta, "priority_total")
 
 

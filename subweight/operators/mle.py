@@ -70,7 +70,7 @@ def _redrawn(sketch: Sketch, predicate: Column | str | None, redraws: int, seed:
     rank = F.when(F.col("exact"), F.col("rank")).otherwise(redrawn_rank(hash_uniform(seed, "draw", "item_id"), F.col("weight"), F.col("tau")))
     rows = flat.withColumn("rank", rank).withColumn("sketch_id", F.concat_ws("#", "sketch_id", "draw"))
     order = Window.partitionBy("sketch_id").orderBy("rank", "item_id")
-    again = Sketch(rows.withColumn("pos", F.row_number().over(order)).select("sketch_id", "pos", "item_id", "weight", "rank", "u", "attrs", *extra), rows.select("sketch_id", "family", "seed", "k", "n_seen", "total_weight", "tau", "exact").distinct())
+    again = Sketch(rows.withColumn("pos", F.row_number().over(order)).select("sketch_id", "pos", "item_id", "weight", "rank", "u", "attrs", *extra), rows.select("sketch_id", "family", "seed", "k", "n_seen", "total_weight", "tau", "exact").distinct(), sketch.family)
     each = mle_total(again) if predicate is None else mle_subpop(again, predicate, clamp=clamp)
     return each.groupBy(F.substring_index("sketch_id", "#", 1).alias("sketch_id")).agg(F.avg("estimate").alias("estimate"))
 

@@ -75,7 +75,7 @@ def adjust(sketch: Sketch, method: str = "auto") -> DataFrame:
 
 def estimate(sketch: Sketch, predicate: Column | str = "true", method: str = "auto", delta: float = 0.05, solver: str = "quantile") -> DataFrame:
     """(sketch_id, estimate, lower, upper, method) for a predicate over entries and their attributes."""
-    opened = Sketch(attributes(sketch.entries), sketch.header)
+    opened = Sketch(attributes(sketch.entries), sketch.header, sketch.family)
     head = sketch.header.first()
     if method == "ml":
         value = mle.mle_subpop_with_total(opened, predicate) if head["total_weight"] is not None else mle.mle_subpop(opened, predicate)

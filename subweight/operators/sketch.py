@@ -22,6 +22,7 @@ WHOLE = "all"
 class Sketch:
     entries: DataFrame
     header: DataFrame
+    family: str | None = None  # if known without reading the header
 
     def flat(self) -> DataFrame:
         """Entries beside the header of their sketch."""
@@ -76,7 +77,7 @@ def bottomk(df: DataFrame, item: Column | str, weight: Column | str, k: int, fam
     schema = T.StructType([T.StructField("pos", T.IntegerType()), *rows.schema.fields])
     entries = spark.createDataFrame([(i + 1, *r) for i, r in enumerate(got[:k])], schema).select("sketch_id", "pos", "item_id", "weight", "rank", "u", "attrs")
     stats = spark.createDataFrame([(WHOLE, seen.get["n"], seen.get["w"] or 0.0, tau)], "sketch_id string, n_seen long, total_weight double, tau double")
-    return Sketch(entries, _header(stats, k, name, seed))
+    return Sketch(entries, _header(stats, k, name, seed), name)
 
 
 def top_by(rows: DataFrame, k: int, family: str, seed: str, stats: DataFrame | None = None) -> Sketch:
@@ -89,7 +90,7 @@ def top_by(rows: DataFrame, k: int, family: str, seed: str, stats: DataFrame | N
     if stats is None:
         stats = rows.groupBy("sketch_id").agg(F.count("*").alias("n_seen"), F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total_weight"))
     tau = top.filter(F.col("pos") == k + 1).select("sketch_id", F.col("rank").alias("tau"))
-    return Sketch(top.filter(F.col("pos") <= k).select("sketch_id", "pos", "item_id", "weight", "rank", "u", "attrs"), _header(stats.join(tau, "sketch_id", "left"), k, family, seed))
+    return Sketch(top.filter(F.col("pos") <= k).select("sketch_id", "pos", "item_id", "weight", "rank", "u", "attrs"), _header(stats.join(tau, "sketch_id", "left"), k, family, seed), family)
 
 
 def bottomk_by(df: DataFrame, by: Column | str, item: Column | str, weight: Column | str, k: int, family: str | RankFamily = "exp", seed: str = "s1", attrs: list[str] | None = None, on_negative: str = "error") -> Sketch:
@@ -121,7 +122,7 @@ def merge(*sketches: Sketch, k: int, family: str = "exp", seed: str = "s1", dist
     total = F.lit(None).cast("double") if distinct else F.col("total_weight")
     tau = F.least("tau", "least")
     # with a k+1-st entry its rank is tau, unless a part has seen a smaller one that it does not hold
-    return Sketch(top.entries.crossJoin(least).filter(F.col("least").isNull() | (F.col("rank") < F.col("least"))).drop("least"), own.select("sketch_id", "family", "seed", "k", "n_seen", total.alias("total_weight"), tau.alias("tau"), tau.isNull().alias("exact")))
+    return Sketch(top.entries.crossJoin(least).filter(F.col("least").isNull() | (F.col("rank") < F.col("least"))).drop("least"), own.select("sketch_id", "family", "seed", "k", "n_seen", total.alias("total_weight"), tau.alias("tau"), tau.isNull().alias("exact")), family)
 
 
 def bottomk_distinct(df: DataFrame, item: Column | str, k: int, weight: Column | str | None = None, seed: str = "s1", family: str = "exp") -> Sketch:
@@ -148,7 +149,7 @@ def bottomk_unaggregated(pieces: DataFrame, item: str, piece: list[str], weight:
     sums = first.select("item_id", "weight").join(F.broadcast(kept.select("item_id")), "item_id", "left_semi").groupBy("item_id").agg(F.sum("weight").alias("weight"))  # k ids
     entries = kept.join(sums, "item_id").select(F.lit(WHOLE).alias("sketch_id"), "pos", "item_id", "weight", "rank", F.exp(-F.col("weight") * F.col("rank")).alias("u"), F.struct(F.lit(None).cast("string").alias("none")).alias("attrs"))
     stats = spark.createDataFrame([(WHOLE, count.get["n"], seen.get["w"] or 0.0, tau)], "sketch_id string, n_seen long, total_weight double, tau double")
-    return Sketch(entries, _header(stats, k, "exp", seed))
+    return Sketch(entries, _header(stats, k, "exp", seed), "exp")
 
 
 def bottomk_preagg(pieces: DataFrame, item: str, weight: Column | str, k: int, family: str = "exp", seed: str = "s1") -> Sketch:
@@ -180,3 +181,29 @@ def bottomk_partitioned(df: DataFrame, part: str, parts: DataFrame, part_weight:
     out = placed.withColumn("rank", F.when(own, F.col("least")).otherwise(F.col("least") + rank_exp(u, F.col("weight")))).withColumn("u", F.exp(-F.col("weight") * F.col("rank"))).withColumn("attrs", F.struct("part"))
     stats = parts.agg(F.lit(None).cast("long").alias("n_seen"), F.sum(part_weight).alias("total_weight")).withColumn("sketch_id", F.lit(WHOLE))
     return top_by(out.select("sketch_id", "item_id", "weight", "rank", "u", "attrs"), k, "exp", seed, stats)
+
+
+def family_in(sketch: Sketch) -> str:
+    """The family of all sketches in a table of sketches; read from the header only if it is not known."""
+    if sketch.family is not None:
+        return sketch.family
+    found = [r["family"] for r in sketch.header.select("family").distinct().limit(2).collect()]
+    if len(found) > 1:
+        raise ValueError("sketches of several families")
+    return found[0] if found else "exp"
+
+
+def redraw_ordered(sketch: Sketch, total: float | None = None, seed: str = "ro") -> Sketch:
+    """Ranks and tau drawn anew given the order of the items and the total weight: gaps are exponential with the weight that is left; exponential ranks."""
+    if family_in(sketch) != "exp":
+        raise ValueError("drawing ranks given their order needs exponential ranks")
+    flat = sketch.flat() if total is None else sketch.flat().withColumn("total_weight", F.lit(float(total)))
+    run = Window.partitionBy("sketch_id").orderBy("pos")
+    before = F.coalesce(F.sum("weight").over(run.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
+    gap = -F.log(hash_uniform(seed, "sketch_id", "pos")) / (F.col("total_weight") - before)
+    rows = flat.withColumn("gap", gap).withColumn("rank", F.sum("gap").over(run.rowsBetween(Window.unboundedPreceding, 0)))
+    last = rows.groupBy("sketch_id").agg(F.max("rank").alias("last"), F.sum("weight").alias("held"), F.max("total_weight").alias("whole"), F.max("k").alias("kk"))
+    left = F.nullif(F.col("whole") - F.col("held"), F.lit(0.0))
+    tau = F.when(~F.col("exact"), F.col("last") - F.log(hash_uniform(seed, "sketch_id", F.col("kk") + 1)) / left)
+    header = sketch.header.join(last, "sketch_id").withColumn("tau", tau).select(*sketch.header.columns)
+    return Sketch(rows.select("sketch_id", "pos", "item_id", "weight", "rank", F.exp(-F.col("weight") * F.col("rank")).alias("u"), "attrs"), header, "exp")

@@ -188,6 +188,16 @@ def _redraws(spark: SparkSession, sf_dir: str) -> DataFrame:
     return f.select(F.col("item_id").cast("long").alias("item_id"), F.round(again * F.col("total_weight"), 6).alias("scaled_rank"), F.round(level / F.col("weight") * F.col("total_weight"), 6).alias("as_priority"))
 
 
+@add(
+    "rank_redraw_ordered",
+    orders_sql()
+    + f""", b AS (SELECT *, -ln({sql.uniform("ro", "sketch_id", "pos")}) / (total_weight - coalesce(sum(weight) OVER (ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS gap FROM e)
+    SELECT pos, item_id::BIGINT AS item_id, round(sum(gap) OVER (ORDER BY pos) * total_weight, 6) AS scaled_rank, round(((SELECT sum(gap) FROM b) - ln({sql.uniform("ro", "'all'", str(K + 1))}) / (total_weight - (SELECT sum(weight) FROM b))) * total_weight, 6) AS scaled_tau FROM b""",
+)
+def _redraw_ordered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return entries_of(sk.redraw_ordered(orders_sketch(spark, sf_dir)), 6).select("pos", "item_id", "scaled_rank", "scaled_tau")
+
+
 # ---------------------------------------------------------------- sets and distances
 
 _FLAGS = {f: f"(SELECT DISTINCT l_partkey FROM lineitem WHERE l_returnflag = '{f}' AND l_quantity > 45)" for f in "AR"}
@@ -260,7 +270,7 @@ _J = "o_orderstatus = 'F'"
 
 
 def opened(s: sk.Sketch) -> sk.Sketch:
-    return sk.Sketch(query.attributes(s.entries), s.header)
+    return sk.Sketch(query.attributes(s.entries), s.header, s.family)
 
 
 def _est(df: DataFrame, digits: int = 2) -> DataFrame:

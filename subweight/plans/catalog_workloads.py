@@ -67,7 +67,13 @@ add("exp_partition_sse_baselines")(lambda s, d: _round(workloads.run_partition_e
 add("exp_chain_settings")(lambda s, d: _round(workloads.run_chain_settings(s, d, 3, 50)))
 add("exp_subpop_bounds")(lambda s, d: _round(workloads.run_subpop_bounds(s, d)))
 add("exp_subpop_bounds_500")(lambda s, d: _round(workloads.run_subpop_bounds(s, d, g=500)))
-add("exp_event_shares")(lambda s, d: _round(workloads.run_event_shares(s, d), 4))
+_EVENTS = "(SELECT *, hour(ts)::VARCHAR AS hour_of_day, CASE WHEN (props->>'$.k')::INT < 10 THEN 'true' ELSE 'false' END AS small_key FROM events)"
+add(
+    "exp_event_shares",
+    sql.sketch(_EVENTS, "event_id", "value", 256, extra=", event_type, hour_of_day, small_key")
+    + f", a AS (SELECT *, {sql.ADJ['exp']} AS adj FROM e) "
+    + " UNION ALL ".join(f"SELECT '{c}' AS attribute, x.{c} AS part, round(x.exact, 4) AS exact, round(coalesce(y.est, 0), 4) AS estimate FROM (SELECT {c}, sum(value) AS exact FROM {_EVENTS} GROUP BY 1) x LEFT JOIN (SELECT {c}, sum(adj) AS est FROM a GROUP BY 1) y ON x.{c} = y.{c}" for c in ("event_type", "hour_of_day", "small_key")),
+)(lambda s, d: _round(workloads.run_event_shares(s, d), 4))
 add("exp_region_totals")(lambda s, d: _round(workloads.run_region_totals(s, d), 2))
 
 

@@ -146,7 +146,7 @@ def run_subpop_bounds(spark: SparkSession, sf_dir: str, reps: int = 5, k: int =
 
     def flagged(s: sk.Sketch) -> sk.Sketch:
         e = s.entries.join(flag, (F.col("attrs.wt") == F.col("fwt")) & (F.col("item_id") == F.col("fid"))).drop("fwt", "fid").withColumnRenamed("inside", "chosen")
-        return sk.Sketch(e, s.header)
+        return sk.Sketch(e, s.header, s.family)
 
     exp, pri = flagged(sketches(base.drop("grp"), reps, k)), flagged(sketches(base.drop("grp"), reps, k, "priority"))
     parts = {"exp_total_known": bounds.bounds_subpop(exp, "chosen", True, delta=delta, draws=draws), "exp_total_unknown": bounds.bounds_subpop(exp, "chosen", None, delta=delta, draws=draws), "priority_chernoff": bounds.bounds_priority(pri, "chosen", delta=delta)}
@@ -174,7 +174,7 @@ def run_region_totals(spark: SparkSession, sf_dir: str, k: int = 256) -> DataFra
     dims = c.join(n, F.col("c_nationkey") == F.col("n_nationkey")).join(r, F.col("n_regionkey") == F.col("r_regionkey")).select("c_custkey", "r_name")
     adj = query.attributes(adjusted.subset_conditioned(s)).join(dims, F.col("o_custkey") == F.col("c_custkey"))
     exact = o.join(dims, F.col("o_custkey") == F.col("c_custkey")).groupBy("r_name").agg(F.sum("o_totalprice").alias("exact"))
-    tagged = sk.Sketch(query.attributes(s.entries).join(dims, F.col("o_custkey") == F.col("c_custkey")), s.header)
+    tagged = sk.Sketch(query.attributes(s.entries).join(dims, F.col("o_custkey") == F.col("c_custkey")), s.header, s.family)
     names = [x["r_name"] for x in r.select("r_name").collect()]  # five regions
     limits = reduce(DataFrame.unionByName, [bounds.bounds_subpop(tagged, F.col("r_name") == x, True).select(F.lit(x).alias("r_name"), "lower", "upper") for x in names])
     return exact.join(adj.groupBy("r_name").agg(F.sum("adj_weight").alias("estimate")), "r_name", "left").join(limits, "r_name", "left")

@@ -343,6 +343,21 @@ def test_queries_and_refusals(spark):
     assert one(query.selectivity(a, "true")) == pytest.approx(1)
 
 
+def test_families_of_bounds(spark):
+    df = pareto(spark, 100)
+    e, p, u = (sk.bottomk(df, "id", "w", 10, f) for f in ("exp", "priority", "uniform"))
+    for f, s in ((bounds.bounds_total, p), (bounds.bounds_total, u), (bounds.bounds_priority, e), (bounds.bounds_priority_total, u)):
+        with pytest.raises(ValueError, match="ranks"):
+            f(s)
+    with pytest.raises(ValueError, match="exponential"):
+        sk.redraw_ordered(p)
+    again = sk.redraw_ordered(e)
+    rows = again.entries.orderBy("pos").collect()
+    assert [r.item_id for r in rows] == [r.item_id for r in e.entries.orderBy("pos").collect()]
+    assert all(a.rank < b.rank for a, b in zip(rows, rows[1:], strict=False)) and again.header.first().tau > rows[-1].rank
+    assert sk.family_in(sk.Sketch(e.entries, e.header)) == "exp"
+
+
 def test_late_and_repeated_events(spark, tmp_path):
     from subweight.streaming import streams
 
