@@ -66,7 +66,7 @@ def bottomk(df: DataFrame, item: Column | str, weight: Column | str, k: int, fam
     name = family_of(family).name
     rows = ranked(df, item, weight, family, seed, attrs, on_negative, uniform=uniform)
     seen = Observation()
-    counted = rows.observe(seen, F.count("*").alias("n"), F.sum("weight").alias("w")).filter("rank IS NOT NULL")
+    counted = rows.observe(seen, F.count("*").alias("n"), F.sum("weight").alias("w")).filter("weight IS NOT NULL")
     if below is not None:
         counted = counted.filter(F.col("rank") < below)
     got = counted.orderBy("rank", "item_id").limit(k + 1).collect()
@@ -81,14 +81,18 @@ def bottomk(df: DataFrame, item: Column | str, weight: Column | str, k: int, fam
 
 
 def top_by(rows: DataFrame, k: int, family: str, seed: str, stats: DataFrame | None = None) -> Sketch:
-    """Sketches of ranked rows by sketch_id; a limit below the window keeps k+1 rows a sketch and partition before the shuffle."""
+    """Sketches of ranked rows by sketch_id; a limit below the window keeps k+1 rows a sketch and partition before the shuffle.
+
+    The k+1 rows and the totals of each sketch are cached when first used, so the rows below are
+    read once for each of both, however often the sketch is.
+    """
     conf = rows.sparkSession.conf
     if k + 1 > int(conf.get("spark.sql.optimizer.windowGroupLimitThreshold")):
         conf.set("spark.sql.optimizer.windowGroupLimitThreshold", str(k + 1))
     order = Window.partitionBy("sketch_id").orderBy("rank", "item_id")
-    top = rows.filter("rank IS NOT NULL").withColumn("pos", F.row_number().over(order)).filter(F.col("pos") <= k + 1)
+    top = rows.filter("weight IS NOT NULL").withColumn("pos", F.row_number().over(order)).filter(F.col("pos") <= k + 1).persist()
     if stats is None:
-        stats = rows.groupBy("sketch_id").agg(F.count("*").alias("n_seen"), F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total_weight"))
+        stats = rows.groupBy("sketch_id").agg(F.count("*").alias("n_seen"), F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total_weight")).persist()
     tau = top.filter(F.col("pos") == k + 1).select("sketch_id", F.col("rank").alias("tau"))
     return Sketch(top.filter(F.col("pos") <= k).select("sketch_id", "pos", "item_id", "weight", "rank", "u", "attrs"), _header(stats.join(tau, "sketch_id", "left"), k, family, seed), family)
 
