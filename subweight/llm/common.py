@@ -8,6 +8,8 @@ one key at most once, so no key, however frequent, makes a task larger than the
 
 from __future__ import annotations
 
+import atexit
+import shutil
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -41,7 +43,11 @@ def durable(df: DataFrame) -> DataFrame:
         if folder is None:
             local = context.master.startswith("local")
             folder = "/tmp/checkpoints" if local else spark.conf.get("spark.sql.warehouse.dir") + "/_checkpoints"
-        context.setCheckpointDir(folder)
+            context.setCheckpointDir(folder)
+            if local:  # as in tests: nothing else removes what this process has kept
+                atexit.register(shutil.rmtree, context._jsc.sc().getCheckpointDir().get().removeprefix("file:"), ignore_errors=True)
+        else:
+            context.setCheckpointDir(folder)
     return df.checkpoint(eager=True)
 
 
