@@ -24,6 +24,7 @@ def main() -> None:
     parser.add_argument("--reps", type=int, default=200)
     parser.add_argument("--out", default="EXPERIMENTS.md")
     parser.add_argument("--cores", default="8")
+    parser.add_argument("--large", action="store_true", help="20,000 items: squared error and subpopulation bounds only")
     own = parser.parse_args()
 
     from pyspark.sql import SparkSession
@@ -42,10 +43,18 @@ def main() -> None:
         ("Bounds on the lightest 200 of 1,000", lambda: workloads.run_subpop_bounds(spark, own.sf, r // 2, draws=200), ["wt", "method"]),
         ("Bounds on the lightest 500 of 1,000", lambda: workloads.run_subpop_bounds(spark, own.sf, r // 2, g=500, draws=200), ["wt", "method"]),
     ]
-    with open(own.out, "w") as out:
-        out.write(f"# Experiments\n\n{os.path.basename(os.path.normpath(own.sf))}, 1,000 orders as base table, {r} repetitions (fewer where said). Written by experiments.py.\n")
+    if own.large:
+        runs = [
+            ("Squared error against group size, 20,000 items", lambda: workloads.run_partition_error(spark, own.sf, r, (4, 40, 500), (1, 100, 5000, 20000), ("exp_rc", "priority_rc", "subset", "subset_chain"), 20_000), ["wt", "k", "g", "method"]),
+            ("Settings of the chain, 20,000 items, k = 500", lambda: workloads.run_chain_settings(spark, own.sf, r, 500, gs=(1, 5000, 20000), n=20_000), ["wt", "g", "method"]),
+            ("Bounds on the lightest 4,000 of 20,000", lambda: workloads.run_subpop_bounds(spark, own.sf, r, 40, 4000, 20_000, (1.2, 2.0), 200), ["wt", "method"]),
+        ]
+    with open(own.out, "a" if own.large else "w") as out:
+        if not own.large:
+            out.write(f"# Experiments\n\n{os.path.basename(os.path.normpath(own.sf))}, 1,000 orders as base table, {r} repetitions (fewer where said). Written by experiments.py.\n")
         theory = {k: metrics.with_replacement_theory(k)["mean_abs_rel_error"] for k in (40, 100)}
-        out.write(f"\nClosed form of the with-replacement error: {', '.join(f'k={k}: {v:.3f}' for k, v in theory.items())}.\n")
+        note = f"\n{r} repetitions from here on.\n" if own.large else f"\nClosed form of the with-replacement error: {', '.join(f'k={k}: {v:.3f}' for k, v in theory.items())}.\n"
+        out.write(note)
         for title, run, order in runs:
             began = time.time()
             out.write(f"\n## {title}\n\n{markdown(run(), order)}")

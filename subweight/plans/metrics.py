@@ -73,3 +73,35 @@ def cost_counters(k: int, redraws: int, steps: int, nodes: int) -> dict[str, int
     """Operations on one sketch: rank conditioning, prefix conditioning, exact subset conditioning, the chain."""
     log = max(1, math.ceil(math.log2(max(2, k))))
     return {"rank": k, "prefix": k * k, "subset": nodes * k, "chain": steps * (k * log + redraws * k)}
+
+
+def plan_counters(df: DataFrame) -> dict[str, int]:
+    """Run ``df`` and count: files' rows scanned, rows and bytes written to shuffles, exchanges and scans (passes) in the plan that ran."""
+    df._jdf.collectToPython()
+    found = {"rows_scanned": 0, "scans": 0, "shuffle_rows": 0, "shuffle_bytes": 0, "exchanges": 0}
+
+    def value(metrics, name: str) -> int:
+        return int(metrics.apply(name).value()) if metrics.contains(name) else 0
+
+    def walk(node) -> None:
+        name, metrics = node.nodeName(), node.metrics()
+        if name == "AdaptiveSparkPlan":
+            return walk(node.executedPlan())
+        if name.startswith(("ShuffleQueryStage", "BroadcastQueryStage", "ResultQueryStage", "TableCacheQueryStage")):
+            return walk(node.plan())
+        if name.startswith("ReusedExchange"):
+            return None
+        if name.startswith("Scan "):
+            found["scans"] += 1
+            found["rows_scanned"] += value(metrics, "numOutputRows")
+        if name == "Exchange":
+            found["exchanges"] += 1
+            found["shuffle_rows"] += value(metrics, "shuffleRecordsWritten")
+            found["shuffle_bytes"] += value(metrics, "shuffleBytesWritten")
+        children = node.children()
+        for i in range(children.size()):
+            walk(children.apply(i))
+        return None
+
+    walk(df._jdf.queryExecution().executedPlan())
+    return found

@@ -176,6 +176,18 @@ def test_plans(spark):
     assert "Python" not in plan
 
 
+def test_cost_counters(spark):
+    from subweight.plans import metrics
+    from subweight.sources.io import table
+
+    orders = table(spark, "/root/testdata/sf0.001", "orders")
+    got = metrics.plan_counters(sk.ranked(orders, "o_orderkey", "o_totalprice").filter("weight IS NOT NULL").orderBy("rank", "item_id").limit(33))
+    assert got["scans"] == 1 and got["rows_scanned"] == 1500 and got["exchanges"] == 0
+    whole = metrics.plan_counters(orders.groupBy("o_custkey").agg(F.sum("o_totalprice")))
+    assert whole["exchanges"] == 1 and whole["shuffle_rows"] > 33 and whole["shuffle_bytes"] > 0
+    assert metrics.cost_counters(100, 20, 20, 200) == {"rank": 100, "prefix": 10000, "subset": 20000, "chain": 20 * (100 * 7 + 2000)}
+
+
 def test_unbiased_over_seeds(spark):
     """Means over 300 seeds are within five standard errors; the variance of sums is least with subset conditioning."""
     from subweight.plans import workloads
