@@ -29,8 +29,8 @@ HIDDEN, EPOCHS, BATCH, RATE, DECAY = 32, 40, 128, 3e-3, 1e-4
 SEED = 11
 #: A document is kept if its score is at least this.
 THRESHOLD = 0.3
-#: Text bytes worked on at a time.
-STEP_BYTES = 1_000_000
+#: Text bytes, and rows, worked on at a time.
+STEP_BYTES, STEP_ROWS = 1_000_000, 1024
 
 _KINDS = (b"abcdefghijklmnopqrstuvwxyz" + bytes(range(128, 256)), b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"0123456789", b".,;:", b"!?", b"#*$%&|<>", b"'\"()-/")
 
@@ -91,9 +91,10 @@ def word_vectors(docs: DataFrame, text_column: str = "text") -> np.ndarray:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index, total = index_vectors(BUCKETS, SEED), np.zeros((BUCKETS, SIZE), np.float64)
         for batch in batches:
-            texts = batch.column(0).cast(pa.binary()).to_pylist()
-            for a, b in _slices(texts):
-                total += context_sums(texts[a:b], index)
+            for start in range(0, batch.num_rows, STEP_ROWS):
+                texts = batch.column(0).slice(start, STEP_ROWS).cast(pa.binary()).to_pylist()
+                for a, b in _slices(texts):
+                    total += context_sums(texts[a:b], index)
         rows = np.flatnonzero(np.abs(total).sum(axis=1))
         yield pa.RecordBatch.from_arrays([pa.array(rows, pa.int32()), *[pa.array(total[rows, i]) for i in range(SIZE)]], names=["bucket", *[f"v{i}" for i in range(SIZE)]])
 
@@ -199,22 +200,27 @@ def held_out(id_column: str = "doc_id", fold: int = 0):
     return F.pmod(F.crc32(F.col(id_column).cast("string").cast("binary")), F.lit(5)) == fold
 
 
-def _features_of(rows: DataFrame, vectors: np.ndarray, network: Network | None, name: str) -> DataFrame:
-    """``rows``, whose last column is the text, with features (an array) or the score in its place."""
+def _features_of(rows: DataFrame, vectors: np.ndarray, network: Network | None, name: str, text_column: str = "text", keep: bool = False) -> DataFrame:
+    """``rows`` with features (an array) or the score of the text as the last column; the text itself is kept or not."""
+    at = rows.columns.index(text_column)
+    gone = -1 if keep else at
     sent = rows.sparkSession.sparkContext.broadcast((vectors, network))  # 2 MB, whatever the data
     kind = T.DoubleType() if network else T.ArrayType(T.DoubleType())
-    schema = T.StructType([*rows.schema.fields[:-1], T.StructField(name, kind)])
+    schema = T.StructType([*(f for i, f in enumerate(rows.schema.fields) if i != gone), T.StructField(name, kind)])
     names = schema.fieldNames()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vectors, network = sent.value
         index, kinds = index_vectors(BUCKETS, SEED), index_vectors(256, SEED + 1)
         for batch in batches:
-            texts = batch.column(batch.num_columns - 1).cast(pa.binary()).to_pylist()
-            for a, b in _slices(texts):
-                x = features(texts[a:b], vectors, index, kinds)
-                values = pa.array(network.score(x)) if network else pa.array(x.tolist(), pa.list_(pa.float64()))
-                yield pa.RecordBatch.from_arrays([*batch.slice(a, b - a).columns[:-1], values], names=names)
+            for start in range(0, batch.num_rows, STEP_ROWS):
+                rows = batch.slice(start, STEP_ROWS)
+                texts = rows.column(at).cast(pa.binary()).to_pylist()
+                for a, b in _slices(texts):
+                    x = features(texts[a:b], vectors, index, kinds)
+                    values = pa.array(network.score(x)) if network else pa.array(x.tolist(), pa.list_(pa.float64()))
+                    kept = rows.slice(a, b - a).columns
+                    yield pa.RecordBatch.from_arrays([*(c for i, c in enumerate(kept) if i != gone), values], names=names)
 
     return rows.mapInArrow(run, schema)
 
@@ -240,7 +246,7 @@ def score(docs: DataFrame, model: Model, text_column: str = "text", score_column
     rows give no rows.
     """
     names = [c for c in docs.columns if c != score_column]
-    return _features_of(docs.select(*[F.col(f"`{c}`") for c in names], F.col(f"`{text_column}`").cast("string").alias("__text")), model.vectors, model.network, score_column)
+    return _features_of(docs.select(*[F.col(f"`{c}`") for c in names]), model.vectors, model.network, score_column, text_column, keep=True)
 
 
 def keep_by_score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
