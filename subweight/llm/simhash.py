@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 
 from .common import durable, mix, utf8_columns
 from .components import components
+from .jaccard import jaccard_duplicates
 
 #: Fixed value: a generator polynomial of the binary Golay code of length 23 (x^11 + x^9 + x^7 + x^6 + x^5 + x + 1).
 GOLAY = 0b101011100011
@@ -323,9 +324,13 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str
 def drop_near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 5, most: int = MOST_BITS, similarity: float | None = 0.8) -> DataFrame:
     """The rows of ``docs`` without all but one of each group of near copies: the one of the smallest id stays.
 
+    With ``similarity``, near copies are texts of that Jaccard similarity of shingles or more, exactly; without, of
+    fingerprints of ``most`` or fewer differing bits.
+
     Rows of a null id are not compared, and stay.  Of rows that share an id that
     stays, one stays.  No rows give no rows; other columns are carried as they are.
     """
-    keep = durable(near_duplicates(docs, id_column, text_column, shingle, most, similarity).filter("id = component_id").select(F.col("id").alias("__kept")).distinct())
+    found = near_duplicates(docs, id_column, text_column, shingle, most) if similarity is None else jaccard_duplicates(docs, id_column, text_column, shingle, similarity)
+    keep = durable(found.filter("id = component_id").select(F.col("id").alias("__kept")).distinct())
     rows = docs.filter(F.col(id_column).isNull()).unionByName(docs.join(keep, F.col(id_column) == F.col("__kept"), "left_semi").dropDuplicates([id_column]))
     return rows
