@@ -47,3 +47,32 @@ def test_recall_of_short_texts(spark):
     want = brute_kept(rows)
     assert len(want) <= len(rows) // 2
     assert kept(spark, rows) == want
+
+
+def test_copies_within_a_template(spark):
+    """Of texts that share most of one boilerplate, near copies are found whatever the first of their keys' runs is, and no others."""
+    rng = np.random.default_rng(12)
+    rows = []
+    for common, own in ((84, 20), (44, 12)):
+        template = rng.choice(WORDS, common).tolist()
+        for i in range(100):
+            rest = rng.choice(WORDS, own).tolist()
+            rows.append((len(rows), " ".join(template + rest)))
+            if i % 2:
+                rows.append((len(rows), " ".join(template + rest[: own // 2] + rng.choice(WORDS, own - own // 2).tolist())))
+    want = brute_kept(rows)
+    assert len(want) < len(rows)
+    assert kept(spark, rows) == want
+
+
+def test_long_runs_go_on(spark):
+    """Many pieces of one run: texts of few words in many orders, where most candidates of a key are no copies."""
+    rng = np.random.default_rng(13)
+    template = rng.choice(WORDS, 60).tolist()
+    rows = []
+    for i in range(150):
+        text = list(template)
+        for at in rng.choice(60, int(rng.integers(1, 4)), replace=False):
+            text[int(at)] = f"x{i}"
+        rows.append((i, " ".join(text)))
+    assert kept(spark, rows) == brute_kept(rows)
