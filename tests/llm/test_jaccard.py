@@ -76,3 +76,16 @@ def test_long_runs_go_on(spark):
             text[int(at)] = f"x{i}"
         rows.append((i, " ".join(text)))
     assert kept(spark, rows) == brute_kept(rows)
+
+
+def test_less_similar_texts_stay(spark):
+    """Pairs of a similarity of 0.6 to 0.79 are no copies."""
+    rng = np.random.default_rng(14)
+    rows = []
+    for i in range(120):
+        base = rng.choice(WORDS, 104).tolist()
+        gone = int(rng.integers(13, 25))
+        rows += [(2 * i, " ".join(base)), (2 * i + 1, " ".join(base[: 104 - gone] + rng.choice(WORDS, gone).tolist()))]
+    want = brute_kept(rows)
+    assert len(want) == len(rows)
+    assert kept(spark, rows) == want
