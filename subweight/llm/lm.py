@@ -32,9 +32,9 @@ SHORT = 4
 #: Rows of the hashed tables for classes and for members.
 CLASS_ROWS, MEMBER_ROWS = 1 << 12, 1 << 14
 #: Rounds, tokens of a gradient step, rate of the steps; tokens scored at a time.
-ROUNDS, BATCH, RATE, STEP = 3, 65536, 0.3, 1 << 19
+ROUNDS, BATCH, RATE, STEP = 3, 8192, 0.15, 1 << 19
 #: What the squares of gradients start from: larger, and rarely used weights move less.
-DAMPING = 1.0
+DAMPING = 0.01
 SEED = 77
 WIDTH = max(CLASSES, MEMBERS)
 
