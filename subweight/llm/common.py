@@ -9,7 +9,7 @@ one key at most once, so no key, however frequent, makes a task larger than the
 from __future__ import annotations
 
 import atexit
-import shutil
+import math
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -21,10 +21,12 @@ from pyspark.sql import types as T
 #: Words are runs of anything but these six ASCII characters; ``bytes.split()`` cuts at the same six.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 SEPARATORS = " \t\n\x0b\x0c\r"
-#: Text bytes in a block.
-BLOCK_BYTES = 2_000_000
-#: Text bytes whose questions go to one bucket, and the most buckets.
-BUCKET_BYTES, MOST_BUCKETS = 16_000_000, 65_536
+#: Text bytes in a block, and at most for very large inputs.
+BLOCK_BYTES, LARGE_BLOCK = 2_000_000, 32_000_000
+#: Text bytes whose questions go to one bucket, and for very large inputs.
+BUCKET_BYTES, LARGE_BUCKET = 16_000_000, 64_000_000
+#: Bytes of input up to which blocks and buckets have the smaller sizes; beyond, both grow with its square root.
+SMALL_INPUT = 1_000_000_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,23 +36,39 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def durable(df: DataFrame) -> DataFrame:
     """The same rows, computed once and kept in the shared folder named by spark.checkpoint.dir.
 
-    Lineage ends there, so a lost executor costs a read, not the work before it.
+    Lineage ends there, so a lost executor costs a read, not the work before it.  A cluster must
+    name the folder; only a local session, as in tests, gets one of its own.  What was kept is
+    removed when the process ends.
     """
-    spark = df.sparkSession
-    context = spark.sparkContext
-    if not context._jsc.sc().getCheckpointDir().isDefined():
+    context = df.sparkSession.sparkContext
+    scala = context._jsc.sc()
+    if not scala.getCheckpointDir().isDefined():
         folder = context.getConf().get("spark.checkpoint.dir", None)
         if folder is None:
-            local = context.master.startswith("local")
-            folder = "/tmp/checkpoints" if local else spark.conf.get("spark.sql.warehouse.dir") + "/_checkpoints"
-            context.setCheckpointDir(folder)
-            if local:  # as in tests: nothing else removes what this process has kept
-                atexit.register(shutil.rmtree, context._jsc.sc().getCheckpointDir().get().removeprefix("file:"), ignore_errors=True)
-        else:
-            context.setCheckpointDir(folder)
+            if not context.master.startswith("local"):
+                raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+            folder = "/tmp/checkpoints"
+        context.setCheckpointDir(folder)
+    kept = scala.getCheckpointDir().get()
+    if kept not in _KEPT:
+        _KEPT.add(kept)
+        atexit.register(_remove, context, kept)
     return df.checkpoint(eager=True)
 
 
+#: Folders of this process that are removed at its end.
+_KEPT: set[str] = set()
+
+
+def _remove(context, folder: str) -> None:
+    """Remove a folder by the file system it is on; a gateway that is gone leaves it."""
+    try:
+        path = context._jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
+    except Exception:  # noqa: BLE001 the process is ending
+        pass
+
+
 def words_of(text: str | bytes | None) -> list[bytes]:
     """Words of a text as UTF-8; none of a null."""
     if text is None:
@@ -95,8 +113,24 @@ def unpack(payload: bytes) -> pa.RecordBatch:
         return source.read_next_batch()
 
 
-def to_blocks(df: DataFrame, text_column: str = "text", target: int = BLOCK_BYTES) -> DataFrame:
-    """Rows of ``df`` packed whole into blocks of about ``target`` text bytes (one longer row: alone). Durable."""
+def grown(least: int, most: int, held: int) -> int:
+    """A size between two, for an input of ``held`` bytes."""
+    return int(min(most, least * max(1.0, math.sqrt(held / SMALL_INPUT))))
+
+
+def input_bytes(df: DataFrame) -> int:
+    """The optimizer's estimate of the bytes of ``df``; 0 if it knows nothing."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return size if size < 1 << 60 else 0
+
+
+def to_blocks(df: DataFrame, text_column: str = "text", target: int | None = None) -> DataFrame:
+    """Rows of ``df`` packed whole into blocks of about ``target`` text bytes (one longer row: alone). Durable.
+
+    Without a target a block has 2 MB, and for inputs over 1 GB more, up to 32 MB: a large input has
+    few questions a bucket and block otherwise.
+    """
+    target = grown(BLOCK_BYTES, LARGE_BLOCK, input_bytes(df)) if target is None else target
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -119,10 +153,10 @@ def to_blocks(df: DataFrame, text_column: str = "text", target: int = BLOCK_BYTE
 
 
 def bucket_count(blocks: DataFrame) -> int:
-    """So many that a bucket gets the questions of BUCKET_BYTES of text; at least one a shuffle partition."""
+    """So many that a bucket gets the questions of 16 MB of text (64 MB for very large inputs); at least one a shuffle partition."""
     held = blocks.agg(F.sum("block_bytes")).first()[0] or 0
     least = int(blocks.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return max(1, min(MOST_BUCKETS, max(least, -(-held // BUCKET_BYTES))))
+    return max(1, least, -(-held // grown(BUCKET_BYTES, LARGE_BUCKET, held)))
 
 
 QUESTION_SCHEMA = "bucket int, level int, block_id long, keys binary, extra binary"

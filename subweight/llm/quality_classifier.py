@@ -146,11 +146,24 @@ class Network:
     b2: float
     temperature: float = 1.0
 
+    def arrays(self) -> tuple:
+        """What executors get: arrays and numbers only, as they may lack this class."""
+        return self.shift, self.scale, self.w1, self.b1, self.w2, self.b2, self.temperature
+
     def logits(self, x: np.ndarray) -> np.ndarray:
-        return np.tanh((x - self.shift) / self.scale @ self.w1 + self.b1) @ self.w2 + self.b2
+        return logits_of(x, *self.arrays()[:-1])
 
     def score(self, x: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.logits(x) / self.temperature, -40, 40)))
+        return score_of(x, *self.arrays())
+
+
+def logits_of(x: np.ndarray, shift: np.ndarray, scale: np.ndarray, w1: np.ndarray, b1: np.ndarray, w2: np.ndarray, b2: float) -> np.ndarray:
+    return np.tanh((x - shift) / scale @ w1 + b1) @ w2 + b2
+
+
+def score_of(x: np.ndarray, *network) -> np.ndarray:
+    """From 0 to 1, by the arrays of a network."""
+    return 1 / (1 + np.exp(-np.clip(logits_of(x, *network[:-1]) / network[-1], -40, 40)))
 
 
 def train(x: np.ndarray, y: np.ndarray, seed: int = SEED) -> Network:
@@ -204,7 +217,7 @@ def _features_of(rows: DataFrame, vectors: np.ndarray, network: Network | None,
     """``rows`` with features (an array) or the score of the text as the last column; the text itself is kept or not."""
     at = rows.columns.index(text_column)
     gone = -1 if keep else at
-    sent = rows.sparkSession.sparkContext.broadcast((vectors, network))  # 2 MB, whatever the data
+    sent = rows.sparkSession.sparkContext.broadcast((vectors, network.arrays() if network else None))  # 2 MB, whatever the data
     kind = T.DoubleType() if network else T.ArrayType(T.DoubleType())
     schema = T.StructType([*(f for i, f in enumerate(rows.schema.fields) if i != gone), T.StructField(name, kind)])
     names = schema.fieldNames()
@@ -218,7 +231,7 @@ def _features_of(rows: DataFrame, vectors: np.ndarray, network: Network | None,
                 texts = rows.column(at).cast(pa.binary()).to_pylist()
                 for a, b in _slices(texts):
                     x = features(texts[a:b], vectors, index, kinds)
-                    values = pa.array(network.score(x)) if network else pa.array(x.tolist(), pa.list_(pa.float64()))
+                    values = pa.array(score_of(x, *network)) if network else pa.array(x.tolist(), pa.list_(pa.float64()))
                     kept = rows.slice(a, b - a).columns
                     yield pa.RecordBatch.from_arrays([*(c for i, c in enumerate(kept) if i != gone), values], names=names)
 
@@ -250,5 +263,8 @@ def score(docs: DataFrame, model: Model, text_column: str = "text", score_column
 
 
 def keep_by_score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of ``docs`` with a score of at least ``threshold``."""
-    return score(docs, model, score_column="__score").filter(F.col("__score") >= threshold).drop("__score")
+    """The rows of ``docs`` with a score of at least ``threshold``, with all their columns."""
+    name = "__score"
+    while name in docs.columns:
+        name += "_"
+    return score(docs, model, score_column=name).filter(F.col(name) >= threshold).drop(name)

@@ -54,7 +54,10 @@ def _once(docs: DataFrame, name: str, value: Column) -> DataFrame:
 
 
 def with_stats(docs: DataFrame, text_column: str = "text") -> DataFrame:
-    """``docs`` with one more column ``__q``: a struct of the counts and features of each row."""
+    """``docs`` with one more column ``__q``: a struct of the counts and features of each row.
+
+    For frames of own columns (see ``packed``); those of callers may have any names.
+    """
     text = F.coalesce(F.col(text_column), F.lit(""))
     staged = _once(docs, "__h", F.transform(word_array(text_column), lambda w: F.xxhash64(w)))
     staged = _once(staged, "__l", F.filter(F.split(text, "\n", -1), lambda x: F.translate(x, SEPARATORS, "") != ""))
@@ -134,29 +137,38 @@ def judge(stats: DataFrame, limits: DataFrame) -> DataFrame:
         joined = stats.join(F.broadcast(limits), match, "left")
     else:  # a source with a third of all rows is dealt to SALTS tasks
         salted = limits.withColumn("t_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-        joined = stats.withColumn("__salt", F.pmod(F.xxhash64("__q"), F.lit(SALTS)).cast("int")).join(salted, match & (F.col("__salt") == F.col("t_salt")), "left").drop("__salt", "t_salt")
+        joined = stats.withColumn("__salt", F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int")).join(salted, match & (F.col("__salt") == F.col("t_salt")), "left").drop("__salt", "t_salt")
     inside = F.forall(F.coalesce("t", F.array().cast("array<struct<feature:int,low:bigint,high:bigint>>")), lambda t: (F.get("__q.features", t["feature"]) <= t["high"]) & (F.get("__q.features", t["feature"]) >= F.coalesce(t["low"], F.lit(0))))
     return joined.withColumn("__kept", ~F.col("__q.base_failed") & inside).drop("t", "t_lang", "t_source")
 
 
+def packed(docs: DataFrame, text_column: str, *columns: str) -> DataFrame:
+    """(row, lang, source): the named columns of ``docs`` in one struct, so that no name of theirs meets one of the rules'."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row"), F.col("lang"), F.col("source"), F.col(f"`{text_column}`").cast("string").alias("text"))
+
+
 def verdicts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """Counts, base_failed and kept of every row.
 
     A null or empty text has no words and fails the base rules; null languages and sources are
     groups of their own; repeated rows count and are returned as often as they come; a group none
-    of whose rows passes the base rules has no thresholds; no rows give no rows.
+    of whose rows passes the base rules has no thresholds; no rows give no rows; other columns of
+    any name are ignored.
     """
-    slim = docs.select(F.col(id_column).alias("id"), "lang", "source", F.col(text_column).alias("text"))
-    stats = durable(with_stats(slim).drop("text"))
+    stats = durable(with_stats(packed(docs, text_column, id_column)).drop("text"))
     out = judge(stats, thresholds(sketch(stats)))
-    return out.select("id", *[F.col(f"__q.{c}") for c in BASE], F.col("__q.base_failed"), F.col("__kept").alias("kept"))
+    return out.select(F.col(f"row.`{id_column}`").alias("id"), *[F.col(f"__q.{c}") for c in BASE], F.col("__q.base_failed"), F.col("__kept").alias("kept"))
 
 
 def keep_by_rules(docs: DataFrame, text_column: str = "text") -> DataFrame:
-    """The rows of ``docs`` that the rules keep, with all their columns; the same cases as in ``verdicts``."""
-    stats = with_stats(docs, text_column)
-    limits = thresholds(sketch(stats.select("lang", "source", "__q")))
-    return judge(stats, limits).filter("__kept").select(*[F.col(f"`{c}`") for c in docs.columns])
+    """The rows of ``docs`` that the rules keep, with all their columns, whatever their names; the same cases as in ``verdicts``.
+
+    Counts are worked out once: rows that pass the base rules are kept with them until the
+    thresholds, which need all of them, are there.
+    """
+    stats = durable(with_stats(packed(docs, text_column, *docs.columns)).drop("text").filter("NOT __q.base_failed"))
+    limits = thresholds(sketch(stats))
+    return judge(stats, limits).filter("__kept").select(*[F.col(f"row.`{c}`").alias(c) for c in docs.columns])
 
 
 def oracle() -> str:

@@ -7,10 +7,9 @@ differ in up to 2 bits share a nearby codeword (that of a vector half way betwee
 4 differing bits, two of the three segments hold at most 2 each, so two linked fingerprints share a
 pair of nearby codewords of the same two segments: about 3 x 28 keys a fingerprint.
 
-For near copies of a given similarity, which differ in more bits than that, a fingerprint of 256 bits
-is made from four hashes of each shingle, and the distinct shingles are dealt by hash to parts of
-about eight (and of about four): texts that share most shingles share some part whole.  Texts with
-an equal part are compared by their 256 bits.
+Near copies of a given similarity differ in more bits than that: five-word shingles at a Jaccard
+similarity of 0.8 leave some 14 of 64 bits apart, beyond what any number of such keys can find.  For
+these ``drop_near_duplicates`` takes candidates from the shingle sets themselves (see ``jaccard``).
 
 Only distinct fingerprints get keys.  Rows of a key are brought together by sorting; within a run
 each fingerprint is compared with those not yet reached, so a large group costs its size times its
@@ -19,17 +18,16 @@ number of separate pieces, and gives a tree of links, never all its pairs.
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, mix, utf8_columns
+from .common import durable, utf8_columns
 from .components import components
-from .jaccard import jaccard_duplicates
+from .jaccard import jaccard_representatives
 
 #: Fixed value: a generator polynomial of the binary Golay code of length 23 (x^11 + x^9 + x^7 + x^6 + x^5 + x + 1).
 GOLAY = 0b101011100011
@@ -40,10 +38,6 @@ FINE_ABOVE = 50_000_000
 SEED = 42
 
 
-#: Parts of a text that make keys at each of two sizes; shingles in a part, at least, at the larger size.
-PARTS, PART_SIZE, WIDE = 64, 8, 4
-
-
 def shingle_hashes(text: bytes | None, shingle: int) -> np.ndarray:
     """XXH64 of all shingles of the words of a text, A-Z lower-cased; of fewer words, of all together."""
     import xxhash
@@ -77,92 +71,20 @@ def fingerprint(text: bytes | None, shingle: int = 4) -> int:
     return vote(shingle_hashes(text, shingle))
 
 
-def part_keys(hashes: np.ndarray) -> np.ndarray:
-    """Hashes of the sets of distinct shingles in parts: of 2^k and 2^(k+1) parts, so that parts have about 8 to 16 and 4 to 8, the first PARTS of each."""
-    own = np.unique(hashes)
-    if not len(own):
-        return own
-    mixed, out = mix(own), []
-    scale = max(0, (len(own) // PART_SIZE).bit_length() - 1)
-    for k in (scale, scale + 1):
-        part = (mixed >> np.uint64(64 - k)).astype(np.int64) if k else np.zeros(len(own), np.int64)
-        kept = part < PARTS
-        sums = np.zeros(min(PARTS, 1 << k), np.uint64)
-        np.add.at(sums, part[kept], mix(own[kept] ^ np.uint64(0xA5A5A5A5)))
-        full = np.bincount(part[kept], minlength=len(sums)) > 0
-        out.append(mix(sums[full] + np.uint64(k)))
-    return np.concatenate(out)
-
-
-def fingerprints(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 4) -> DataFrame:
-    """(id, fp) of every row; computed once and kept."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            fp = pa.array([fingerprint(t, shingle) for t in utf8_columns(batch, "text")], pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), fp], names=["id", "fp"])
-
-    rows = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).cast("string").alias("text"))
-    return durable(rows.mapInArrow(run, "id long, fp long"))
-
-
-def views(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 5) -> DataFrame:
-    """(id, fp, w0 to w3, parts) of every row: the fingerprint, the one of 256 bits, and the keys of the parts; computed once and kept."""
+def fingerprints(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 4, keyed: bool = False) -> DataFrame:
+    """(id, fp) of every row, with ``keyed`` also text_key; computed once and kept."""
+    more = ["text_key"] if keyed else []
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a in range(0, batch.num_rows, 1024):
-                rows = batch.slice(a, 1024)
-                fps, wide, parts = [], [[] for _ in range(WIDE)], []
-                for t in utf8_columns(rows, "text"):
-                    h = shingle_hashes(t, shingle)
-                    fps.append(vote(h))
-                    for i in range(WIDE):
-                        wide[i].append(vote(mix(h + np.uint64(i + 1))))
-                    parts.append(part_keys(h).tobytes())
-                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(fps, pa.int64()), *[pa.array(w, pa.int64()) for w in wide], pa.array(parts, pa.binary())], names=["id", "fp", *[f"w{i}" for i in range(WIDE)], "parts"])
-
-    rows = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).cast("string").alias("text"))
-    return durable(rows.mapInArrow(run, f"id long, fp long, {', '.join(f'w{i} long' for i in range(WIDE))}, parts binary"))
-
-
-def most_wide_bits(similarity: float) -> int:
-    """Bits of the 256 in which texts of that share of common shingles may differ: the mean by the angle between their counts, and one and a half deviations."""
-    p = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    n = 64 * WIDE
-    return math.floor(n * p + 1.5 * math.sqrt(n * p * (1 - p)))
-
-
-def similar_links(nodes: DataFrame, similarity: float) -> DataFrame:
-    """(a, b) between nodes (node, w0 to w3, parts) that have a part in common and differ in few enough of their 256 bits.
+                part = batch.slice(a, 1024)
+                fp = pa.array([fingerprint(t, shingle) for t in utf8_columns(part, "text")], pa.int64())
+                yield pa.RecordBatch.from_arrays([part.column(0), fp, *([part.column(2)] if keyed else [])], names=["id", "fp", *more])
 
-    In a run of equal parts each node is paired with one, picked by a hash of part and node: another
-    one in each run, and never all pairs of a run.
-    """
-
-    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            node = batch.column(0).to_numpy()
-            keys = [np.frombuffer(x, np.int64) for x in batch.column(1).to_pylist()]
-            sizes = [len(k) for k in keys]
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*keys, np.zeros(0, np.int64)])), pa.array(np.repeat(node, sizes))], names=["key", "node"])
-
-    def pair(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for key, node in whole_runs(batches, 2):
-            order = np.lexsort((mix(key.view(np.uint64) + mix(node.view(np.uint64))), key))
-            key, node = key[order], node[order]
-            first = np.concatenate([[True], key[1:] != key[:-1]])
-            head = node[np.maximum.accumulate(np.where(first, np.arange(len(key)), 0))]
-            other = ~first & (head != node)
-            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(head, node)[other]), pa.array(np.maximum(head, node)[other])], names=["a", "b"])
-
-    parts = int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = nodes.select("node", "parts").mapInArrow(keyed, "key long, node long").repartition(parts, "key").sortWithinPartitions("key")
-    pairs = durable(rows.mapInArrow(pair, "a long, b long").distinct())
-    side = lambda name: nodes.select(F.col("node").alias(name), *[F.col(f"w{i}").alias(f"{name}{i}") for i in range(WIDE)])
-    both = pairs.join(side("x"), F.col("a") == F.col("x")).join(side("y"), F.col("b") == F.col("y"))
-    differ = sum((F.bit_count(F.col(f"x{i}").bitwiseXOR(F.col(f"y{i}"))) for i in range(1, WIDE)), F.bit_count(F.col("x0").bitwiseXOR(F.col("y0"))))
-    return both.filter(differ <= most_wide_bits(similarity)).select("a", "b")
+    text = F.col(f"`{text_column}`").cast("string")
+    rows = docs.select(F.col(f"`{id_column}`").cast("long").alias("id"), text.alias("text"), *([text_key(text).alias("text_key")] if keyed else []))
+    return durable(rows.mapInArrow(run, "id long, fp long" + ", text_key long" * keyed))
 
 
 def whole_runs(batches: Iterator[pa.RecordBatch], columns: int) -> Iterator[list[np.ndarray]]:
@@ -300,24 +222,39 @@ def near_links(nodes: DataFrame, most: int = MOST_BITS) -> DataFrame:
     return keys.repartition(parts, "key").sortWithinPartitions("key", "fp").mapInArrow(link, "a long, b long").distinct()
 
 
-def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 4, most: int = MOST_BITS, similarity: float | None = None) -> DataFrame:
-    """(id, fp, component_id) of every row: the smallest id that is reached by links of ``most`` or fewer differing bits.
+def text_key(text: Column) -> Column:
+    """Tells apart unlike texts of one id; a null text is an empty one."""
+    return F.xxhash64(F.coalesce(text.cast("string"), F.lit("")))
+
 
-    With ``similarity``, texts with about that share of common shingles, by their 256 bits, are linked too.
+def representatives(rows: DataFrame) -> DataFrame:
+    """(id, text_key): of the rows (component, id, text_key) of each component the least."""
+    least = rows.groupBy("component").agg(F.min(F.struct("id", "text_key")).alias("least"))
+    return least.select("least.id", "least.text_key")
+
+
+def _component_of(rows: DataFrame, most: int) -> DataFrame:
+    """(of_fp, component) of every fingerprint in rows (id, fp): the smallest id that links reach."""
+    nodes = durable(rows.filter("id IS NOT NULL").groupBy("fp").agg(F.min("id").alias("node")))
+    # nodes of several fingerprints of one id are told apart by place, as unlike texts may share an id
+    placed = durable(nodes.withColumn("at", F.monotonically_increasing_id()))
+    found = components(near_links(placed.select("fp", F.col("at").alias("node")), most))
+    of = placed.join(found.withColumnRenamed("node", "member"), F.col("at") == F.col("member"), "left").select("fp", F.col("node").alias("id"), F.coalesce("component", "at").alias("part"))
+    of = durable(of)
+    least = of.groupBy("part").agg(F.min("id").alias("component"))
+    return durable(of.join(least, "part").select(F.col("fp").alias("of_fp"), "component", "part"))
+
+
+def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 4, most: int = MOST_BITS) -> DataFrame:
+    """(id, fp, component_id) of every row: the smallest id that is reached by links of ``most`` or fewer differing bits.
 
     Rows of equal fingerprints are linked.  A null text has no words: fingerprint zero, as an empty
     one.  Rows of a null id are returned with a null component and link nothing; repeated rows are
-    returned as often as they come; no rows give no rows.
+    returned as often as they come; unlike texts of one id are rows of their own, each linked by its
+    text; no rows give no rows.
     """
-    rows = fingerprints(docs, id_column, text_column, shingle) if similarity is None else views(docs, id_column, text_column, shingle)
-    nodes = durable(rows.filter("id IS NOT NULL").groupBy("fp").agg(F.min("id").alias("node")))
-    links = near_links(nodes, most)
-    if similarity is not None:
-        seen = rows.withColumnRenamed("fp", "seen_fp").join(nodes, (F.col("id") == F.col("node")) & (F.col("seen_fp") == F.col("fp"))).dropDuplicates(["node"])
-        links = links.unionByName(similar_links(durable(seen.select("node", *[f"w{i}" for i in range(WIDE)], "parts")), similarity))
-    found = components(links)
-    whole = durable(nodes.join(found, "node", "left").select(F.col("fp").alias("of_fp"), F.coalesce("component", "node").alias("component")))
-    joined = rows.join(whole, F.col("fp") == F.col("of_fp"), "left")
+    rows = fingerprints(docs, id_column, text_column, shingle)
+    joined = rows.join(_component_of(rows, most), F.col("fp") == F.col("of_fp"), "left")
     return joined.select("id", "fp", F.when(F.col("id").isNotNull(), F.col("component")).alias("component_id"))
 
 
@@ -327,10 +264,17 @@ def drop_near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column
     With ``similarity``, near copies are texts of that Jaccard similarity of shingles or more, exactly; without, of
     fingerprints of ``most`` or fewer differing bits.
 
-    Rows of a null id are not compared, and stay.  Of rows that share an id that
-    stays, one stays.  No rows give no rows; other columns are carried as they are.
+    Rows of a null id are not compared, and stay.  Unlike texts of one id are documents of their
+    own; of rows of one id and equal texts (a null text is an empty one) one stays.  No rows give no
+    rows; other columns are carried as they are.
     """
-    found = near_duplicates(docs, id_column, text_column, shingle, most) if similarity is None else jaccard_duplicates(docs, id_column, text_column, shingle, similarity)
-    keep = durable(found.filter("id = component_id").select(F.col("id").alias("__kept")).distinct())
-    rows = docs.filter(F.col(id_column).isNull()).unionByName(docs.join(keep, F.col(id_column) == F.col("__kept"), "left_semi").dropDuplicates([id_column]))
-    return rows
+    own = docs.select(F.col(f"`{id_column}`").cast("long").alias("id"), F.col(f"`{text_column}`").cast("string").alias("text")).filter("id IS NOT NULL")
+    if similarity is None:
+        rows = fingerprints(own, "id", "text", shingle, keyed=True)
+        found = representatives(rows.join(_component_of(rows, most), F.col("fp") == F.col("of_fp")).select(F.col("part").alias("component"), "id", "text_key"))
+    else:
+        found = jaccard_representatives(own, shingle, similarity)
+    kept = durable(found.select(F.col("id").alias("__kept_id"), F.col("text_key").alias("__kept_key")))
+    marked = docs.withColumn("__at_id", F.col(f"`{id_column}`").cast("long")).withColumn("__at_key", text_key(F.col(f"`{text_column}`")))
+    stay = marked.join(kept, (F.col("__at_id") == F.col("__kept_id")) & (F.col("__at_key") == F.col("__kept_key")), "left_semi").dropDuplicates(["__at_id", "__at_key"])
+    return docs.filter(F.col(f"`{id_column}`").isNull()).unionByName(stay.drop("__at_id", "__at_key"))

@@ -32,7 +32,7 @@ def test_oracles(spark, duck, name):
     assert sorted(tuple(str(r[c]) for c in columns) for r in got.collect()) == sorted(tuple(str(x) for x in r) for r in want.fetchall())
 
 
-def test_rules_edge_cases(spark):
+def test_rules_edge_cases(spark, monkeypatch):
     rows = [(1, None, "en", None), (2, "", None, "s"), (3, "one two three", "en", "s"), (4, "a b c d e " * 4, "en", "s"), (5, " ".join(f"w{i}" for i in range(50)), "en", "s"), (5, " ".join(f"w{i}" for i in range(50)), "en", "s"), (6, "same line here\n" * 2 + " ".join(f"v{i}" for i in range(60)), "en", "s")]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").withColumn("n_words", F.lit(7)).withColumn("kept", F.lit("x"))
     got = {r.id: r for r in quality_rules.verdicts(df).collect()}
@@ -42,6 +42,14 @@ def test_rules_edge_cases(spark):
     kept = quality_rules.keep_by_rules(df)
     assert kept.columns == df.columns and sorted(r.doc_id for r in kept.collect()) == [5, 5, 6]
     assert quality_rules.keep_by_rules(df.limit(0)).count() == 0
+    clash = df.select("*", *[F.lit(i).alias(c) for i, c in enumerate(("t", "t_lang", "t_source", "__q", "__c", "__h", "__l", "__salt", "row", "n", "a b", "features", "__kept"))])
+    for most in (quality_rules.MOST_BROADCAST, 0):
+        monkeypatch.setattr(quality_rules, "MOST_BROADCAST", most)
+        kept = quality_rules.keep_by_rules(clash)
+        assert kept.columns == clash.columns and sorted((r.doc_id, r["__salt"], r["t"]) for r in kept.collect()) == [(5, 7, 0), (5, 7, 0), (6, 7, 0)]
+        assert quality_rules.verdicts(clash).count() == 7
+    nulls = spark.createDataFrame([(None, "word " * 30, None, None), (None, None, None, None), (7, " ".join(f"x{i}" for i in range(200_000)), "en", "s")], "doc_id long, text string, lang string, source string")
+    assert sorted((r.id or 0, r.n_words, r.base_failed) for r in quality_rules.verdicts(nulls).collect()) == [(0, 0, True), (0, 30, True), (7, 200_000, False)]
     a, b = df.filter("doc_id < 5"), df.filter("doc_id >= 5")
     parts = quality_rules.sketch(quality_rules.with_stats(a)).unionByName(quality_rules.sketch(quality_rules.with_stats(b))).groupBy("lang", "source", "feature", "bucket").agg(F.sum("n").alias("n"))
     assert {tuple(r) for r in parts.collect()} == {tuple(r) for r in quality_rules.sketch(quality_rules.with_stats(df)).collect()}

@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from subweight.llm import simhash, substring_dedup
 from subweight.llm.common import Words, durable
@@ -130,7 +131,7 @@ def test_components_of_near_copies(spark):
     want = sorted((i, f, find(i)) for i, f in zip(ids, fp, strict=True))
     assert sorted((r.id, r.fp % (1 << 64), r.component_id) for r in got if r.id is not None) == want
     assert [r.component_id for r in got if r.id is None] == [None]
-    kept = simhash.drop_near_duplicates(df, shingle=4).collect()
+    kept = simhash.drop_near_duplicates(df, shingle=4, similarity=None).collect()
     assert sorted(r.doc_id for r in kept if r.doc_id is not None) == sorted({find(i) for i in ids})
     assert simhash.near_duplicates(df.limit(0)).count() == 0
 
@@ -165,31 +166,32 @@ def test_components(spark):
     assert durable(spark.range(3)).count() == 3
 
 
-def test_similar_texts(spark):
-    """Near copies with some words exchanged are linked, texts that share a long passage are not."""
+def test_both_key_sets_link_alike(spark, monkeypatch):
+    """The coarse keys and the fine ones, for very many fingerprints, give the same groups."""
     rng = np.random.default_rng(6)
-    words = [f"v{i}" for i in range(3000)]
-    rows, want = [], {}
-    for i in range(30):
-        base = rng.choice(words, int(rng.choice([40, 150, 600, 3000]))).tolist()
-        rows.append((10 * i, " ".join(base)))
-        want[10 * i] = 10 * i
-        for j in (1, 2):
-            copy = list(base)
-            for at in rng.choice(len(base), max(1, len(base) // 100), replace=False):
-                copy[int(at)] = "changed"
-            rows.append((10 * i + j, "\n".join(copy)))
-            want[10 * i + j] = 10 * i
-        passage = base[:60] if len(base) > 100 else []
-        rows.append((10 * i + 5, " ".join(passage + rng.choice(words, 100).tolist())))
-        want[10 * i + 5] = 10 * i + 5
+    rows, base = [], [f"t{i}" for i in range(300)]
+    for i in range(200):
+        base[int(rng.integers(0, 300))] = f"e{i}"
+        rows.append((i, " ".join(base)))
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
-    got = {r.id: r.component_id for r in simhash.near_duplicates(df, shingle=5, similarity=0.8).collect()}
-    assert sum(got[i] != want[i] for i in want) <= 2
-    assert all(got[i] == i for i in want if i % 10 == 5)
+    coarse = sorted(tuple(r) for r in simhash.near_duplicates(df).collect())
+    monkeypatch.setattr(simhash, "FINE_ABOVE", 0)
+    assert sorted(tuple(r) for r in simhash.near_duplicates(df).collect()) == coarse
+    assert 1 < len({r[2] for r in coarse}) < 200
+
+
+def test_unlike_texts_of_one_id(spark):
+    """A different text that shares an id is a document of its own; equal ones are one; columns may have any name."""
+    long = lambda tag, n=40: " ".join(f"{tag}{i}" for i in range(n))
+    rows = [(1, long("a"), "x"), (1, long("b"), "y"), (2, long("a") + " more", "z"), (1, long("b"), "y"), (3, None, None), (4, "", "e"), (None, long("a"), "n"), (2, long("c"), "w")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, node string").withColumn("keys", F.lit(1)).withColumn("text_key", F.lit(2))
+    for similarity in (0.8, None):
+        out = simhash.drop_near_duplicates(df, similarity=similarity)
+        assert out.columns == df.columns
+        got = sorted((r.doc_id or 0, (r.text or "")[:2]) for r in out.collect())
+        assert [x for x in got if x != (2, "a0")] == [(0, "a0"), (1, "a0"), (1, "b0"), (2, "c0"), (3, "")]
+        assert similarity is None or (2, "a0") not in got
     assert simhash.drop_near_duplicates(df.limit(0)).count() == 0
-    texts = [b"a b c", b"", None]
-    assert [len(simhash.part_keys(simhash.shingle_hashes(t, 5))) for t in texts] == [2, 0, 0]
 
 
 def test_runs_are_not_cut():
