@@ -24,8 +24,10 @@ PREDICTOR, TILE_WIDTH, TILE_HEIGHT, TILE_AT, TILE_SIZE, SAMPLE_FORMAT = 317, 322
 TYPES = {1: "B", 2: "c", 3: "H", 4: "I", 6: "b", 8: "h", 9: "i", 16: "Q"}
 PLAIN, LZW, DEFLATE, OLD_DEFLATE, PACKBITS = 1, 5, 8, 32946, 32773
 
-#: Most bytes of pixels that a page may claim.
-MOST_PIXEL_BYTES = 1 << 31
+#: Most bytes of pixels that the pages of one file may claim together.
+MOST_PIXEL_BYTES = 1 << 30
+#: What a damaged file may raise while it is read.
+DAMAGE = (ValueError, KeyError, IndexError, ArithmeticError, MemoryError, TypeError, struct.error, zlib.error)
 
 
 @dataclass
@@ -40,40 +42,55 @@ class Page:
     pixels: bytes  # rows from the top, samples of a pixel together, little-endian, 1 to 4 bits unpacked to bytes
 
 
-def unpack_bits(data: bytes) -> bytes:
-    out, i = bytearray(), 0
-    while i < len(data):
-        n = data[i]
-        if n < 128:
-            out += data[i + 1 : i + n + 2]
-            i += n + 2
+def unpack_bits(data: bytes, most: int | None = None) -> bytes:
+    """PackBits undone, up to about ``most`` bytes."""
+    out, i, n = bytearray(), 0, len(data)
+    most = MOST_PIXEL_BYTES if most is None else most
+    while i < n and len(out) < most:
+        head = data[i]
+        if head < 128:
+            out += data[i + 1 : i + head + 2]
+            i += head + 2
         else:
-            if n > 128 and i + 1 < len(data):
-                out += data[i + 1 : i + 2] * (257 - n)
-            i += 1 if n == 128 else 2
+            if head > 128 and i + 1 < n:
+                out += data[i + 1 : i + 2] * (257 - head)
+            i += 1 if head == 128 else 2
     return bytes(out)
 
 
 def pack_bits(data: bytes) -> bytes:
-    out, i, n = bytearray(), 0, len(data)
-    while i < n:
-        j = i + 1
-        while j < n and j - i < 128 and data[j] == data[i]:
-            j += 1
-        if j - i > 1:
-            out += bytes([257 - (j - i), data[i]])
-        else:
-            while j < n and j - i < 128 and not (j + 1 < n and data[j] == data[j + 1]):
-                j += 1
-            out += bytes([j - i - 1]) + data[i:j]
-        i = j
+    """Runs of three or more as a count and a byte, all else as stretches of up to 128 bytes."""
+    array = np.frombuffer(data, np.uint8)
+    edge = np.flatnonzero(np.concatenate([[True], array[1:] != array[:-1], [True]])) if len(array) else np.zeros(1, np.int64)
+    size = np.diff(edge)
+    long = np.flatnonzero(size >= 3)
+    out, at = bytearray(), 0
+
+    def plain(end: int) -> None:
+        nonlocal at
+        while at < end:
+            step = min(128, end - at)
+            out.append(step - 1)
+            out.extend(data[at : at + step])
+            at += step
+
+    for start, n in zip(edge[long].tolist(), size[long].tolist(), strict=True):
+        plain(start)
+        while n > 1:
+            step = min(128, n)
+            out += bytes([257 - step, data[start]])
+            at, n = at + step, n - step
+        plain(at + n)
+    plain(len(data))
     return bytes(out)
 
 
-def lzw_decode(data: bytes) -> bytes:
-    """Codes of 9 to 12 bits, first bit highest; 256 clears the table, 257 ends; widths grow one code early."""
+def lzw_decode(data: bytes, most: int | None = None) -> bytes:
+    """Codes of 9 to 12 bits, first bit highest; 256 clears the table, 257 ends; widths grow one code early.  Stops at about ``most`` bytes."""
     table: list[bytes] = []
-    out, held, bits, width, last = [], 0, 0, 9, b""
+    out, held, bits, width, last, made = [], 0, 0, 9, b"", 0
+    most = MOST_PIXEL_BYTES if most is None else most
+    clean = [bytes([i]) for i in range(256)] + [b"", b""]
     for byte in data:
         held = (held << 8 | byte) & 0xFFFFFF
         bits += 8
@@ -81,10 +98,10 @@ def lzw_decode(data: bytes) -> bytes:
             continue
         bits -= width
         code = held >> bits & ((1 << width) - 1)
-        if code == 257:
+        if code == 257 or made > most:
             break
         if code == 256:
-            table, width, last = [bytes([i]) for i in range(256)] + [b"", b""], 9, b""
+            table, width, last = clean.copy(), 9, b""
             continue
         if not table:
             raise ValueError("LZW data does not start with a clear code")
@@ -95,6 +112,7 @@ def lzw_decode(data: bytes) -> bytes:
         else:
             raise ValueError("LZW code out of range")
         out.append(entry)
+        made += len(entry)
         if last and len(table) < 4096:
             table.append(last + entry[:1])
             if len(table) + 1 >= 1 << width and width < 12:
@@ -104,53 +122,56 @@ def lzw_decode(data: bytes) -> bytes:
 
 
 def lzw_encode(data: bytes) -> bytes:
-    out, held, bits, width = bytearray(), 0, 0, 9
-
-    def put(code: int) -> None:
-        nonlocal held, bits
-        held, bits = held << width | code, bits + width
-        while bits >= 8:
-            bits -= 8
-            out.append(held >> bits & 255)
-        held &= (1 << bits) - 1
-
-    table = {bytes([i]): i for i in range(256)}
-    put(256)
-    at = b""
-    next_code = 258
-    for i in range(len(data)):
-        grown = at + data[i : i + 1]
-        if grown in table:
-            at = grown
+    """What ``lzw_decode`` reads; strings of the table are numbers of a shorter string's code and one more byte."""
+    codes, widths = [256], [9]
+    table: dict[int, int] = {}
+    at, next_code, width = -1, 258, 9
+    get = table.get
+    for byte in data:
+        if at < 0:
+            at = byte
+            continue
+        grown = at << 8 | byte
+        code = get(grown)
+        if code is not None:
+            at = code
             continue
-        put(table[at])
+        codes.append(at)
+        widths.append(width)
         table[grown] = next_code
         next_code += 1
         if next_code + 1 > 1 << width and width < 12:
             width += 1
         if next_code >= 4094:
-            put(256)
-            table, next_code, width = {bytes([i]): i for i in range(256)}, 258, 9
-        at = data[i : i + 1]
-    if at:
-        put(table[at])
+            codes.append(256)
+            widths.append(width)
+            table.clear()
+            next_code, width = 258, 9
+        at = byte
+    if at >= 0:
+        codes.append(at)
+        widths.append(width)
         if next_code + 2 > 1 << width and width < 12:  # the reader has added one more entry by then
             width += 1
-    put(257)
-    if bits:
-        out.append(held << (8 - bits) & 255)
-    return bytes(out)
+    codes.append(257)
+    widths.append(width)
+    bits = []
+    for a in range(0, len(codes), 1 << 16):  # the bits of each code, those above its width left out
+        each = (np.array(codes[a : a + (1 << 16)], np.uint16)[:, None] >> np.arange(11, -1, -1, dtype=np.uint16)) & 1
+        bits.append(each[np.arange(12)[None, :] >= 12 - np.array(widths[a : a + (1 << 16)])[:, None]].astype(np.uint8))
+    return np.packbits(np.concatenate(bits)).tobytes()
 
 
-def _inflate(data: bytes, compression: int) -> bytes:
+def _inflate(data: bytes, compression: int, most: int) -> bytes:
+    """A strip or tile, of which no more than about ``most`` bytes are wanted."""
     if compression == PLAIN:
         return data
     if compression in (DEFLATE, OLD_DEFLATE):
-        return zlib.decompressobj().decompress(data)
+        return zlib.decompressobj().decompress(data, max(1, most))
     if compression == LZW:
-        return lzw_decode(data)
+        return lzw_decode(data, most)
     if compression == PACKBITS:
-        return unpack_bits(data)
+        return unpack_bits(data, most)
     raise ValueError(f"compression {compression} is not supported")
 
 
@@ -181,19 +202,26 @@ class _Fields:
         return default
 
 
-def _page(data: bytes, f: _Fields, order: str) -> Page:
+def _page(data: bytes, f: _Fields, order: str, most: int) -> Page:
+    """One page; ValueError if it claims more than ``most`` bytes or a field has no sensible value."""
     width, height, samples = f.one(WIDTH), f.one(HEIGHT), f.one(SAMPLES, 1)
+    if min(width, height, samples) < 1:
+        raise ValueError("a page without pixels")
     bits, compression, predictor, form = f.one(BITS, 1), f.one(COMPRESSION, PLAIN), f.one(PREDICTOR, 1), f.one(SAMPLE_FORMAT, 1)
     planar = f.one(PLANAR, 1) == 2
     if bits not in (1, 2, 4, 8, 16, 32, 64) or any(b != bits for b in f.values.get(BITS, [])):
         raise ValueError("sample sizes that are not supported")
     size = max(1, bits // 8)
-    if width * height * samples * size > MOST_PIXEL_BYTES:
+    if width * height * samples * size > most:
         raise ValueError("the page claims too many pixels")
     tiled = TILE_AT in f.values
     across, down = (f.one(TILE_WIDTH), f.one(TILE_HEIGHT)) if tiled else (width, min(height, f.one(STRIP_ROWS, height)))
+    if min(across, down) < 1 or across * down * samples * size > most:
+        raise ValueError("strips or tiles of no sensible size")
     places, sizes = (f.values[TILE_AT], f.values[TILE_SIZE]) if tiled else (f.values[STRIP_AT], f.values[STRIP_SIZE])
     columns, lines, depth = -(-width // across), -(-height // down), 1 if planar else samples
+    if min(len(places), len(sizes)) < columns * lines * (samples if planar else 1) or min(*places, *sizes, 0) < 0:
+        raise ValueError("strips or tiles are missing")
     out = np.zeros((height, width, samples), f"<u{size}")
     for k in range(columns * lines * (samples if planar else 1)):
         plane, cell = divmod(k, columns * lines)
@@ -203,7 +231,7 @@ def _page(data: bytes, f: _Fields, order: str) -> Page:
         piece = data[places[k] : places[k] + sizes[k]]
         if f.one(FILL_ORDER, 1) == 2:
             piece = np.packbits(np.unpackbits(np.frombuffer(piece, np.uint8), bitorder="little")).tobytes()
-        raw = np.frombuffer(_inflate(piece, compression), np.uint8)[: here * row_bytes]
+        raw = np.frombuffer(_inflate(piece, compression, here * row_bytes), np.uint8)[: here * row_bytes]
         if len(raw) < here * row_bytes:
             raise ValueError("a strip or tile is too short")
         raw = raw.reshape(here, row_bytes)
@@ -237,22 +265,23 @@ def read_pages(data: bytes) -> list[Page]:
         magic, at = struct.unpack_from(f"{order}HI", data, 2)
         if magic != 42:
             raise ValueError("not a TIFF file")
-        pages, seen = [], set()
+        pages, seen, left = [], set(), MOST_PIXEL_BYTES
         while at:
             if at in seen:
                 raise ValueError("the directories form a ring")
             seen.add(at)
             fields = _Fields(data, at, order)
-            pages.append(_page(data, fields, order))
+            pages.append(_page(data, fields, order, left))
+            left -= len(pages[-1].pixels)
             at = fields.next
         return pages
-    except (KeyError, IndexError, struct.error, zlib.error) as e:
+    except DAMAGE as e:
         raise ValueError(f"damaged or no TIFF file: {e!r}") from e
 
 
 def write_pages(images: list[np.ndarray], compression: int = DEFLATE, predictor: int = 1, tile: tuple[int, int] | None = None, strip_rows: int = 0, order: str = "<", level: int = 6, planar: bool = False) -> bytes:
     """A file with a page for each (height, width, samples) array; unsigned or floating samples of 8 to 64 bits."""
-    pack = {PLAIN: bytes, DEFLATE: lambda b: zlib.compress(b, level), LZW: lzw_encode, PACKBITS: pack_bits}[compression]
+    pack = {PLAIN: lambda b, n: b, DEFLATE: lambda b, n: zlib.compress(b, level), LZW: lambda b, n: lzw_encode(b), PACKBITS: lambda b, n: b"".join([pack_bits(b[i : i + n]) for i in range(0, len(b), n)])}[compression]  # PackBits: each row by itself
     out = bytearray((b"II" if order == "<" else b"MM") + struct.pack(f"{order}HI", 42, 0))
     link = 4
     for image in images:
@@ -275,7 +304,7 @@ def write_pages(images: list[np.ndarray], compression: int = DEFLATE, predictor:
                     if predictor == 3:
                         split = np.ascontiguousarray(whole).reshape(rows, -1).astype(f">u{size}").view(np.uint8).reshape(rows, -1, size).transpose(0, 2, 1).reshape(rows, -1, whole.shape[2])
                         raw = np.concatenate([split[:, :1], split[:, 1:] - split[:, :-1]], axis=1).tobytes()
-                    piece = pack(raw)
+                    piece = pack(raw, len(raw) // rows)
                     places.append(len(out))
                     sizes.append(len(piece))
                     out += piece
@@ -349,8 +378,21 @@ def tiff_pages(df: DataFrame, media_column: str = "media") -> DataFrame:
     return df.select(*[F.col(f"`{c}`") for c in names], F.col(f"`{media_column}`").alias("__media")).mapInArrow(run, schema)
 
 
+#: How a payload may be stored: compression, predictor, tile (None: strips), byte order.
+LAYOUTS = [(c, p, t, o) for c in (DEFLATE, LZW, PACKBITS, PLAIN) for p in (1, 2) for t in (None, (192, 16)) for o in "<>"]
+
+
+def layout_of(payload: bytes) -> tuple:
+    """One of LAYOUTS, by the payload's CRC: equal payloads are stored alike."""
+    return LAYOUTS[zlib.crc32(payload) % len(LAYOUTS)]
+
+
 def store_text(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", row_bytes: int = 576) -> DataFrame:
-    """(id, n_bytes, media): a text's UTF-8, filled with 255 to whole rows (one at least), as a one-page 8-bit file of deflated strips."""
+    """(id, n_bytes, media): a text's UTF-8, filled with 255 to whole rows (one at least), as a one-page 8-bit file.
+
+    All compressions, predictors, strips and tiles and both byte orders are used, one picked by a
+    hash of the payload.  A null text is an empty one; repeated rows are stored as often as they come.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -360,9 +402,10 @@ def store_text(docs: DataFrame, id_column: str = "doc_id", text_column: str = "t
                 files = []
                 for t in texts:
                     rows = max(1, -(-len(t) // row_bytes))
-                    image = np.frombuffer(t.ljust(rows * row_bytes, b"\xff"), np.uint8).reshape(rows, row_bytes, 1)
-                    files.append(write_pages([image], DEFLATE, strip_rows=57))
+                    payload = t.ljust(rows * row_bytes, b"\xff")
+                    compression, predictor, tile, order = layout_of(payload)
+                    files.append(write_pages([np.frombuffer(payload, np.uint8).reshape(rows, row_bytes, 1)], compression, predictor, tile, 57, order))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(t) for t in texts], pa.int64()), pa.array(files, pa.binary())], names=["id", "n_bytes", "media"])
 
     kind = docs.schema[id_column].dataType.simpleString()
-    return docs.select(F.col(id_column).alias("id"), F.col(text_column).cast("string").alias("text")).mapInArrow(run, f"id {kind}, n_bytes long, media binary")
+    return docs.select(F.col(f"`{id_column}`").alias("id"), F.col(f"`{text_column}`").cast("string").alias("text")).mapInArrow(run, f"id {kind}, n_bytes long, media binary")

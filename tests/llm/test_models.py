@@ -211,6 +211,22 @@ def test_packing():
         assert packing.pack_shard(sizes, sources, clusters, capacity) == naive_pack(sizes, sources, clusters, capacity)
 
 
+def test_many_equal_rows(spark):
+    """Rows that are equal, or of one text, are spread over all shards and packed in bins apart."""
+    import time
+
+    rows = spark.range(40_000).select(F.lit(None).cast("long").alias("doc_id"), F.lit(7).alias("n_tokens"), F.lit("s").alias("source"), F.lit(1).alias("cluster"))
+    began = time.time()
+    out = packing.best_fit(rows, capacity=64)
+    assert out.groupBy("bin_id").count().filter("count > 1").count() == 0 and out.count() == 40_000
+    assert max(r[1] for r in out.groupBy(F.split("bin_id", "-")[0]).count().collect()) <= 8192
+    assert time.time() - began < 60
+    mixed = spark.range(3000).select(F.col("id").alias("doc_id"), (F.col("id") % 9 + 1).alias("n_tokens"), F.concat(F.lit("s"), F.col("id") % 50).alias("source"), F.when(F.col("id") % 3 == 0, 1).alias("cluster"))
+    one, many = (packing.best_fit(mixed.repartition(n), capacity=16, shard_rows=500) for n in (1, 7))
+    assert sorted(map(tuple, one.collect()), key=str) == sorted(map(tuple, many.collect()), key=str)
+    assert one.select(F.split("bin_id", "-")[0]).distinct().count() == 6
+
+
 def test_packing_rows(spark):
     rows = [(1, "a b c", "s"), (2, "a b c", "t"), (3, None, None), (4, "", None), (5, "w " * 30, "s"), (1, "a b c", "s"), (None, "x", "u"), (6, "solo", "t")]
     df = spark.createDataFrame(rows, "doc_id long, text string, source string").withColumn("bin_id", F.lit(1))
