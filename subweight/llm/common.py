@@ -69,6 +69,11 @@ def _remove(context, folder: str) -> None:
         pass
 
 
+def release(df: DataFrame) -> None:
+    """Let go of shuffle files that nothing can read any more: the engine removes them once the driver's plans are collected."""
+    df.sparkSession.sparkContext._jvm.System.gc()
+
+
 def words_of(text: str | bytes | None) -> list[bytes]:
     """Words of a text as UTF-8; none of a null."""
     if text is None:

@@ -23,8 +23,8 @@ def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"), min_words=13)
-    return out.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
+    out = remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"), min_words=13, longest=True)
+    return out.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"), "longest_repeat")
 
 
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -94,13 +94,17 @@ ORACLES = {
     "op4_chat_formatting": chat.ORACLE,
     "op8_quality_rules": quality_rules.oracle(),
     "op3_substring_dedup": rf"""
-        WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+        WITH RECURSIVE d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+        l AS (SELECT doc_id, 13 AS size, [hash(array_to_string(w[i : i + 12], ' ')) FOR i IN range(1, len(w) - 11)] AS h FROM d WHERE len(w) >= 13
+            UNION ALL SELECT doc_id, 2 * size, [hash(h[i], h[i + size]) FOR i IN range(1, len(h) - size + 1)] FROM l WHERE len(h) > size),
+        s AS (SELECT size, doc_id, unnest(h) AS h FROM l),
+        r AS (SELECT doc_id, max(size) AS longest FROM s JOIN (SELECT size, h FROM s GROUP BY ALL HAVING count(DISTINCT doc_id) > 1) USING (size, h) GROUP BY 1),
         p AS (SELECT doc_id, len(w) AS n, w, unnest(range(1, greatest(len(w) - 11, 1))) AS i FROM d),
         v AS (SELECT doc_id, i, array_to_string(w[i : i + 12], ' ') AS k FROM p),
         m AS (SELECT doc_id, i, min(doc_id) OVER (PARTITION BY k) AS least FROM v),
         g AS (SELECT DISTINCT doc_id, i + unnest(range(13)) AS i FROM m WHERE least < doc_id),
         c AS (SELECT doc_id, list(i) AS gone FROM g GROUP BY doc_id)
         SELECT d.doc_id, len(w)::BIGINT AS n_words, coalesce(len(gone), 0)::BIGINT AS n_removed,
-            sha256(coalesce(array_to_string([x FOR x, i IN w IF gone IS NULL OR NOT list_contains(gone, i)], ' '), '')) AS kept_sha256
-        FROM d LEFT JOIN c USING (doc_id)""",
+            sha256(coalesce(array_to_string([x FOR x, i IN w IF gone IS NULL OR NOT list_contains(gone, i)], ' '), '')) AS kept_sha256, coalesce(longest, 0)::BIGINT AS longest_repeat
+        FROM d LEFT JOIN c USING (doc_id) LEFT JOIN r USING (doc_id)""",
 }

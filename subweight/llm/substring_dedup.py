@@ -8,7 +8,9 @@ removal is decided, or, with ``longest=True``, when no candidates survive.
 
 Each level is one exchange of block questions (see ``common``): a block sends its distinct window
 hashes, gets a bit for each back.  Hashes at level 0 only choose candidates, so their collisions
-cost time, not results; later levels use 96 bits.
+cost time, not results; the wanted length is decided by 96 bits.  Beyond it texts are not read
+again: a block keeps the hashes of its repeated windows, and a window of twice the length is two of
+them end to end.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import QUESTION_ARROW, QUESTION_SCHEMA, Words, arrow_rows, ask, bucket_count, split_buckets, to_blocks, unpack, utf8_columns, with_answers
+from .common import ANSWER_ARROW, ANSWER_SCHEMA, QUESTION_ARROW, QUESTION_SCHEMA, Words, arrow_rows, ask, bucket_count, durable, mix, pack, release, split_buckets, to_blocks, unpack, utf8_columns, with_answers
 
 #: Seeds of the window hashes.
 SEED_A, SEED_B = 101, 202
@@ -30,12 +32,9 @@ SEED_A, SEED_B = 101, 202
 NO_ID = np.iinfo(np.int64).max
 
 
-def levels(min_words: int, longest: bool, most_words: int) -> list[int]:
-    """Window lengths: half, whole, then doubled while texts are that long."""
-    out = [(min_words + 1) // 2, min_words]
-    while longest and out[-1] * 2 <= most_words:
-        out.append(out[-1] * 2)
-    return out
+def levels(min_words: int) -> list[int]:
+    """Window lengths up to the decision: half, whole."""
+    return [(min_words + 1) // 2, min_words]
 
 
 def _bits(flags: np.ndarray) -> bytes:
@@ -162,45 +161,31 @@ class Block:
         return out
 
     def run(self, answers: list[dict[int, bytes]]) -> dict:
-        """Replay the levels that have answers; what stands at the next one."""
+        """Replay the levels that have answers; what stands at the next one, or at the end."""
         starts, index, keys, several = self.first()
         if not answers:
             return {"level": 0, "keys": keys, "several": several}
         (repeated,) = self.read(keys, answers[0], 1)
         at = starts[repeated[index]]
-        removed, longest = np.zeros(0, np.int64), np.zeros(len(self.words.counts), np.int64)
-        for level in range(1, len(self.lengths)):
-            length = self.lengths[level]
-            state = self.later(length, at) | {"level": level, "removed": removed, "longest": longest}
-            if level == len(answers):
-                return state
-            smaller, repeated = self.read(state["a"], answers[level], 2)
-            hit = repeated[state["index"]] | state["several"][state["index"]]
-            if level == 1:
-                removed = at[smaller[state["index"]] | (self.id_of_word[at] > state["low"][state["index"]])]
-            longest[self.words.text[at[hit]]] = length
-            if level + 1 < len(self.lengths):
-                alive = np.zeros(len(self.words) + 1, bool)
-                alive[at[hit]] = True
-                both = at[hit]
-                both = both[both + length < len(self.words)]
-                both = both[alive[both + self.lengths[level + 1] - length]]
-                at = both[self._valid(self.lengths[level + 1])[both]] if len(both) else both
-        return {"level": len(self.lengths), "removed": removed, "longest": longest}
+        state = self.later(self.lengths[1], at) | {"level": 1}
+        if len(answers) == 1:
+            return state
+        smaller, repeated = self.read(state["a"], answers[1], 2)
+        index = state["index"]
+        hit = repeated[index] | state["several"][index]
+        removed = at[smaller[index] | (self.id_of_word[at] > state["low"][index])]
+        return {"level": 2, "removed": removed, "starts": at[hit], "hash": state["a"][index[hit]]}
 
     def questions(self, block_id: int, state: dict) -> list[tuple]:
-        first = state["level"] == 0
-        keys = state["keys"] if first else state["a"]
+        if state["level"] == 0:
+            return _first_questions(block_id, 0, state["keys"], state["several"], self.buckets)
+        keys = state["a"]
         bounds, buckets = split_buckets(keys, self.buckets)
         rows = []
         for k, bucket in enumerate(buckets):
             s = slice(bounds[k], bounds[k + 1])
-            if first:
-                blob, extra = np.ascontiguousarray((keys[s] >> np.uint64(16)).view(np.uint8).reshape(-1, 8)[:, :6]).tobytes(), _bits(state["several"][s])
-            else:
-                blob = np.hstack([keys[s].view(np.uint8).reshape(-1, 8), state["b"][s].view(np.uint8).reshape(-1, 4)]).tobytes()
-                extra = _bits(state["several"][s]) + _pack_ids(state["low"][s])
-            rows.append((int(bucket), state["level"], block_id, blob, extra))
+            blob = np.hstack([keys[s].view(np.uint8).reshape(-1, 8), state["b"][s].view(np.uint8).reshape(-1, 4)]).tobytes()
+            rows.append((int(bucket), 1, block_id, blob, _bits(state["several"][s]) + _pack_ids(state["low"][s])))
         return rows
 
     def kept(self, removed: np.ndarray, length: int) -> tuple[np.ndarray, list[bytes]]:
@@ -221,6 +206,67 @@ class Block:
         return lost, out
 
 
+class Runs:
+    """The repeated windows of a block, from the wanted length on: their starts, texts and hashes, and what answers have left of them."""
+
+    def __init__(self, starts: np.ndarray, text: np.ndarray, hashes: np.ndarray, length: int, buckets: int):
+        self.starts, self.text, self.hashes, self.length, self.buckets = starts, text, hashes, length, buckets
+        self.longest: dict[int, int] = {}
+        self._note()
+
+    def _note(self) -> None:
+        self.longest |= dict.fromkeys(np.unique(self.text).tolist(), self.length)
+
+    def packed(self) -> bytes:
+        return pack(pa.RecordBatch.from_arrays([pa.array(np.diff(self.starts, prepend=0)), pa.array(np.diff(self.text, prepend=0)), pa.array(self.hashes)], names=["starts", "text", "hash"]))
+
+    @classmethod
+    def unpacked(cls, blob: bytes, length: int, buckets: int) -> Runs:
+        batch = unpack(blob)
+        return cls(np.cumsum(batch.column(0).to_numpy()), np.cumsum(batch.column(1).to_numpy()), batch.column(2).to_numpy(), length, buckets)
+
+    def double(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Windows of twice the length, made of two: index into the sorted distinct hashes, those, and whether two texts here have each."""
+        other = np.searchsorted(self.starts, self.starts + self.length)
+        there = np.minimum(other, max(0, len(self.starts) - 1))
+        both = (other < len(self.starts)) & (self.starts[there] == self.starts + self.length) & (self.text[there] == self.text) if len(self.starts) else np.zeros(0, bool)
+        hashes = mix(mix(self.hashes[both]) + self.hashes[there[both]])
+        self.starts, self.text, self.hashes, self.length = self.starts[both], self.text[both], hashes, 2 * self.length
+        keys, index = np.unique(hashes, return_inverse=True)
+        order = np.argsort(index, kind="stable")
+        of, first = self.text[order], np.searchsorted(index[order], np.arange(len(keys)))
+        several = np.minimum.reduceat(of, first) != np.maximum.reduceat(of, first) if len(keys) else np.zeros(0, bool)
+        return index, keys, several
+
+    def keep(self, alive: np.ndarray) -> None:
+        self.starts, self.text, self.hashes = self.starts[alive], self.text[alive], self.hashes[alive]
+        self._note()
+
+    def replay(self, answers: list[dict[int, bytes]]) -> tuple[np.ndarray, np.ndarray]:
+        """Go through the answered levels; the keys and flags of the next one."""
+        for told in answers:
+            index, keys, several = self.double()
+            repeated = np.zeros(len(keys), bool)
+            bounds, buckets = split_buckets(keys, self.buckets)
+            for k, bucket in enumerate(buckets):
+                if int(bucket) in told:
+                    repeated[bounds[k] : bounds[k + 1]] = _flags(told[int(bucket)], int(bounds[k + 1] - bounds[k]))
+            self.keep((repeated | several)[index])
+        _, keys, several = self.double()
+        return keys, several
+
+
+def _first_questions(block_id: int, level: int, keys: np.ndarray, several: np.ndarray, buckets: int) -> list[tuple]:
+    """48 bits of each key beside its bucket, and whether two texts of the block have it."""
+    rows = []
+    bounds, own = split_buckets(keys, buckets)
+    for k, bucket in enumerate(own):
+        s = slice(bounds[k], bounds[k + 1])
+        blob = np.ascontiguousarray((keys[s] >> np.uint64(16)).view(np.uint8).reshape(-1, 8)[:, :6]).tobytes()
+        rows.append((int(bucket), level, block_id, blob, _bits(several[s])))
+    return rows
+
+
 def _block(row_payload: bytes, id_column: str, text_column: str, lengths: list[int], buckets: int) -> tuple[pa.RecordBatch, Block]:
     batch = unpack(row_payload)
     ids = batch.column(id_column).cast(pa.int64()).fill_null(int(NO_ID)).to_numpy(zero_copy_only=False)
@@ -234,39 +280,77 @@ def _by_level(answers, levels_so_far: int) -> list[dict[int, bytes]]:
     return out
 
 
+def longest_repeats(blocks: DataFrame, answers: list[DataFrame], load, min_words: int, buckets: int) -> DataFrame:
+    """Answers (level -1, bucket 0) with the longest doubled length of the repeated windows of each text of a block; levels go on until no window is left."""
+
+    def start(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                _, block = load(row["payload"])
+                state = block.run(_by_level(row["answers"], 2))
+                if len(state["starts"]):
+                    runs = Runs(state["starts"], block.words.text[state["starts"]], state["hash"], min_words, buckets)
+                    yield pa.RecordBatch.from_arrays([pa.array([row["block_id"]], pa.int64()), pa.array([runs.packed()], pa.binary())], names=["block_id", "state"])
+
+    states = durable(with_answers(blocks, answers).mapInArrow(start, "block_id long, state binary"))
+    told: list[DataFrame] = []
+    while True:
+        level = len(told)
+
+        def send(batches: Iterator[pa.RecordBatch], level=level) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for row in batch.to_pylist():
+                    runs = Runs.unpacked(row["state"], min_words, buckets)
+                    keys, several = runs.replay(_by_level(row["answers"], level))
+                    yield arrow_rows(_first_questions(row["block_id"], level, keys, several, buckets), QUESTION_ARROW)
+
+        told.append(ask(with_answers(states, told).mapInArrow(send, QUESTION_SCHEMA), answer_first))
+        release(states)
+        if told[-1].isEmpty():
+            break
+    depth = len(told)
+
+    def end(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                runs = Runs.unpacked(row["state"], min_words, buckets)
+                runs.replay(_by_level(row["answers"], depth))
+                text, most = np.array([*runs.longest.items()], np.int64).reshape(-1, 2).T
+                yield arrow_rows([(row["block_id"], -1, 0, np.concatenate([text, most]).tobytes())], ANSWER_ARROW)
+
+    return durable(with_answers(states, told).mapInArrow(end, ANSWER_SCHEMA))
+
+
 def remove_repeats(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", min_words: int = 13, longest: bool = False, stats: bool = True) -> DataFrame:
     """Remove every word that a window of ``min_words`` words covers whose words also start in a row of a smaller id.
 
     Returns the columns of ``docs`` with the kept words, joined by one space, as text (rows that lose
     nothing keep their text as it is) and, with ``stats``, n_words, n_removed and kept_text (in place
-    of columns of these names), with ``longest`` also longest_repeat: the largest length of the
-    doubled windows of a row that other rows have too.
+    of columns of these names), with ``longest`` also longest_repeat: of the lengths min_words,
+    doubled again and again, the largest with a window of the row that another row has too (0: none).
 
     A null text has no words and stays null (kept_text: empty); shorter texts than a window are kept
-    whole; rows of one id do not remove each other's words; a row with a null id loses words to rows
-    with ids and takes none; no rows give no rows.  A long text is worked on whole, in one task.
+    whole; rows of one id do not remove each other's words (beyond min_words the longest repeat takes
+    them for other rows); a row with a null id loses words to rows with ids and takes none; no rows give no rows.  A long text is worked on whole, in one task.
     """
     added = ["n_words", "n_removed", "kept_text", *(["longest_repeat"] if longest else [])] if stats else []
-    docs = docs.select(*[c for c in docs.columns if c not in added])
+    docs = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in added])
     blocks = to_blocks(docs, text_column)
     buckets = bucket_count(blocks)
-    most = 0
-    if longest:
-        most = docs.agg(F.max(F.length(text_column))).first()[0] or 0
-    lengths = levels(min_words, longest, most)
+    lengths = levels(min_words)
+    load = lambda payload: _block(payload, id_column, text_column, lengths, buckets)
     answers: list[DataFrame] = []
     for level in range(len(lengths)):
 
         def send(batches: Iterator[pa.RecordBatch], level=level) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for row in batch.to_pylist():
-                    _, block = _block(row["payload"], id_column, text_column, lengths, buckets)
+                    _, block = load(row["payload"])
                     yield arrow_rows(block.questions(row["block_id"], block.run(_by_level(row["answers"], level))), QUESTION_ARROW)
 
         answers.append(ask(with_answers(blocks, answers).mapInArrow(send, QUESTION_SCHEMA), answer_first if level == 0 else answer_next))
-        if level >= 1 and longest and answers[-1].isEmpty():
-            lengths = lengths[: level + 1]
-            break
+        release(docs)
+    told = [*answers, *([longest_repeats(blocks, answers, load, min_words, buckets)] if longest else [])]
 
     long = T.LongType()
     schema = T.StructType([*docs.schema.fields, *[T.StructField(c, T.StringType() if c == "kept_text" else long) for c in added]])
@@ -276,8 +360,8 @@ def remove_repeats(docs: DataFrame, id_column: str = "doc_id", text_column: str
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                rows, block = _block(row["payload"], id_column, text_column, lengths, buckets)
-                state = block.run(_by_level(row["answers"], len(lengths)))
+                rows, block = load(row["payload"])
+                state = block.run(_by_level([x for x in row["answers"] or [] if x["level"] >= 0], len(lengths)))
                 lost, kept = block.kept(state["removed"], min_words)
                 old = rows.column(text_at)
                 changed = pa.array([k if n else None for k, n in zip(kept, lost, strict=True)], pa.binary()).cast(old.type)
@@ -285,7 +369,13 @@ def remove_repeats(docs: DataFrame, id_column: str = "doc_id", text_column: str
                 columns[text_at] = pc.coalesce(changed, old)
                 if added:
                     columns += [pa.array(block.words.counts), pa.array(lost, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string())]
-                    columns += [pa.array(state["longest"])] if longest else []
+                if added and longest:
+                    most = np.zeros(len(lost), np.int64)
+                    for x in row["answers"] or []:
+                        if x["level"] < 0:
+                            text, value = np.frombuffer(x["answer"], np.int64).reshape(2, -1)
+                            most[text] = value
+                    columns.append(pa.array(most))
                 yield pa.RecordBatch.from_arrays(columns, names=names)
 
-    return with_answers(blocks, answers).mapInArrow(finish, schema)
+    return with_answers(blocks, told).mapInArrow(finish, schema)

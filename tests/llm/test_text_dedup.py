@@ -60,6 +60,19 @@ def test_levels_double(spark):
     rows = [(1, base), (2, "x " + base + " y"), (3, " ".join(f"a{i}" for i in range(20)) + " z"), (4, "none of it")]
     out = substring_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), longest=True)
     assert {r.doc_id: r.longest_repeat for r in out.collect()} == {1: 52, 2: 52, 3: 13, 4: 0}
+    rows = [(i, t) for i, (_, t) in enumerate(corpus())]
+    out = substring_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), min_words=3, longest=True)
+    words = [(t or "").encode().split() for _, t in rows]
+    want = dict.fromkeys(range(len(rows)), 0)
+    size = 3
+    while any(len(w) >= size for w in words):
+        seen = {}
+        for i, w in enumerate(words):
+            for j in range(len(w) - size + 1):
+                seen.setdefault(tuple(w[j : j + size]), set()).add(i)
+        want |= {i: size for s in seen.values() if len(s) > 1 for i in s}
+        size *= 2
+    assert {r.doc_id: r.longest_repeat for r in out.collect()} == want
     assert substring_dedup.remove_repeats(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
 
