@@ -19,8 +19,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-#: Pieces remembered by one worker.
-MOST_REMEMBERED = 400_000
+#: Bytes of pieces and their ids remembered by one worker, and what each takes besides.
+MOST_REMEMBERED, PIECE_COST = 64 << 20, 150
 _NONE = 1 << 62
 
 
@@ -89,7 +89,7 @@ class Encoder:
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         import regex
 
-        self.ranks, self.known = ranks, {}
+        self.ranks, self.known, self.held = ranks, {}, 0
         self.pieces = regex.compile(pattern).findall
         self.tokens = [b""] * (max(ranks.values(), default=-1) + 1)
         for token, rank in ranks.items():
@@ -104,21 +104,30 @@ class Encoder:
             pass
         for p in pieces:
             if p not in known:
-                if len(known) >= MOST_REMEMBERED:
+                ids = self._merged(p)
+                cost = len(p) + len(ids) + PIECE_COST
+                if self.held + cost > MOST_REMEMBERED:
                     return self._slowly(pieces)
-                known[p] = b"".join([x.to_bytes(4, "little") for x in merge(p.encode(), self.ranks)])
+                known[p] = ids
+                self.held += cost
         return b"".join([known[p] for p in pieces])
 
+    def _merged(self, piece: str) -> bytes:
+        return b"".join([x.to_bytes(4, "little") for x in merge(piece.encode(), self.ranks)])
+
     def _slowly(self, pieces: list[str]) -> bytes:
-        """For the text at which memory is full: start a new one."""
+        """For the text at which memory is full: start a new one; what does not fit is worked out each time."""
         self.known.clear()
+        self.held = 0
         out = []
         for p in pieces:
             ids = self.known.get(p)
             if ids is None:
-                ids = b"".join([x.to_bytes(4, "little") for x in merge(p.encode(), self.ranks)])
-                if len(self.known) < MOST_REMEMBERED:
+                ids = self._merged(p)
+                cost = len(p) + len(ids) + PIECE_COST
+                if self.held + cost <= MOST_REMEMBERED:
                     self.known[p] = ids
+                    self.held += cost
             out.append(ids)
         return b"".join(out)
 

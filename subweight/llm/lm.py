@@ -3,14 +3,20 @@
 The text is a row of tokens: its words in lower case (A-Z), then one end.  Every token has a *cell*,
 a hash of a short word or of a longer word's last bytes; 16 classes have 32 cells each.  The model
 gives P(class | context), P(cell | class, context) and P(token | cell): the first two are softmaxes
-over hashed features of the context (the cell before, the one before that alone, both together, and
-a constant), the last comes from the counts of the training tokens of the cell.
+over hashed features of the context, the last comes from the counts of the training tokens of the cell.
+Features are of two kinds.  Dense ones, in tables of a fixed size, are of the cells before: the last
+one, the one before that alone (a skip), both together, and a constant.  Sparse ones are of the words
+themselves: the last two words together with a class, or with a cell, that came after them in
+training; their table has a row for each that was seen and grows with the corpus.
 
 Counts: every block sends its distinct words with their counts to buckets and gets back the totals.
-Training: in each round every task takes the weights as they are, makes gradient steps over the
+Dense training: in each round every task takes the weights as they are, makes gradient steps over the
 training texts of its own blocks, and sends the changed rows; rows are averaged by how often they
-were used.  Each round has other blocks, and the rounds together have all of them.  Scoring: the
-weights have a fixed size and are broadcast.
+were used.  Each round has other blocks, and the rounds together have all of them.  Sparse training:
+every block sends its distinct (two words, cell) with their counts to buckets; a bucket has all that
+came after its word pairs, and as their dense features are the same in every place, it makes the
+gradient steps of their sparse weights over the whole corpus at once, and answers each block with
+what the weights add to the log-probabilities.  Scoring adds both; the dense weights are broadcast.
 """
 
 from __future__ import annotations
@@ -22,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import QUESTION_ARROW, QUESTION_SCHEMA, Words, arrow_rows, ask, bucket_count, mix, split_buckets, to_blocks, unpack, with_answers
+from .common import QUESTION_ARROW, QUESTION_SCHEMA, Words, arrow_rows, ask, bucket_count, mix, release, split_buckets, to_blocks, unpack, with_answers
 
 CLASSES, MEMBERS = 16, 32
 CELLS = CLASSES * MEMBERS
@@ -33,6 +39,8 @@ SHORT = 4
 CLASS_ROWS, MEMBER_ROWS = 1 << 12, 1 << 14
 #: Rounds, tokens of a gradient step, rate of the steps; tokens scored at a time.
 ROUNDS, BATCH, RATE, STEP = 3, 8192, 0.15, 1 << 19
+#: Fewest training tokens after a pair of words that has sparse weights; the weight of their squares; their gradient steps, and the longest one.
+LEAST_SEEN, RIDGE, PAIR_STEPS, LONGEST_STEP = 2, 0.25, 12, 1.0
 #: What the squares of gradients start from: larger, and rarely used weights move less.
 DAMPING = 0.01
 SEED = 77
@@ -77,6 +85,19 @@ class Tokens:
         return before[0] * (CELLS + 1) + before[1]
 
 
+    def pairs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct (two words before, cell): 64-bit keys in order, each token's place among them, and the keys' contexts and cells."""
+        words = np.zeros(len(self.text), np.uint64)
+        words[self.at] = self.hashes
+        before = np.zeros((2, len(words)), np.uint64)  # 0: the start
+        for d in (1, 2):
+            same = self.text[d:] == self.text[:-d]
+            before[d - 1, d:][same] = words[:-d][same]
+        both = mix(before[0] + mix(before[1] + np.uint64(1)))
+        keys, first, index = np.unique(both >> np.uint64(9) << np.uint64(9) | self.cells.astype(np.uint64), return_index=True, return_inverse=True)
+        return keys, index, self.contexts()[first], self.cells[first]
+
+
 def _ranked(values: np.ndarray, below: int) -> tuple[np.ndarray, np.ndarray]:
     """The distinct values, in order, and each value's place among them; by marking, as values are under a known bound."""
     there = np.zeros(below, bool)
@@ -196,7 +217,7 @@ def _block(payload: bytes) -> tuple[np.ndarray, np.ndarray, list[bytes | None]]:
 def train(blocks: DataFrame, of_cell: np.ndarray, rounds: int = ROUNDS) -> list[np.ndarray]:
     """Weights after all rounds over the training texts of all blocks."""
     weights = new_weights(of_cell)
-    fields = ", ".join(f"d{i} double" for i in range(WIDTH))
+    fields = ", ".join(f"d{i} float" for i in range(WIDTH))
     names = ["t", "row", "n", *[f"d{i}" for i in range(WIDTH)]]
     for turn in range(rounds):
         sent = blocks.sparkSession.sparkContext.broadcast(weights)  # 2.3 MB, whatever the data
@@ -209,7 +230,7 @@ def train(blocks: DataFrame, of_cell: np.ndarray, rounds: int = ROUNDS) -> list[
                     trainer.learn(Tokens([t for t, h in zip(texts, held, strict=True) if not h]))
             for t, (old, new, used) in enumerate(zip(sent.value, trainer.weights, trainer.used, strict=True)):
                 row = np.flatnonzero(used)
-                moved = np.zeros((len(row), WIDTH))
+                moved = np.zeros((len(row), WIDTH), np.float32)
                 moved[:, : old.shape[1]] = (new[row] - old[row]) * used[row, None]
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(row), t, np.int32)), pa.array(row, pa.int32()), pa.array(used[row]), *[pa.array(moved[:, i]) for i in range(WIDTH)]], names=names)
 
@@ -298,6 +319,126 @@ def count_words(blocks: DataFrame) -> tuple[DataFrame, np.ndarray]:
     return answers.filter("block_id >= 0"), of_cell
 
 
+# ---------------------------------------------------------------- sparse weights of word pairs
+
+#: A question is 32 bits of the pair's hash (of others than give the bucket), 18 of its context, 9 of the cell and 5 of the count; the last value of the latter two stands for more.
+_CONTEXT_AT, _CELL_AT, _MANY = 14, 5, 31
+_AT_START = (1 << 18) - 1
+
+
+def pair_questions(block_id: int, keys: np.ndarray, context: np.ndarray, cells: np.ndarray, learnt: np.ndarray, buckets: int) -> list[tuple]:
+    place = np.minimum(context, _AT_START).astype(np.uint64)  # only START, START is above
+    record = (keys >> np.uint64(9)) << np.uint64(32) | place << np.uint64(_CONTEXT_AT) | cells.astype(np.uint64) << np.uint64(_CELL_AT) | np.minimum(learnt, _MANY).astype(np.uint64)
+    bounds, own = split_buckets(keys, buckets)
+    rows = []
+    for k, b in enumerate(own):
+        s = slice(bounds[k], bounds[k + 1])
+        rows.append((int(b), 1, block_id, record[s].tobytes(), _small(learnt[s][learnt[s] >= _MANY])))
+    return rows
+
+
+def fit_sparse(group: np.ndarray, chance: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Weights w of the entries of each group, and the log of each group's normaliser 1 + sum of chance * (exp(w) - 1).
+
+    ``chance``: what the dense features give the entry; n: how often it came.  Gradient steps, scaled by
+    the curvature of each weight, on the log-likelihood less RIDGE / 2 of the weights' squares.
+    """
+    w, whole = np.zeros(len(n)), np.bincount(group, n)
+    normal = lambda: 1 + np.bincount(group, chance * np.expm1(w), len(whole))
+    for _ in range(PAIR_STEPS):
+        p = chance * np.exp(w) / normal()[group]
+        slope, bend = n - whole[group] * p - RIDGE * w, whole[group] * p * (1 - p) + RIDGE
+        w += np.clip(slope / bend, -LONGEST_STEP, LONGEST_STEP)
+    return w, np.log(normal())
+
+
+def _among(sorted_values: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """Places among sorted distinct values; -1: not there."""
+    if not len(sorted_values):
+        return np.full(len(values), -1)
+    at = np.minimum(np.searchsorted(sorted_values, values), len(sorted_values) - 1)
+    return np.where(sorted_values[at] == values, at, -1)
+
+
+def pair_gains(pair: np.ndarray, context: np.ndarray, cell: np.ndarray, n: np.ndarray, weights: list[np.ndarray]) -> np.ndarray:
+    """What sparse weights add to the natural log of P(cell | context), for distinct (pair, cell) sorted by pair with their training counts."""
+    out = np.zeros(len(pair))
+    _, first, of = np.unique(pair, return_index=True, return_inverse=True)
+    active = np.bincount(of, n) >= LEAST_SEEN
+    rows = np.flatnonzero(active[of])
+    if not len(rows):
+        return out
+    number = np.cumsum(active) - 1  # of an active pair
+    of, cell, n, context = number[of[rows]], cell[rows], n[rows], context[first[active]]
+    seen = n > 0
+    kind, member = np.divmod(cell, MEMBERS)
+    entry = np.unique(of[seen] * CELLS + cell[seen])  # (pair, cell) with a weight
+    count = np.bincount(_among(entry, of * CELLS + cell)[seen], n[seen], len(entry))
+    classes, class_of = np.unique(entry // MEMBERS, return_inverse=True)  # (pair, class) with a weight
+    p, q = np.zeros(len(classes)), np.zeros(len(entry))
+    distinct, index = np.unique(context, return_inverse=True)
+    for a in range(0, len(distinct), STEP // 8):  # the dense chances of classes
+        own = _softmax(_logits(weights[0], _class_rows(_features(distinct[a : a + STEP // 8])), np.full(len(distinct[a : a + STEP // 8]), CLASS_ROWS)))
+        here = (index[classes // CLASSES] >= a) & (index[classes // CLASSES] < a + STEP // 8)
+        p[here] = own[index[classes[here] // CLASSES] - a, classes[here] % CLASSES]
+    both, at = np.unique(index[classes // CLASSES] * CLASSES + classes % CLASSES, return_inverse=True)
+    place = at[class_of]
+    order = np.argsort(place, kind="stable")
+    edge = np.searchsorted(place[order], np.arange(0, len(both) + STEP // 8, STEP // 8))
+    for i, a in enumerate(range(0, len(both), STEP // 8)):  # and of members
+        part = both[a : a + STEP // 8]
+        own = _softmax(_logits(weights[1], _member_rows(_features(distinct[part // CLASSES]), part % CLASSES), MEMBER_ROWS + part % CLASSES))
+        here = order[edge[i] : edge[i + 1]]
+        q[here] = own[place[here] - a, entry[here] % MEMBERS]
+    w, z = fit_sparse(classes // CLASSES, p, np.bincount(class_of, count))
+    u, y = fit_sparse(class_of, q, count)
+    here, there = _among(classes, of * CLASSES + kind), _among(entry, of * CELLS + cell)
+    out[rows] = np.where(here >= 0, w[here] - y[here], 0) + np.where(there >= 0, u[there], 0) - z[of]
+    return out
+
+
+def answer_pairs(keys: list[bytes], extras: list[bytes], weights: list[np.ndarray]) -> list[bytes | None]:
+    """For each block's questions: a bit for each that has a gain, then those gains."""
+    sizes = [len(k) // 8 for k in keys]
+    record = np.frombuffer(b"".join(keys), np.uint64)
+    n = (record & np.uint64(_MANY)).astype(np.int64)
+    many = np.flatnonzero(n == _MANY)
+    n[many] = np.concatenate([_large(x) for x in extras])
+    distinct, index = np.unique(record >> np.uint64(_CELL_AT), return_inverse=True)
+    n = np.bincount(index, n, len(distinct))
+    context = ((distinct >> np.uint64(_CONTEXT_AT - _CELL_AT)) & np.uint64(_AT_START)).astype(np.int64)
+    context[context == _AT_START] = START * (CELLS + 1) + START
+    gain = pair_gains(distinct >> np.uint64(_CONTEXT_AT - _CELL_AT), context, (distinct & np.uint64(CELLS - 1)).astype(np.int64), n, weights)[index].astype(np.float32)
+    out, at = [], 0
+    for size in sizes:
+        own = gain[at : at + size]
+        out.append(np.packbits(own != 0).tobytes() + own[own != 0].tobytes() if own.any() else None)
+        at += size
+    return out
+
+
+def _gains(blob: bytes, n: int) -> np.ndarray:
+    out = np.zeros(n)
+    there = np.unpackbits(np.frombuffer(blob, np.uint8, (n + 7) // 8), count=n).astype(bool)
+    out[there] = np.frombuffer(blob, np.float32, offset=(n + 7) // 8)
+    return out
+
+
+def learn_pairs(blocks: DataFrame, weights, buckets: int) -> DataFrame:
+    """Answers (level 1) with the gains of every distinct (two words, cell) of a block; ``weights``: the broadcast dense ones."""
+
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                _, held, texts = _block(row["payload"])
+                tokens = Tokens(texts)
+                keys, index, context, cells = tokens.pairs()
+                learnt = np.bincount(index[~held[tokens.text]], minlength=len(keys))
+                yield arrow_rows(pair_questions(row["block_id"], keys, context, cells, learnt, buckets), QUESTION_ARROW)
+
+    return ask(blocks.mapInArrow(send, QUESTION_SCHEMA), lambda keys, extras: answer_pairs(keys, extras, weights.value))
+
+
 def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", held: Column | None = None, rounds: int = ROUNDS) -> DataFrame:
     """(id, held_out, n_tokens, n_known, train_tokens, base_score, score) of every row, learnt from the rows that ``held`` leaves.
 
@@ -311,13 +452,17 @@ def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "
     rows = docs.select(F.col(id_column).alias("id"), F.coalesce(held, F.lit(False)).alias("held"), F.col(text_column).cast("string").alias("text"))
     blocks = to_blocks(rows)
     answers, of_cell = count_words(blocks)
+    release(docs)
     weights = train(blocks, of_cell, rounds)
+    release(docs)
     n, v = int(of_cell[0].sum()), int(of_cell[1].sum())
     buckets = bucket_count(blocks)
-    sent = docs.sparkSession.sparkContext.broadcast((weights, of_cell))
+    sent = docs.sparkSession.sparkContext.broadcast(weights)  # 2.3 MB, whatever the data
+    pairs = learn_pairs(blocks, sent, buckets)
+    release(docs)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        weights, of_cell = sent.value
+        weights = sent.value
         in_cell = of_cell[0] + 0.5 * (of_cell[1] + 1)
         for batch in batches:
             for row in batch.to_pylist():
@@ -325,17 +470,23 @@ def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "
                 tokens = Tokens(texts)
                 keys, index = _distinct(tokens)
                 counts = np.zeros(len(keys), np.int64)
-                told = {x["bucket"]: x["answer"] for x in row["answers"] or []}
+                told = {(x["level"], x["bucket"]): x["answer"] for x in row["answers"] or []}
+                bounds, own = split_buckets(keys, buckets)
+                for k, b in enumerate(own):
+                    counts[bounds[k] : bounds[k + 1]] = _large(told[0, int(b)])
+                keys, place, _, _ = tokens.pairs()
+                gains = np.zeros(len(keys))
                 bounds, own = split_buckets(keys, buckets)
                 for k, b in enumerate(own):
-                    counts[bounds[k] : bounds[k + 1]] = _large(told[int(b)])
+                    if (1, int(b)) in told:
+                        gains[bounds[k] : bounds[k + 1]] = _gains(told[1, int(b)], int(bounds[k + 1] - bounds[k]))
                 c = np.full(len(tokens.cells), of_cell[0, END], np.float64)
                 c[tokens.at] = counts[index]
                 size = len(texts)
                 base = np.bincount(tokens.text, np.log10((c + 0.5) / (n + 0.5 * (v + 1))), size)
-                model = np.bincount(tokens.text, log_cells(tokens, weights) / np.log(10) + np.log10((c + 0.5) / in_cell[tokens.cells]), size)
+                model = np.bincount(tokens.text, (log_cells(tokens, weights) + gains[place]) / np.log(10) + np.log10((c + 0.5) / in_cell[tokens.cells]), size)
                 known = np.bincount(tokens.text, c > 0, size).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([ids, pa.array(held, pa.bool_()), pa.array(tokens.counts), pa.array(known), pa.array(np.full(size, n, np.int64)), pa.array(base), pa.array(model)], names=["id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
     kind = docs.schema[id_column].dataType.simpleString()
-    return with_answers(blocks, [answers]).mapInArrow(run, f"id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    return with_answers(blocks, [answers, pairs]).mapInArrow(run, f"id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")

@@ -37,13 +37,15 @@ def test_leftmost_of_equal_ranks():
 
 
 def test_bounded_memory(lines, monkeypatch):
-    monkeypatch.setattr(bpe, "MOST_REMEMBERED", 3)
+    monkeypatch.setattr(bpe, "MOST_REMEMBERED", 600)
     ranks = bpe.load_ranks(lines)
     own = bpe.Encoder(ranks, P.PATTERN)
     other = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
     for t in texts()[:50]:
         assert list(memoryview(own.encode(t)).cast("I")) == other.encode_ordinary(t)
-        assert len(own.known) <= 3
+        assert len(own.known) <= 3 and own.held <= 600
+    long = " ".join(f"{i}" + "x" * 300 for i in range(50))
+    assert list(memoryview(own.encode(long)).cast("I")) == other.encode_ordinary(long) and own.held <= 600
 
 
 def test_columns(spark, lines):
