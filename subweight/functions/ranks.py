@@ -28,6 +28,13 @@ def hash_uniform(seed: str, *ids: Column | str) -> Column:
     return (bits.cast("double") + 0.5) / F.lit(GRID)
 
 
+def uniform_of(*parts) -> float:
+    """The same number as ``hash_uniform`` of a seed and ids, for numeric code on the rows of a sketch."""
+    import hashlib
+
+    return (int(hashlib.md5("|".join(map(str, parts)).encode()).hexdigest()[:13], 16) + 0.5) / GRID
+
+
 def fast_uniform(seed: str, *ids: Column | str) -> Column:
     """As ``hash_uniform`` by a cheaper hash that other engines lack; for very large inputs."""
     bits = F.shiftrightunsigned(F.xxhash64(F.lit(seed), *[_col(c) for c in ids]), 12)

@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.ranks import family_of, hash_uniform
+from ..functions.ranks import family_of, hash_uniform, uniform_of
 from .sketch import Sketch, family_in
 
 OUT = "sketch_id string, pos int, adj_weight double"
@@ -154,28 +154,27 @@ def ordered_average(sketch: Sketch, total: float | None = None, draws: int = 200
     return rows.join(taus, "sketch_id").withColumn("adj_weight", F.when(F.col("exact"), F.col("weight")).otherwise(mean)).drop("upto", "rates", "taus")
 
 
-def chain_weights(w: np.ndarray, rest: float, redraws: int, steps: int, rng: np.random.Generator) -> np.ndarray:
-    """A chain over orders of the sampled items: draw the (k+1)-st rank given the order ``redraws`` times, use one to redraw the ranks below it, sort, go on."""
+def chain_weights(w: np.ndarray, rest: float, redraws: int, steps: int, uniform: Callable[..., float]) -> np.ndarray:
+    """A chain over orders of the sampled items: draw the (k+1)-st rank given the order ``redraws`` times, use one to redraw the ranks below it, sort, go on.
+
+    ``uniform(step, draw, j)`` and ``uniform(step, "r", place)`` are the random numbers, places in the first order.
+    """
     total = rest + w.sum()
     order = np.arange(len(w))
     out = np.zeros(len(w))
-    for _ in range(steps):
+    for step in range(1, steps + 1):
         left = total - np.concatenate([[0], np.cumsum(w[order])])
         left[-1] = rest
-        tau = (rng.exponential(size=(redraws, len(left))) / left).sum(axis=1)
+        e = -np.log([[uniform(step, d, j) for j in range(len(left))] for d in range(1, redraws + 1)])
+        tau = (e / left).sum(axis=1)
         out += (w / -np.expm1(-np.outer(tau, w))).sum(axis=0)
-        ranks = -np.log1p(rng.random(len(w)) * np.expm1(-w * tau[0])) / w
-        order = np.argsort(ranks)
+        if step < steps:
+            ranks = -np.log1p(np.array([uniform(step, "r", i + 1) for i in range(len(w))]) * np.expm1(-w * tau[0])) / w
+            order = np.argsort(ranks)
     return out / (redraws * steps)
 
 
-def subset_conditioned_chain(sketch: Sketch, total: float | None = None, redraws: int = 20, steps: int = 20, seed: int = 7) -> DataFrame:
-    """Subset conditioning by the chain: ``steps`` orders, ``redraws`` draws in each; unbiased for any of both."""
+def subset_conditioned_chain(sketch: Sketch, total: float | None = None, redraws: int = 20, steps: int = 20, seed: str = "ch") -> DataFrame:
+    """Subset conditioning by the chain: ``steps`` orders, ``redraws`` draws in each; unbiased for any of both.  Draws are hashes of the sketch's id."""
     _need_exp(sketch, "the chain")
-
-    def work(w: np.ndarray, rest: float, sketch_id: str) -> np.ndarray:
-        import zlib
-
-        return chain_weights(w, rest, redraws, steps, np.random.default_rng([seed, zlib.crc32(sketch_id.encode())]))
-
-    return _grouped(sketch, total, work)
+    return _grouped(sketch, total, lambda w, rest, name: chain_weights(w, rest, redraws, steps, lambda *at: uniform_of(seed, name, *at)))

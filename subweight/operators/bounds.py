@@ -10,14 +10,13 @@ ranks have bounds from the number of light items.
 from __future__ import annotations
 
 import math
-import zlib
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.ranks import hash_uniform
+from ..functions.ranks import hash_uniform, uniform_of
 from ..functions.solve import bind, bisect, inverse_sum, normal_quantile, peak, sum_of
 from .kmins import KMins
 from .mle import split_sums
@@ -263,8 +262,9 @@ def split_bounds(g: pd.DataFrame, total: float | None, delta: float, draws: int,
     whole = float(g["total_weight"].iloc[0]) if total is None else total
     ins, outs = w[inside], w[~inside]
     gap = (rank[~inside].max() if len(outs) else 0.0) - (rank[inside].max() if len(ins) else 0.0)
-    rng = np.random.default_rng([zlib.crc32(seed.encode()), zlib.crc32(str(g["sketch_id"].iloc[0]).encode())])
-    x = np.sort(split_solutions(ins, outs, whole, gap, rng.exponential(size=(draws, len(ins) + 1)), rng.exponential(size=(draws, len(outs) + 1))))
+    name = g["sketch_id"].iloc[0]
+    e, f = (-np.log([[uniform_of(seed, name, d, side, j) for j in range(n + 1)] for d in range(1, draws + 1)]) for side, n in (("i", len(ins)), ("o", len(outs))))
+    x = np.sort(split_solutions(ins, outs, whole, gap, e, f))
     at = lambda level: float(x[max(0, min(draws - 1, math.ceil(level * draws) - 1))])
     return at(delta), at(1 - delta)
 

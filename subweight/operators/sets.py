@@ -11,6 +11,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.ranks import uniform_of
 from .adjusted import rank_conditioned
 from .kmins import KMins
 from .sketch import Sketch, merge, ranked, top_by
@@ -82,33 +83,29 @@ def decayed_weight(ads: DataFrame, k: int, decay, family: str = "exp") -> DataFr
     return rows.groupBy("sketch_id").agg(F.sum(adj * decay(F.col("distance"))).alias("estimate"))
 
 
-def mimic_with_replacement(sketch: Sketch, draws: int, total: float | None = None, seed: int = 3) -> KMins:
+def mimic_with_replacement(sketch: Sketch, draws: int, total: float | None = None, seed: str = "mimic") -> KMins:
     """A with-replacement sample made of a bottom-k one and the total: a draw is of the items seen so far by their share of the weight, else the sketch's next item.
 
     It ends when the sketch has no next item: fewer draws may come back.
     """
     flat = sketch.flat() if total is None else sketch.flat().withColumn("total_weight", F.lit(float(total)))
-    schema = "sketch_id string, j int, min_rank double, item_id long, weight double"
+    schema = f"sketch_id string, j int, min_rank double, item_id {sketch.entries.schema['item_id'].dataType.simpleString()}, weight double"
 
     def run(g: pd.DataFrame) -> pd.DataFrame:
-        import zlib
-
         g = g.sort_values("pos")
-        w, items, whole = g["weight"].to_numpy(float), g["item_id"].to_numpy(), float(g["total_weight"].iloc[0])
-        rng = np.random.default_rng([seed, zlib.crc32(g["sketch_id"].iloc[0].encode())])
-        seen, out = 0, []
-        for _ in range(draws):
-            held = w[:seen].sum()
-            if seen and rng.random() * whole < held:
-                i = int(np.searchsorted(np.cumsum(w[:seen]), rng.random() * held))
-                i = min(i, seen - 1)
+        w, whole, name = g["weight"].to_numpy(float), float(g["total_weight"].iloc[0]), g["sketch_id"].iloc[0]
+        upto = np.cumsum(w)
+        seen, at = 0, []
+        for d in range(1, draws + 1):
+            held = upto[seen - 1] if seen else 0.0
+            if seen and uniform_of(seed, name, d, "old") * whole < held:
+                at.append(min(int(np.searchsorted(upto[:seen], uniform_of(seed, name, d, "which") * held)), seen - 1))
             elif seen < len(w):
-                i, seen = seen, seen + 1
+                at.append(seen)
+                seen += 1
             else:
                 break
-            out.append(i)
-        at = np.array(out, int)
-        return pd.DataFrame({"sketch_id": g["sketch_id"].iloc[0], "j": np.arange(1, len(at) + 1, dtype=np.int32), "min_rank": np.nan, "item_id": items[at].astype(np.int64), "weight": w[at]})
+        return pd.DataFrame({"sketch_id": name, "j": np.arange(1, len(at) + 1, dtype=np.int32), "min_rank": np.nan, "item_id": g["item_id"].to_numpy()[at], "weight": w[at]})
 
     rows = flat.select("sketch_id", "pos", "item_id", "weight", "total_weight").groupBy("sketch_id").applyInPandas(run, schema)
     header = rows.groupBy("sketch_id").agg(F.count("*").cast("int").alias("k")).join(flat.groupBy("sketch_id").agg(F.first("n_seen").alias("n_seen"), F.first("total_weight").alias("total_weight")), "sketch_id")

@@ -172,10 +172,21 @@ def _distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
     return entries_of(sk.bottomk_distinct(table(spark, sf_dir, "events"), "user_id", 32), 6)
 
 
-@add("mimic_with_replacement")
+_OLD, _WHICH = sql.uniform("mimic", "sketch_id", "d", "'old'"), sql.uniform("mimic", "sketch_id", "d", "'which'")
+
+
+@add(
+    "mimic_with_replacement",
+    orders_sql()
+    + f""", u AS (SELECT sketch_id, any_value(total_weight) AS w, list(upto ORDER BY pos) AS upto FROM (SELECT *, sum(weight) OVER (PARTITION BY sketch_id ORDER BY pos) AS upto FROM e) GROUP BY 1),
+    m AS (SELECT sketch_id, w, upto, 0 AS seen, 0 AS pick, 1 AS d FROM u
+        UNION ALL SELECT sketch_id, w, upto, CASE WHEN old THEN seen ELSE seen + 1 END, CASE WHEN old THEN least(seen, 1 + len([x FOR x IN upto[1:seen] IF x < {_WHICH} * upto[seen]])) ELSE seen + 1 END, d + 1
+        FROM (SELECT *, seen > 0 AND {_OLD} * w < coalesce(upto[seen], 0) AS old FROM m WHERE d <= 32) WHERE old OR seen < len(upto))
+    SELECT (d - 1)::BIGINT AS j, item_id::BIGINT AS item_id, round(weight, 2) AS weight FROM m JOIN e ON e.sketch_id = m.sketch_id AND e.pos = m.pick""",
+)
 def _mimic(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = sets.mimic_with_replacement(orders_sketch(spark, sf_dir), 32)
-    return kmins.kmins_ht(s).withColumn("method", F.lit("ht")).unionByName(kmins.kmins_ratio(s).withColumn("method", F.lit("ratio")))
+    return s.rows.select(F.col("j").cast("long").alias("j"), F.col("item_id").cast("long").alias("item_id"), F.round("weight", 2).alias("weight"))
 
 
 @add("rank_redraws", orders_sql() + f" SELECT item_id::BIGINT AS item_id, round(-ln(1 - v * (1 - exp(-weight * tau))) / weight * total_weight, 6) AS scaled_rank, round((1 - exp(-weight * rank)) / weight * total_weight, 6) AS as_priority FROM (SELECT *, {sql.uniform('redraw', 'item_id')} AS v FROM e)")
@@ -284,8 +295,9 @@ add("ml_subpop", orders_sql() + sql.splits(_J) + sql.bisect("b", f"{sql.inv('mid
 add("ml_subpop_total", orders_sql() + sql.splits(_J) + sql.bisect("b", f"{sql.inv('mid', 'ins')} > {sql.inv('(w - mid)', 'outs')}", "ins[-1]", "w - outs[-1]") + " SELECT round(least(greatest(root, sum_in), w - sum_out), 2) AS estimate FROM b JOIN g USING (sketch_id)")(
     lambda s, d: _est(mle.mle_subpop_with_total(opened(orders_sketch(s, d)), _J))
 )
-add("ml_total_redraw")(lambda s, d: _est(mle.mle_total(orders_sketch(s, d), redraws=20)))
-add("ml_subpop_redraw")(lambda s, d: _est(mle.mle_subpop(opened(orders_sketch(s, d)), _J, redraws=20)))
+_ALL = sql.bisect("b", f"{sql.inv('mid', _S)} > tau", "sum_in + 1 / tau", "sum_in + len(ins) / tau + 1 / tau")
+add("ml_total_redraw", orders_sql() + sql.redrawn(20) + sql.splits("true", "er") + _ALL + " SELECT round(avg(root), 2) AS estimate FROM b")(lambda s, d: _est(mle.mle_total(orders_sketch(s, d), redraws=20)))
+add("ml_subpop_redraw", orders_sql() + sql.redrawn(20) + sql.splits(_J, "er") + sql.bisect("b", f"{sql.inv('mid', 'ins')} > tau", "ins[-1] + 1 / tau", "ins[-1] + len(ins) / tau") + " SELECT round(avg(greatest(root, sum_in)), 2) AS estimate FROM b JOIN g USING (sketch_id)")(lambda s, d: _est(mle.mle_subpop(opened(orders_sketch(s, d)), _J, redraws=20)))
 
 # ---------------------------------------------------------------- adjusted weights
 
@@ -363,7 +375,7 @@ add(
 )(lambda s, d: _shares(adjusted.ordered_average(orders_sketch(s, d), draws=100)))
 
 for _r, _p in ((5, 2), (20, 20), (400, 1), (1, 400)):
-    add(f"chain_{_r}_{_p}")(lambda s, d, r=_r, p=_p: _shares(adjusted.subset_conditioned_chain(orders_sketch(s, d), redraws=r, steps=p)))
+    add(f"chain_{_r}_{_p}", orders_sql() + sql.chain(_r, _p) + " SELECT sketch_id, item_id::BIGINT AS item_id, round(acc[pos] / total_weight, 8) AS share FROM e JOIN ch USING (sketch_id)")(lambda s, d, r=_r, p=_p: _shares(adjusted.subset_conditioned_chain(orders_sketch(s, d), redraws=r, steps=p)))
 
 add("horvitz_thompson", f"SELECT round(sum(o_totalprice / least(1, o_totalprice * 1e-6)), 2) AS estimate, count(*) AS n FROM orders WHERE {sql.uniform('poisson', 'o_orderkey')} < o_totalprice * 1e-6")(
     lambda s, d: adjusted.horvitz_thompson(table(s, d, "orders").withColumn("p", F.least(F.lit(1.0), F.col("o_totalprice") * 1e-6)).filter(hash_uniform("poisson", "o_orderkey") < F.col("p")), "o_totalprice", "p").agg(F.round(F.sum("adj_weight"), 2).alias("estimate"), F.count("*").alias("n"))
@@ -389,7 +401,6 @@ for _m in ("rollup", "cube"):
         lambda s, d, m=_m: query.weight_by(_adj(s, d), ["o_orderstatus", "o_orderpriority"], m).withColumn("estimate", F.round("estimate", 2))
     )
 add("exact_weight", "SELECT o_orderstatus, round(sum(o_totalprice), 2) AS exact FROM orders GROUP BY 1")(lambda s, d: query.exact_weight(table(s, d, "orders"), "o_totalprice", by=["o_orderstatus"]).withColumn("exact", F.round("exact", 2)))
-add("estimate_and_bounds")(lambda s, d: query.estimate(orders_sketch(s, d), _J))
 
 # ---------------------------------------------------------------- bounds
 
@@ -415,7 +426,8 @@ add("bounds_subpop_normal", orders_sql() + sql.splits(_J) + _G + sql.upper_norma
 add("bounds_subpop_quantile", orders_sql() + sql.splits(_J) + _G + sql.draw_roots("dr", "sums", "tau", "bs", _D, "g2") + sql.draw_roots("dl", "ins", "last", "bs", _D, "g2") + f" SELECT round(greatest(sum_in, {sql.pick('dl.xs', 0.05, _D)}), 2) AS lower, round({sql.pick('dr.xs', 0.95, _D)}, 2) AS upper FROM g2 JOIN dr USING (sketch_id) JOIN dl USING (sketch_id)")(
     lambda s, d: _b(bounds.bounds_subpop(opened(orders_sketch(s, d)), _J, draws=_D))
 )
-add("bounds_subpop_total")(lambda s, d: _b(bounds.bounds_subpop(opened(orders_sketch(s, d)), _J, total=True)))
+SPLIT_SQL = orders_sql() + sql.splits(_J) + sql.split_roots("sr", _D) + f", split_limits AS (SELECT sketch_id, round({sql.pick('xs', 0.05, _D)}, 2) AS lower, round({sql.pick('xs', 0.95, _D)}, 2) AS upper FROM sr)"
+add("bounds_subpop_total", SPLIT_SQL + " SELECT lower, upper FROM split_limits")(lambda s, d: _b(bounds.bounds_subpop(opened(orders_sketch(s, d)), _J, total=True, draws=_D)))
 _LOG = math.log(0.05)
 add(
     "bounds_priority_chernoff",
@@ -427,3 +439,10 @@ add(
 )(lambda s, d: _b(bounds.bounds_priority(opened(orders_sketch(s, d, "priority")), _J)))
 add("bounds_priority_poisson")(lambda s, d: _b(bounds.bounds_priority(opened(orders_sketch(s, d, "priority")), _J, "poisson")))
 add("bounds_priority_total")(lambda s, d: _b(bounds.bounds_priority_total(orders_sketch(s, d, "priority"))))
+SUBSET_SQL = orders_sql() + sql.subset() + " SELECT sketch_id, item_id::BIGINT AS item_id, share FROM e JOIN sc USING (sketch_id, pos)"
+add(
+    "estimate_and_bounds",
+    SPLIT_SQL.replace(f"range(1, {_D + 1})", "range(1, 201)").replace(sql.pick("xs", 0.05, _D), sql.pick("xs", 0.05, 200)).replace(sql.pick("xs", 0.95, _D), sql.pick("xs", 0.95, 200))
+    + sql.subset(12)
+    + f" SELECT sketch_id, (SELECT round(sum(share * total_weight), 1) FROM e JOIN sc USING (sketch_id, pos) WHERE {_J}) AS estimate, lower, upper FROM split_limits",
+)(lambda s, d: query.estimate(orders_sketch(s, d), _J).select("sketch_id", F.round("estimate", 1).alias("estimate"), F.round("lower", 2).alias("lower"), F.round("upper", 2).alias("upper")))

@@ -12,7 +12,7 @@ from ..operators import sqlsurface
 from ..sources import io, pareto
 from ..streaming import streams
 from . import sql
-from .catalog import ENTRIES, K, add, entries_of, orders_sketch, orders_sql
+from .catalog import ENTRIES, SPLIT_SQL, SUBSET_SQL, K, add, entries_of, orders_sketch, orders_sql
 
 
 def scratch(spark: SparkSession) -> str:
@@ -72,11 +72,19 @@ def _sql_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT o_orderkey, round(rank_exp(u, o_totalprice) * 1e9, 6) AS e, round(rank_priority(u, o_totalprice) * 1e9, 6) AS p FROM (SELECT *, hash_uniform('s1', string(o_orderkey)) AS u FROM orders_rows)")
 
 
-@add("sql_subset_udtf")
+@add("sql_subset_udtf", SUBSET_SQL)
 def _udtf(spark: SparkSession, sf_dir: str) -> DataFrame:
     sqlsurface.register(spark)
     orders_sketch(spark, sf_dir).flat().select("sketch_id", "pos", "item_id", "weight", "total_weight").createOrReplaceTempView("sketch_rows")
-    return spark.sql("SELECT * FROM subset_conditioned(TABLE(sketch_rows) PARTITION BY sketch_id ORDER BY pos)")
+    return spark.sql("SELECT sketch_id, item_id, round(adj_weight / (SELECT max(total_weight) FROM sketch_rows), 8) AS share FROM subset_conditioned(TABLE(sketch_rows) PARTITION BY sketch_id ORDER BY pos)")
+
+
+@add("sql_bounds_udtf", SPLIT_SQL + " SELECT sketch_id, lower, upper FROM split_limits")
+def _bounds_udtf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sqlsurface.register(spark)
+    rows = orders_sketch(spark, sf_dir).flat()
+    rows.select("sketch_id", "pos", "weight", "rank", (F.col("attrs.o_orderstatus") == "F").alias("inside"), "total_weight").createOrReplaceTempView("split_rows")
+    return spark.sql("SELECT sketch_id, round(lower, 2) AS lower, round(upper, 2) AS upper FROM subpop_bounds(TABLE(split_rows) PARTITION BY sketch_id ORDER BY (pos), 0.05D, 50)")
 
 
 @add("source_pareto", f"SELECT i::BIGINT AS item_id, round(pow(1 - {sql.uniform('pareto', 'i')}, -1 / 1.2), 6) AS weight FROM range(500) AS r(i)")

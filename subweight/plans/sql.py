@@ -33,14 +33,15 @@ ADJ = {
 }
 
 
-def splits(predicate: str) -> str:
-    """CTE g: lists of the weights before each item inside and outside, and their sums."""
-    return f""", sp AS (SELECT *, coalesce({predicate}, false) AS inside FROM e),
+def splits(predicate: str, source: str = "e") -> str:
+    """CTE g: lists of the weights before each item inside and outside, their sums and largest ranks."""
+    return f""", sp AS (SELECT *, coalesce({predicate}, false) AS inside FROM {source}),
     pf AS (SELECT *, coalesce(sum(CASE WHEN inside THEN weight ELSE 0 END) OVER w, 0) AS before_in, coalesce(sum(CASE WHEN inside THEN 0 ELSE weight END) OVER w, 0) AS before_out
         FROM sp WINDOW w AS (PARTITION BY sketch_id ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
     g AS (SELECT sketch_id, any_value(tau) AS tau, any_value(total_weight) AS w, max(rank) AS last,
         list(before_in ORDER BY pos) FILTER (inside) AS ins, list(before_out ORDER BY pos) FILTER (NOT inside) AS outs,
-        coalesce(sum(weight) FILTER (inside), 0) AS sum_in, coalesce(sum(weight) FILTER (NOT inside), 0) AS sum_out FROM pf GROUP BY sketch_id)"""
+        coalesce(sum(weight) FILTER (inside), 0) AS sum_in, coalesce(sum(weight) FILTER (NOT inside), 0) AS sum_out,
+        coalesce(max(rank) FILTER (inside), 0) AS last_in, coalesce(max(rank) FILTER (NOT inside), 0) AS last_out, count(*) FILTER (inside) AS c, count(*) FILTER (NOT inside) AS a FROM pf GROUP BY sketch_id)"""
 
 
 def inv(x: str, sums: str) -> str:
@@ -88,3 +89,51 @@ def draw_roots(name: str, sums: str, tau: str, seed: str, draws: int, source: st
 
 def pick(xs: str, level: float, draws: int) -> str:
     return f"{xs}[{max(1, min(draws, math.ceil(level * draws)))}]"
+
+
+def split_roots(name: str, draws: int, seed: str = "bs") -> str:
+    """After ``splits``: CTE ``name`` (sketch_id, xs), the sorted weights at which the drawn ranks of both sides are as far apart as the seen ones; the total is known."""
+
+    def drawn(side: str, sums: str) -> str:
+        return f"[-ln({uniform(seed, 'sketch_id', 'd', repr(side), 'j')}) FOR j IN range(0, len({sums}))]"
+
+    def inside(m: str) -> str:
+        return f"coalesce(list_sum([es[i] / greatest(mid - s[i], 1e-300) FOR i IN range(1, {m} + 1)]), 0)"
+
+    def outside(m: str) -> str:
+        return f"coalesce(list_sum([fs[i] / greatest(w - mid - r[i], 1e-300) FOR i IN range(1, {m} + 1)]), 0)"
+
+    text = f""", {name}_g AS (SELECT *, coalesce(ins, []) || [sum_in] AS s, coalesce(outs, []) || [sum_out] AS r FROM g),
+    {name}_d AS (SELECT {name}_g.*, d, {drawn("i", "s")} AS es, {drawn("o", "r")} AS fs, sum_in AS bottom, w - sum_out AS top FROM {name}_g, range(1, {draws + 1}) AS t(d))"""
+    text += bisect(f"{name}_hi", f"{outside('a')} - {inside('c + 1')} < 0", "bottom", "top", f"{name}_d", "sketch_id, d", steps=60)
+    text += bisect(f"{name}_lo", f"{outside('a + 1')} - {inside('c')} < 0", "bottom", "top", f"{name}_d", "sketch_id, d", steps=60)
+    text += f""", {name}_b AS (SELECT x.*, least(greatest(CASE WHEN c = 0 THEN 0 ELSE l.root END, bottom), top) AS low, least(greatest(CASE WHEN a = 0 THEN w ELSE h.root END, bottom), top) AS high
+        FROM {name}_d x JOIN {name}_hi h USING (sketch_id, d) JOIN {name}_lo l USING (sketch_id, d))"""
+    text += bisect(f"{name}_r", f"{outside('a')} - {inside('c')} - (last_out - last_in) < 0", "least(low, high)", "greatest(low, high)", f"{name}_b", "sketch_id, d", steps=60)
+    return text + f", {name} AS (SELECT sketch_id, list(least(greatest(root, bottom), top) ORDER BY least(greatest(root, bottom), top)) AS xs FROM {name}_r JOIN {name}_d USING (sketch_id, d) GROUP BY sketch_id)"
+
+
+def subset(digits: int = 8) -> str:
+    """After ``sketch``: the subset-conditioned share of each entry, by a fine grid over the logarithm of y."""
+    return f""", ll AS (SELECT sketch_id, list(weight / total_weight ORDER BY pos) AS ws, 1 - sum(weight / total_weight) AS rest FROM e GROUP BY 1),
+    t AS (SELECT i * 0.002 - 12.0 AS t FROM range(0, 12001) AS r(i)),
+    d0 AS (SELECT sketch_id, t, t - rest * exp(t) + list_sum([ln(1 - exp(-x * exp(t))) FOR x IN ws]) AS g FROM t, ll WHERE t < 12),
+    d AS (SELECT sketch_id, t, exp(g - top) AS p FROM d0 JOIN (SELECT sketch_id, max(g) AS top FROM d0 GROUP BY 1) USING (sketch_id) WHERE g > top - 60),
+    sc AS (SELECT e.sketch_id, pos, round(sum(p * (weight / total_weight) / (1 - exp(-(weight / total_weight) * exp(t)))) / sum(p), {digits}) AS share FROM e JOIN d USING (sketch_id) GROUP BY 1, 2)"""
+
+
+def chain(redraws: int, steps: int, seed: str = "ch") -> str:
+    """After ``sketch``: CTE ch (sketch_id, acc), the chain's adjusted weights by place."""
+    tau = f"[list_sum([-ln({uniform(seed, 'sketch_id', 'step', 'd', 'j')}) / lefts[j + 1] FOR j IN range(0, len(ws) + 1)]) FOR d IN range(1, {redraws + 1})]"
+    return f""", c0 AS (SELECT sketch_id, any_value(total_weight) AS w, any_value(total_weight) - sum(weight) AS rest, list(weight ORDER BY pos) AS ws, list(weight ORDER BY pos) AS ord, [0.0::DOUBLE FOR x IN list(weight)] AS acc, 1 AS step FROM e GROUP BY 1
+    UNION ALL SELECT sketch_id, w, rest, ws,
+        [x.w FOR x IN list_sort([{{'r': -ln(1 + {uniform(seed, 'sketch_id', 'step', "'r'", 'i')} * (exp(-ws[i] * taus[1]) - 1)) / ws[i], 'w': ws[i]}} FOR i IN range(1, len(ws) + 1)])],
+        [acc[i] + list_sum([ws[i] / (1 - exp(-ws[i] * x)) FOR x IN taus]) FOR i IN range(1, len(ws) + 1)], step + 1
+        FROM (SELECT *, {tau} AS taus FROM (SELECT *, [CASE WHEN i = len(ws) THEN rest ELSE w - coalesce(list_sum(ord[1:i]), 0) END FOR i IN range(0, len(ws) + 1)] AS lefts FROM c0 WHERE step <= {steps}))),
+    ch AS (SELECT sketch_id, [x / {redraws * steps} FOR x IN acc] AS acc FROM c0 WHERE step = {steps + 1})"""
+
+
+def redrawn(draws: int, seed: str = "ml") -> str:
+    """After ``sketch``: CTE er, entries of so many redraws of the ranks below tau, each a sketch all#draw."""
+    return f""", er0 AS (SELECT e.* EXCLUDE (sketch_id, pos, rank), sketch_id || '#' || draw AS sketch_id, -ln(1 + {uniform(seed, 'draw', 'item_id')} * (exp(-weight * tau) - 1)) / weight AS rank FROM e, range(1, {draws + 1}) AS t(draw)),
+    er AS (SELECT *, row_number() OVER (PARTITION BY sketch_id ORDER BY rank, item_id) AS pos FROM er0)"""
