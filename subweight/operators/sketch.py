@@ -80,19 +80,36 @@ def bottomk(df: DataFrame, item: Column | str, weight: Column | str, k: int, fam
     return Sketch(entries, _header(stats, k, name, seed), name)
 
 
+#: Rows and totals of grouped sketches that are cached now.
+_CACHED: list[DataFrame] = []
+
+
+def release_cached() -> None:
+    """Let go of what grouped sketches have cached; a sketch that is used again is worked out again."""
+    while _CACHED:
+        _CACHED.pop().unpersist()
+
+
+def truncated(sketch: Sketch, k: int) -> Sketch:
+    """The sketch of a smaller k that a larger one holds: bottom-k sketches are nested, and the next entry's rank is the smaller one's tau."""
+    after = sketch.entries.filter(F.col("pos") == k + 1).select("sketch_id", F.col("rank").alias("after"))
+    header = sketch.header.join(after, "sketch_id", "left").withColumn("tau", F.when(F.col("k") > k, F.col("after")).otherwise(F.col("tau")))
+    header = header.withColumn("exact", F.col("tau").isNull()).withColumn("k", F.lit(k)).select(*sketch.header.columns)
+    return Sketch(sketch.entries.filter(F.col("pos") <= k), header, sketch.family)
+
+
 def top_by(rows: DataFrame, k: int, family: str, seed: str, stats: DataFrame | None = None) -> Sketch:
     """Sketches of ranked rows by sketch_id; a limit below the window keeps k+1 rows a sketch and partition before the shuffle.
 
     The k+1 rows and the totals of each sketch are cached when first used, so the rows below are
-    read once for each of both, however often the sketch is.
+    read once for each of both, however often the sketch is; ``release_cached`` lets go of them.
     """
-    conf = rows.sparkSession.conf
-    if k + 1 > int(conf.get("spark.sql.optimizer.windowGroupLimitThreshold")):
-        conf.set("spark.sql.optimizer.windowGroupLimitThreshold", str(k + 1))
     order = Window.partitionBy("sketch_id").orderBy("rank", "item_id")
-    top = rows.filter("weight IS NOT NULL").withColumn("pos", F.row_number().over(order)).filter(F.col("pos") <= k + 1).persist()
+    top = rows.filter("weight IS NOT NULL").withColumn("pos", F.row_number().over(order)).filter(F.col("pos") <= k + 1)
+    _CACHED.append(top.persist())
     if stats is None:
-        stats = rows.groupBy("sketch_id").agg(F.count("*").alias("n_seen"), F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total_weight")).persist()
+        stats = rows.groupBy("sketch_id").agg(F.count("*").alias("n_seen"), F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total_weight"))
+        _CACHED.append(stats.persist())
     tau = top.filter(F.col("pos") == k + 1).select("sketch_id", F.col("rank").alias("tau"))
     return Sketch(top.filter(F.col("pos") <= k).select("sketch_id", "pos", "item_id", "weight", "rank", "u", "attrs"), _header(stats.join(tau, "sketch_id", "left"), k, family, seed), family)
 

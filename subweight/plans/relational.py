@@ -71,10 +71,10 @@ add("rel_grouping_sets", "SELECT o_orderstatus, o_orderpriority, count(*) AS n,
 add("rel_percentiles", "SELECT event_type, round(median(value), 6) AS med, round(quantile_cont(value, 0.95), 6) AS p95 FROM events GROUP BY 1")(lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.round(F.median("value"), 6).alias("med"), F.round(F.percentile("value", 0.95), 6).alias("p95")))
 
 
-@add("rel_windows", "SELECT event_id::BIGINT AS event_id, row_number() OVER w AS rn, round(sum(value) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 4) AS running, round(value - lag(value) OVER w, 4) AS step, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 6) AS pr FROM events WHERE user_id < 20 WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")
+@add("rel_windows", "SELECT event_id::BIGINT AS event_id, row_number() OVER w AS rn, round(sum(value) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 4) AS running, round(value - lag(value) OVER w, 4) AS step, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 6) AS pr FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")
 def _windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = Window.partitionBy("user_id").orderBy("event_id")
-    return table(spark, sf_dir, "events").filter("user_id < 20").select(
+    return table(spark, sf_dir, "events").select(
         F.col("event_id").cast("long").alias("event_id"), F.row_number().over(w).cast("long").alias("rn"), F.round(F.sum("value").over(w.rowsBetween(Window.unboundedPreceding, 0)), 4).alias("running"), F.round(F.col("value") - F.lag("value").over(w), 4).alias("step"), F.ntile(4).over(w).cast("long").alias("quarter"), F.round(F.percent_rank().over(w), 6).alias("pr")
     )
 
@@ -98,8 +98,8 @@ add("rel_dates", "SELECT strftime(date_trunc('month', o_orderdate), '%Y-%m-%d')
 add("rel_arrays", "SELECT vec_id::BIGINT AS vec_id, round(list_sum([x::DOUBLE * x::DOUBLE FOR x IN embedding]), 4) AS norm2, len(embedding)::BIGINT AS n, round(list_max(embedding)::DOUBLE, 5) AS m FROM embeddings")(
     lambda s, d: table(s, d, "embeddings").select(F.col("vec_id").cast("long").alias("vec_id"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 4).alias("norm2"), F.size("embedding").cast("long").alias("n"), F.round(F.array_max("embedding").cast("double"), 5).alias("m"))
 )
-add("rel_explode", "SELECT label::BIGINT AS label, i::BIGINT AS i, round(avg(embedding[i + 1]::DOUBLE), 5) AS mean FROM embeddings, range(8) AS r(i) GROUP BY 1, 2")(
-    lambda s, d: table(s, d, "embeddings").select("label", F.posexplode(F.slice("embedding", 1, 8)).alias("i", "x")).groupBy(F.col("label").cast("long").alias("label"), F.col("i").cast("long").alias("i")).agg(F.round(F.avg(F.col("x").cast("double")), 5).alias("mean"))
+add("rel_explode", "SELECT label::BIGINT AS label, i::BIGINT AS i, round(avg(embedding[i + 1]::DOUBLE), 5) AS mean FROM embeddings, range(64) AS r(i) GROUP BY 1, 2")(
+    lambda s, d: table(s, d, "embeddings").select("label", F.posexplode("embedding").alias("i", "x")).groupBy(F.col("label").cast("long").alias("label"), F.col("i").cast("long").alias("i")).agg(F.round(F.avg(F.col("x").cast("double")), 5).alias("mean"))
 )
 add("rel_json", "SELECT (props->>'$.k')::BIGINT AS k, count(*) AS n, round(sum(value), 2) AS s FROM events GROUP BY 1")(lambda s, d: table(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n"), F.round(F.sum("value"), 2).alias("s")))
 add("rel_pivot", "SELECT l_returnflag, round(sum(l_quantity) FILTER (l_linestatus = 'O'), 2) AS o, round(sum(l_quantity) FILTER (l_linestatus = 'F'), 2) AS f FROM lineitem GROUP BY 1")(

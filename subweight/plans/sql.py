@@ -137,3 +137,27 @@ def redrawn(draws: int, seed: str = "ml") -> str:
     """After ``sketch``: CTE er, entries of so many redraws of the ranks below tau, each a sketch all#draw."""
     return f""", er0 AS (SELECT e.* EXCLUDE (sketch_id, pos, rank), sketch_id || '#' || draw AS sketch_id, -ln(1 + {uniform(seed, 'draw', 'item_id')} * (exp(-weight * tau) - 1)) / weight AS rank FROM e, range(1, {draws + 1}) AS t(draw)),
     er AS (SELECT *, row_number() OVER (PARTITION BY sketch_id ORDER BY rank, item_id) AS pos FROM er0)"""
+
+
+def chernoff(name: str, source: str, predicate: str, delta: float = 0.05) -> str:
+    """CTE ``name`` (sketch_id, lower, upper): priority bounds from the number of light items."""
+    log = math.log(delta)
+    gap = f"n - mid + n * ln(mid / n) - ({log!r})"
+    text = f""", {name}_c AS (SELECT sketch_id, any_value(tau) AS tau, coalesce(sum(weight) FILTER (({predicate}) AND weight * tau >= 1), 0) AS certain, (count(*) FILTER (({predicate}) AND weight * tau < 1))::DOUBLE AS n FROM {source} GROUP BY 1),
+    {name}_n AS (SELECT * FROM {name}_c WHERE n > 0)"""
+    text += bisect(f"{name}_u", f"{gap} > 0", "n", f"n - 2 * ({log!r}) + sqrt(greatest({4 * log * log!r} - 8 * n * ({log!r}), 0)) + 1", f"{name}_n")
+    text += bisect(f"{name}_l", f"{gap} < 0", "n * 1e-12", "n", f"{name}_n")
+    return text + f", {name} AS (SELECT c.sketch_id, certain + coalesce(l.root, 0) / tau AS lower, certain + coalesce(u.root, {-log!r}) / tau AS upper FROM {name}_c c LEFT JOIN {name}_u u USING (sketch_id) LEFT JOIN {name}_l l USING (sketch_id))"
+
+
+def poisson(name: str, source: str, predicate: str, delta: float = 0.05) -> str:
+    """CTE ``name`` (sketch_id, lower, upper): priority bounds from the exact Poisson tail."""
+    text = f", {name}_c AS (SELECT sketch_id, any_value(tau) AS tau, coalesce(sum(weight) FILTER (({predicate}) AND weight * tau >= 1), 0) AS certain, count(*) FILTER (({predicate}) AND weight * tau < 1) AS n FROM {source} GROUP BY 1)"
+    tail = lambda upto: f"list_sum([exp(-mid + i * ln(mid) - lgamma(i + 1)) FOR i IN range(0, {upto} + 1)])"
+    text += bisect(f"{name}_u", f"{tail('n')} > {delta!r}", "0.0", "n + 10 * sqrt(n + 1) + 20", f"{name}_c")
+    text += bisect(f"{name}_l", f"1 - {tail('(n - 1)')} < {delta!r}", "0.0", "n::DOUBLE", f"(SELECT * FROM {name}_c WHERE n > 0)")
+    return text + f", {name} AS (SELECT c.sketch_id, certain + coalesce(l.root, 0) / tau AS lower, certain + u.root / tau AS upper FROM {name}_c c JOIN {name}_u u USING (sketch_id) LEFT JOIN {name}_l l USING (sketch_id))"
+
+
+QUALITY = """round(avg(lower / truth), 6) AS lower, round(avg(upper / truth), 6) AS upper, round(avg((upper - lower) / truth), 6) AS width, round(avg(pow(upper / truth - 1, 2)), 6) AS upper_sq_error, round(avg(pow(lower / truth - 1, 2)), 6) AS lower_sq_error,
+    round(avg(CASE WHEN lower <= truth AND truth <= upper THEN 1.0::DOUBLE ELSE 0 END), 6) AS in_bounds, round(avg(CASE WHEN truth > upper THEN 1.0::DOUBLE ELSE 0 END), 6) AS over_upper, round(avg(CASE WHEN truth < lower THEN 1.0::DOUBLE ELSE 0 END), 6) AS under_lower"""

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.ranks import family_of, hash_uniform
@@ -18,9 +18,10 @@ from ..sources.io import pareto_weight, table
 from . import metrics
 
 
-def base_weights(spark: SparkSession, sf_dir: str, n: int = 1000, alphas: tuple[float, ...] = (1.0, 1.2, 2.0), uniform: bool = True) -> DataFrame:
-    """(wt, item_id, weight): the first n orders under heavy-tailed weights of each exponent, and uniform ones."""
-    rows = table(spark, sf_dir, "orders").filter(F.col("o_orderkey") < n).select(F.col("o_orderkey").alias("item_id"))
+def base_weights(spark: SparkSession, sf_dir: str, n: int | None = 1000, alphas: tuple[float, ...] = (1.0, 1.2, 2.0), uniform: bool = True) -> DataFrame:
+    """(wt, item_id, weight): orders under heavy-tailed weights of each exponent, and uniform ones; all orders, or the n items that an experiment is defined on."""
+    rows = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("item_id"))
+    rows = rows if n is None else rows.filter(F.col("item_id") < n)
     parts = [rows.select(F.lit(f"pareto{a:g}").alias("wt"), "item_id", pareto_weight(a, "item_id").alias("weight")) for a in alphas]
     if uniform:
         parts.append(rows.select(F.lit("uniform").alias("wt"), "item_id", hash_uniform("pareto", "item_id").alias("weight")))
@@ -114,44 +115,100 @@ def with_replacement_adjusted(base: DataFrame, reps: int, k: int) -> dict[str, D
     """Adjusted weights of the with-replacement baselines that know the total."""
     s = kmins_sketches(base, reps, k)
     rows = s.rows.join(s.header, "sketch_id").groupBy("sketch_id", "item_id").agg(F.max("weight").alias("weight"), F.count("*").alias("n"), F.max("k").alias("k"), F.max("total_weight").alias("w"))
-    return {"wr_ht": rows.select("sketch_id", "item_id", (F.col("weight") / -F.expm1(F.col("k") * F.log1p(-F.col("weight") / F.col("w")))).alias("adj_weight")), "wr_ratio": rows.select("sketch_id", "item_id", (F.col("w") * F.col("n") / F.col("k")).alias("adj_weight"))}
-
-
-def run_partition_error(spark: SparkSession, sf_dir: str, reps: int = 10, ks: tuple[int, ...] = (40,), gs: tuple[int, ...] = (1, 10, 100, 1000), methods: tuple[str, ...] = ("exp_rc", "priority_rc", "subset_chain", "subset", "prefix"), n: int = 1000, alphas: tuple[float, ...] = (1.2, 2.0), baselines: bool = False, chain: tuple[int, int] = (20, 20)) -> DataFrame:
-    """Sum of squared errors over groups of g items in order of weight: rows (wt, k, g, method, sse relative to the squared total)."""
+    return {"wr_ht": rows.select("sketch_id", "item_id", F.when(F.col("weight") >= F.col("w"), F.col("weight")).otherwise(F.col("weight") / -F.expm1(F.col("k") * F.log1p(-F.col("weight") / F.col("w")))).alias("adj_weight")), "wr_ratio": rows.select("sketch_id", "item_id", (F.col("w") * F.col("n") / F.col("k")).alias("adj_weight"))}
+
+
+def run_partition_error(
+    spark: SparkSession,
+    sf_dir: str,
+    reps: int = 10,
+    ks: tuple[int, ...] = (40,),
+    gs: tuple[int, ...] = (1, 10, 100, 1000),
+    methods: tuple[str, ...] = ("exp_rc", "priority_rc", "subset_chain", "subset", "prefix"),
+    n: int | None = None,
+    alphas: tuple[float, ...] = (1.2, 2.0),
+    baselines: bool = False,
+    chain: tuple[int, int] = (20, 20),
+) -> DataFrame:
+    """Sum of squared errors over groups of g items in order of weight: rows (wt, k, g, method, sse relative to the squared total).
+
+    The smaller sketches are parts of the largest, and all group sizes are worked out in one pass.
+    """
     base = base_weights(spark, sf_dir, n, alphas, uniform=False)
-    out = []
+    exp, pri = sketches(base, reps, max(ks)), sketches(base, reps, max(ks), "priority")
+    every = []
     for k in ks:
-        exp, pri = sketches(base, reps, k), sketches(base, reps, k, "priority")
-        parts = {m: adjusted_by(m, exp, pri, chain) for m in methods} | (with_replacement_adjusted(base, reps, k) if baselines else {})
-        adj = _wt(_stack(parts)).withColumn("sketch_id", F.concat_ws("@", "method", "sketch_id")).drop("method")
-        for g in gs:
-            sse = metrics.sse_by_partition(adj, metrics.weight_groups(base, g, ["wt"]), ["wt"])
-            out.append(sse.withColumn("method", F.substring_index("sketch_id", "@", 1)).groupBy("wt", "method").agg(F.avg("sse").alias("sse")).withColumn("k", F.lit(k)).withColumn("g", F.lit(g)))
-    return reduce(DataFrame.unionByName, out).join(truth_of(base), "wt").select("wt", "k", "g", "method", (F.col("sse") / F.col("truth") ** 2).alias("rel_sse"))
-
-
-def run_chain_settings(spark: SparkSession, sf_dir: str, reps: int = 5, k: int = 100, settings: tuple[tuple[int, int], ...] = ((400, 1), (20, 20), (1, 400), (5, 2)), gs: tuple[int, ...] = (1, 100, 1000), n: int = 1000) -> DataFrame:
+        parts = {m: adjusted_by(m, sk.truncated(exp, k), sk.truncated(pri, k), chain) for m in methods} | (with_replacement_adjusted(base, reps, k) if baselines else {})
+        every.append(_wt(_stack(parts)).withColumn("sketch_id", F.concat_ws("@", "method", F.lit(k), "sketch_id")).drop("method"))
+    sizes = F.explode(F.array(*[F.lit(g) for g in gs])).alias("g")
+    adj = reduce(DataFrame.unionByName, every).select("*", sizes)
+    grouped = metrics.weight_groups(base, 1, ["wt"]).select("wt", "item_id", "weight", F.col("grp").alias("place"), sizes).withColumn("grp", F.floor(F.col("place") / F.col("g"))).drop("place")
+    sse = metrics.sse_by_partition(adj, grouped, ["wt", "g"])
+    tag = F.split("sketch_id", "@")
+    mean = sse.groupBy("wt", "g", tag[0].alias("method"), tag[1].cast("int").alias("k")).agg(F.avg("sse").alias("sse"))
+    return mean.join(truth_of(base), "wt").select("wt", "k", "g", "method", (F.col("sse") / F.col("truth") ** 2).alias("rel_sse"))
+
+
+def run_chain_settings(spark: SparkSession, sf_dir: str, reps: int = 5, k: int = 500, settings: tuple[tuple[int, int], ...] = ((400, 1), (20, 20), (1, 400), (5, 2)), gs: tuple[int, ...] = (1, 5000), n: int | None = None) -> DataFrame:
     """The chain's settings beside exact subset conditioning."""
     parts = [run_partition_error(spark, sf_dir, reps, (k,), gs, ("subset_chain",), n, chain=s).withColumn("method", F.lit(f"chain_{s[0]}_{s[1]}")) for s in settings]
     return reduce(DataFrame.unionByName, [*parts, run_partition_error(spark, sf_dir, reps, (k,), gs, ("subset", "exp_rc"), n)])
 
 
-def run_subpop_bounds(spark: SparkSession, sf_dir: str, reps: int = 5, k: int = 40, g: int = 200, n: int = 1000, alphas: tuple[float, ...] = (1.0, 1.2, 2.0), draws: int = 100, delta: float = 0.05, group: int = 0) -> DataFrame:
-    """Bounds on a group of g items in order of weight (the one of that number): with and without the total, and by priority ranks."""
+def run_subpop_bounds(spark: SparkSession, sf_dir: str, reps: int = 5, ks: tuple[int, ...] = (40,), g: int = 200, n: int | None = 1000, alphas: tuple[float, ...] = (1.0, 1.2, 2.0), draws: int = 200, delta: float = 0.05) -> DataFrame:
+    """Bounds on every group of g items in order of weight, with and without the total, and by priority ranks: normalised, and averaged over all groups and repetitions."""
     base = metrics.weight_groups(base_weights(spark, sf_dir, n, alphas, uniform=False), g, ["wt"])
-    tagged = base.select("wt", "item_id", "weight", (F.col("grp") == group).alias("inside"))
-    truth = tagged.filter("inside").groupBy("wt").agg(F.sum("weight").alias("truth"))
-    flag = tagged.select(F.col("wt").alias("fwt"), F.col("item_id").alias("fid"), "inside")
-
-    def flagged(s: sk.Sketch) -> sk.Sketch:
-        e = s.entries.join(flag, (F.col("attrs.wt") == F.col("fwt")) & (F.col("item_id") == F.col("fid"))).drop("fwt", "fid").withColumnRenamed("inside", "chosen")
-        return sk.Sketch(e, s.header, s.family)
-
-    exp, pri = flagged(sketches(base.drop("grp"), reps, k)), flagged(sketches(base.drop("grp"), reps, k, "priority"))
-    parts = {"exp_total_known": bounds.bounds_subpop(exp, "chosen", True, delta=delta, draws=draws), "exp_total_unknown": bounds.bounds_subpop(exp, "chosen", None, delta=delta, draws=draws), "priority_chernoff": bounds.bounds_priority(pri, "chosen", delta=delta)}
-    got = _stack({m: b.select("sketch_id", "lower", "upper") for m, b in parts.items()})
-    return metrics.bound_quality(_wt(got).join(truth, "wt"), ["wt", "method"])
+    groups = base.groupBy("wt", "grp").agg(F.sum("weight").alias("truth"))
+    own = base.select(F.col("wt").alias("own_wt"), F.col("item_id").alias("own_id"), F.col("grp").alias("own_grp"))
+    each = groups.select(F.col("wt").alias("of"), "grp")
+
+    def by_group(s: sk.Sketch) -> sk.Sketch:
+        """The sketch once for each group, beside whether an entry is in it."""
+        name = F.concat_ws("#", "sketch_id", "grp")
+        e = s.entries.join(own, (F.col("attrs.wt") == F.col("own_wt")) & (F.col("item_id") == F.col("own_id"))).join(each, F.col("own_wt") == F.col("of"))
+        e = e.withColumn("chosen", F.col("own_grp") == F.col("grp")).withColumn("sketch_id", name)
+        h = s.header.withColumn("of_wt", F.substring_index("sketch_id", "#", 1)).join(each, F.col("of_wt") == F.col("of")).withColumn("sketch_id", name)
+        return sk.Sketch(e.select(*s.entries.columns, "chosen"), h.select(*s.header.columns), s.family)
+
+    exp, pri = sketches(base.drop("grp"), reps, max(ks)), sketches(base.drop("grp"), reps, max(ks), "priority")
+    got = []
+    for k in ks:
+        one, two = by_group(sk.truncated(exp, k)), by_group(sk.truncated(pri, k))
+        parts = {
+            "exp_total_known": bounds.bounds_subpop(one, "chosen", True, delta=delta, draws=draws),
+            "exp_total_unknown": bounds.bounds_subpop(one, "chosen", None, delta=delta, draws=draws),
+            "priority_chernoff": bounds.bounds_priority(two, "chosen", delta=delta),
+        }
+        got.append(_stack({m: b.select("sketch_id", "lower", "upper") for m, b in parts.items()}).withColumn("k", F.lit(k)))
+    rows = _wt(reduce(DataFrame.unionByName, got)).withColumn("grp", F.substring_index("sketch_id", "#", -1).cast("long"))
+    return metrics.bound_quality(rows.join(groups, ["wt", "grp"]), ["wt", "k", "method"])
+
+
+def best_sum_of_variances(base: DataFrame, size: int) -> DataFrame:
+    """(wt, best): the least sum of per-item variances of any sample of that expected size: each item by its weight over a threshold, the heaviest for certain."""
+    order = Window.partitionBy("wt").orderBy(F.desc("weight"), "item_id")
+    rows = base.withColumn("certain", F.row_number().over(order) - 1).withColumn("left", F.sum("weight").over(order.rowsBetween(0, Window.unboundedFollowing)))
+    cut = rows.filter(F.col("certain") < size).withColumn("threshold", F.col("left") / (size - F.col("certain"))).filter(F.col("weight") <= F.col("threshold"))
+    threshold = cut.groupBy("wt").agg(F.min(F.struct("certain", "threshold")).alias("c")).select("wt", "c.certain", "c.threshold")
+    light = rows.select("wt", "weight", F.col("certain").alias("place")).join(threshold, "wt").filter(F.col("place") >= F.col("certain"))
+    return light.groupBy("wt").agg(F.sum(F.col("weight") * (F.col("threshold") - F.col("weight"))).alias("best"))
+
+
+def run_item_variance(spark: SparkSession, sf_dir: str, reps: int = 20, k: int = 40, methods: tuple[str, ...] = ("exp_rc", "priority_rc"), n: int | None = 1000) -> DataFrame:
+    """Sum of per-item variances, variance of the total and their difference (twice the sum of covariances) relative to the squared total, beside the least sum at size k - 1 and the entries a method keeps and uses."""
+    base = base_weights(spark, sf_dir, n, uniform=False)
+    exp, pri = sketches(base, reps, k), sketches(base, reps, k, "priority")
+    best, truth = best_sum_of_variances(base, k - 1), truth_of(base)
+    out = []
+    for m in methods:
+        adj = _wt(adjusted_by(m, exp, pri))
+        got = metrics.sum_covariances(adj, base, reps, ["wt"])
+        kept = adj.groupBy("wt", "sketch_id").agg(F.count("*").alias("n")).groupBy("wt").agg(F.avg("n").alias("adjusted_items"))
+        # rank conditioning needs the next rank beside its k items; conditioning on the set of the others does not
+        out.append(got.join(kept, "wt").withColumn("method", F.lit(m)).withColumn("ranks_used", F.lit(k + 1 if m.endswith("_rc") else k)))
+    rows = reduce(DataFrame.unionByName, out).join(best, "wt").join(truth, "wt")
+    share = lambda c: (F.col(c) / F.col("truth") ** 2).alias(c)
+    return rows.select("wt", "method", share("total_variance"), share("sum_variances"), share("sum_covariances"), share("best"), "adjusted_items", F.col("ranks_used").cast("long").alias("ranks_used"))
 
 
 def run_event_shares(spark: SparkSession, sf_dir: str, k: int = 256) -> DataFrame:
@@ -174,9 +231,10 @@ def run_region_totals(spark: SparkSession, sf_dir: str, k: int = 256) -> DataFra
     dims = c.join(n, F.col("c_nationkey") == F.col("n_nationkey")).join(r, F.col("n_regionkey") == F.col("r_regionkey")).select("c_custkey", "r_name")
     adj = query.attributes(adjusted.subset_conditioned(s)).join(dims, F.col("o_custkey") == F.col("c_custkey"))
     exact = o.join(dims, F.col("o_custkey") == F.col("c_custkey")).groupBy("r_name").agg(F.sum("o_totalprice").alias("exact"))
-    tagged = sk.Sketch(query.attributes(s.entries).join(dims, F.col("o_custkey") == F.col("c_custkey")), s.header, s.family)
-    names = [x["r_name"] for x in r.select("r_name").collect()]  # five regions
-    limits = reduce(DataFrame.unionByName, [bounds.bounds_subpop(tagged, F.col("r_name") == x, True).select(F.lit(x).alias("r_name"), "lower", "upper") for x in names])
+    regions = r.select(F.col("r_name").alias("of"))
+    entries = query.attributes(s.entries).join(dims, F.col("o_custkey") == F.col("c_custkey")).crossJoin(F.broadcast(regions)).withColumn("sketch_id", F.col("of"))  # k rows, five regions
+    tagged = sk.Sketch(entries, s.header.crossJoin(regions).withColumn("sketch_id", F.col("of")).drop("of"), s.family)
+    limits = bounds.bounds_subpop(tagged, F.col("r_name") == F.col("of"), True).select(F.col("sketch_id").alias("r_name"), "lower", "upper")
     return exact.join(adj.groupBy("r_name").agg(F.sum("adj_weight").alias("estimate")), "r_name", "left").join(limits, "r_name", "left")
 
 
@@ -189,7 +247,11 @@ def run_unaggregated(spark: SparkSession, sf_dir: str, piece: list[str], pieces:
 
 
 def run_baskets(spark: SparkSession, sf_dir: str, k: int = 64) -> DataFrame:
-    """Union, intersection and likeness of the sets of parts of each pair of return flags, from coordinated sketches, beside the exact weights."""
+    """Union, intersection and likeness of the sets of parts of each pair of return flags, from coordinated sketches, beside the exact weights.
+
+    The baskets are of lines of more than 45 pieces: nearly every part has some line of each flag, so
+    that without a condition on lines all sets would be the same.
+    """
     parts, li = table(spark, sf_dir, "part"), table(spark, sf_dir, "lineitem").filter("l_quantity > 45")
     own = {f: parts.join(li.filter(F.col("l_returnflag") == f), F.col("p_partkey") == F.col("l_partkey"), "left_semi") for f in ("A", "N", "R")}
     made = {f: sk.bottomk(d, "p_partkey", "p_retailprice", k) for f, d in own.items()}
