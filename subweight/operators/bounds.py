@@ -10,6 +10,8 @@ ranks have bounds from the number of light items.
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -129,8 +131,13 @@ def bounds_subpop(sketch: Sketch, predicate: Column | str, total: float | bool |
 
 
 def bounds_priority(sketch: Sketch, predicate: Column | str = "true", tail: str = "chernoff", delta: float = 0.05) -> DataFrame:
-    """Priority ranks: items heavier than 1/tau are certain; the number of light ones bounds their expected number, by Chernoff's bound or the exact Poisson tail."""
+    """Priority ranks: items heavier than 1/tau are certain; the number of light ones bounds their expected number, by Chernoff's bound or the exact Poisson tail.
+
+    ``simulated``: the light items that are sampled are drawn by their own chances, and only what is unseen is Poisson.
+    """
     _need(sketch, "priority")
+    if tail == "simulated":
+        return _finish(_numeric(sketch, predicate, lambda g: simulated_bounds(g, delta)), delta, "priority_simulated")
     if tail == "poisson":
         return _finish(_numeric(sketch, predicate, lambda g: poisson_bounds(g, delta)), delta, "priority_poisson")
     predicate = F.expr(predicate) if isinstance(predicate, str) else predicate
@@ -176,20 +183,52 @@ def _share_below(log_density, tau: float, top: float) -> float:
     g = log_density(t)
     best = g.max()
     near = np.flatnonzero(g > best - 50)
-    t = np.linspace(t[max(near[0] - 1, 0)], t[min(near[-1] + 1, len(t) - 1)], 800)
+    t = np.linspace(t[max(near[0] - 1, 0)], t[min(near[-1] + 1, len(t) - 1)], 8000)
     p = np.exp(log_density(t) - best)
     area = np.concatenate([[0], np.cumsum((p[1:] + p[:-1]) / 2 * np.diff(t))])
     return float(np.interp(math.log(tau), t, area) / area[-1])
 
 
-def set_bounds(w: np.ndarray, tau: float, delta: float) -> tuple[float, float]:
-    """Total weight given which items were sampled: y, the least unsampled rank, has density exp(-l y) times the product of 1 - exp(-w y)."""
+@dataclass(frozen=True)
+class BoundFamily:
+    """What bounds on the unseen weight need of a family of ranks, as log densities over t, the logarithm of the least unseen rank.
+
+    seen(w, t): all sampled ranks are below; most(rest, t) and least(rest, t): the least rank of an unseen
+    set of that weight, in the cases that make it latest and earliest; ends(rest): where ``least`` ends.
+    """
+
+    name: str
+    seen: Callable[[np.ndarray, np.ndarray], np.ndarray]
+    most: Callable[[float, np.ndarray], np.ndarray]
+    least: Callable[[float, np.ndarray], np.ndarray]
+    ends: Callable[[float], float] | None = None
+
 
-    def share(rest: float) -> float:
-        density = lambda t: t - rest * np.exp(t) + np.log(-np.expm1(-np.outer(np.exp(t), w))).sum(axis=1)
-        return _share_below(density, tau, max(math.log(tau), math.log((len(w) + 1) / rest)) + 6)
+_exponential = lambda rest, t: t - rest * np.exp(t)  # noqa: E731 of many tiny items, whatever the family; of any, with exponential ranks
+#: Exponential ranks: an unseen set's least rank is exponential with its weight, however that is split.
+EXP_BOUNDS = BoundFamily("exp", lambda w, t: np.log(-np.expm1(-np.outer(np.exp(t), w))).sum(axis=1), _exponential, _exponential)
+#: Priority ranks: latest if unseen items are many and tiny, earliest if there is one, whose rank is uniform up to 1 / rest.
+PRIORITY_BOUNDS = BoundFamily("priority", lambda w, t: np.minimum(0, np.log(w)[None, :] + t[:, None]).sum(axis=1), _exponential, lambda rest, t: t, lambda rest: -math.log(rest))
 
-    return _solve_rest(share, w.sum(), tau, delta)
+
+def general_bounds(w: np.ndarray, tau: float, delta: float, family: BoundFamily) -> tuple[float, float]:
+    """Total weight given which items (weights ``w``) were sampled and the next rank, for any family."""
+    w = np.asarray(w, float)
+
+    def share(rest: float, law, end: float | None) -> float:
+        if end is not None and end <= math.log(tau):
+            return 1.0
+        top = max(math.log(tau), math.log((len(w) + 1) / rest)) + 6 if end is None else end
+        return _share_below(lambda t: law(rest, t) + family.seen(w, t), tau, top)
+
+    high = _solve_rest(lambda rest: share(rest, family.most, None), w.sum(), tau, delta)[1]
+    low = _solve_rest(lambda rest: share(rest, family.least, family.ends(rest) if family.ends else None), w.sum(), tau, delta)[0]
+    return low, high
+
+
+def set_bounds(w: np.ndarray, tau: float, delta: float) -> tuple[float, float]:
+    """Total weight given which items were sampled, by exponential ranks."""
+    return general_bounds(w, tau, delta, EXP_BOUNDS)
 
 
 def _solve_rest(share, seen: float, tau: float, delta: float) -> tuple[float, float]:
@@ -210,19 +249,8 @@ def _solve_rest(share, seen: float, tau: float, delta: float) -> tuple[float, fl
 
 
 def priority_total_bounds(w: np.ndarray, tau: float, delta: float) -> tuple[float, float]:
-    """Upper: density exp(-l y) times the product of min(1, w y); lower: that product on [0, 1/l], all that is unsampled being one item."""
-    w = np.asarray(w, float)
-    product = lambda t: np.minimum(0, np.log(w)[None, :] + t[:, None]).sum(axis=1)
-
-    def many(rest: float) -> float:
-        return _share_below(lambda t: t - rest * np.exp(t) + product(t), tau, max(math.log(tau), math.log((len(w) + 1) / rest)) + 6)
-
-    def one(rest: float) -> float:
-        if rest * tau >= 1:
-            return 1.0
-        return _share_below(lambda t: t + product(t), tau, -math.log(rest))
-
-    return _solve_rest(one, w.sum(), tau, delta)[0], _solve_rest(many, w.sum(), tau, delta)[1]
+    """Total weight given which items were sampled, by priority ranks."""
+    return general_bounds(w, tau, delta, PRIORITY_BOUNDS)
 
 
 def _root(f, low: np.ndarray, high: np.ndarray, steps: int = 60) -> np.ndarray:
@@ -271,6 +299,8 @@ def split_bounds(g: pd.DataFrame, total: float | None, delta: float, draws: int,
 
 def poisson_tail(n: int, x: float) -> float:
     """Pr(a Poisson number of mean x is at most n)."""
+    if n < 0:
+        return 0.0
     if x <= 0:
         return 1.0
     logs = -x + np.cumsum(np.concatenate([[0.0], np.log(x) - np.log(np.arange(1, n + 1))])) if n else np.array([-x])
@@ -291,3 +321,27 @@ def poisson_bounds(g: pd.DataFrame, delta: float) -> tuple[float, float]:
     high = solve(lambda x: poisson_tail(n, x) > delta, 0.0, n + 10 * math.sqrt(n + 1) + 20)
     low = solve(lambda x: 1 - poisson_tail(n - 1, x) < delta, 0.0, float(n)) if n else 0.0
     return certain + low / tau, certain + high / tau
+
+
+def simulated_bounds(g: pd.DataFrame, delta: float, draws: int = 50, seed: str = "light") -> tuple[float, float]:
+    """The unseen weight at which so many light items as are seen are too few (upper) or too many (lower): theirs drawn by their chances, the unseen ones' number Poisson."""
+    tau, name = float(g["tau"].iloc[0]), g["sketch_id"].iloc[0]
+    rows = g[g["inside"]]
+    w = rows["weight"].to_numpy(float)
+    light = w * tau < 1
+    n, seen = int(light.sum()), float(w.sum())
+    chance, at = w[light] * tau, rows["pos"].to_numpy()[light]
+    left = [n - sum(uniform_of(seed, name, d, p) < c for p, c in zip(at, chance, strict=True)) for d in range(1, draws + 1)]
+    below = lambda x: float(np.mean([poisson_tail(m, x) for m in left]))  # noqa: E731 no more than are seen
+    above = lambda x: float(np.mean([1 - poisson_tail(m - 1, x) if m > 0 else 1.0 for m in left]))  # noqa: E731 no fewer
+
+    def solve(f, high: float) -> float:
+        low = 0.0
+        for _ in range(60):
+            mid = (low + high) / 2
+            low, high = (mid, high) if f(mid) else (low, mid)
+        return (low + high) / 2
+
+    most = n + 10 * math.sqrt(n + 1) + 20
+    low = 0.0 if above(0.0) >= delta else solve(lambda x: above(x) < delta, most)
+    return seen + low / tau, seen + solve(lambda x: below(x) > delta, most) / tau

@@ -44,9 +44,10 @@ def other_attribute(adj: DataFrame, value: Column | str, predicate: Column | str
 def moments(adj: DataFrame, predicate: Column | str = "true") -> DataFrame:
     """Estimated count, mean and variance of the weights of a subpopulation, from its estimated 0th, 1st and 2nd moment."""
     w, a, p = F.col("weight"), F.col("adj_weight"), _expr(predicate)
-    sums = adj.filter(p).groupBy("sketch_id").agg(F.sum(a / w).alias("count"), F.sum(a).alias("sum"), F.sum(a * w).alias("squares"))
-    mean = F.col("sum") / F.col("count")
-    return sums.select("sketch_id", "count", mean.alias("mean"), (F.col("squares") / F.col("count") - mean * mean).alias("variance"))
+    part = lambda c: F.coalesce(F.sum(F.when(p, c)), F.lit(0.0))  # noqa: E731 an empty subpopulation has a count of 0, and no mean
+    sums = adj.groupBy("sketch_id").agg(part(a / w).alias("count"), part(a).alias("sum"), part(a * w).alias("squares"))
+    mean = F.col("sum") / F.nullif(F.col("count"), F.lit(0.0))
+    return sums.select("sketch_id", "count", mean.alias("mean"), (F.col("squares") / F.nullif(F.col("count"), F.lit(0.0)) - mean * mean).alias("variance"))
 
 
 def weight_ratio(adj: DataFrame, over: Column | str, under: Column | str) -> DataFrame:

@@ -39,8 +39,8 @@ def set_relations(a: Sketch, b: Sketch, k: int, family: str = "exp", seed: str =
 def all_distances(df: DataFrame, item: Column | str, weight: Column | str, distance: Column | str, k: int, by: Column | str | None = None, family: str = "exp", seed: str = "s1", on_negative: str = "error") -> DataFrame:
     """(sketch_id, item_id, distance, weight, rank, u): items whose rank is among the k+1 smallest of those no farther than they.
 
-    A first pass in every partition drops most; what survives, about k times the logarithm of the
-    number of items, meets in one pass a location.
+    A first pass over every partition, with what it holds so far, drops most; what survives, about k times
+    the logarithm of the number of items, meets first by groups of partitions, then in one pass a location.
     """
     base = ranked(df.withColumn("__d", F.col(distance) if isinstance(distance, str) else distance), item, weight, family, seed, ["__d"], on_negative, None if by is None else (F.col(by) if isinstance(by, str) else by))
     rows = base.filter("rank IS NOT NULL").select("sketch_id", "item_id", F.col("attrs.__d").cast("double").alias("distance"), "weight", "rank", "u")
@@ -59,11 +59,15 @@ def all_distances(df: DataFrame, item: Column | str, weight: Column | str, dista
         return g[keep]
 
     def local(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: dict[str, pd.DataFrame] = {}
         for g in batches:
-            if len(g):
-                yield pd.concat([survivors(x) for _, x in g.groupby("sketch_id", sort=False)])
+            for name, x in g.groupby("sketch_id", sort=False):
+                held[name] = survivors(pd.concat([held[name], x]) if name in held else x)
+        yield from held.values()
 
-    return rows.mapInPandas(local, rows.schema).groupBy("sketch_id").applyInPandas(survivors, rows.schema)
+    near = rows.mapInPandas(local, rows.schema).withColumn("__level", F.floor(F.sqrt(F.spark_partition_id())))
+    some = near.groupBy("sketch_id", "__level").applyInPandas(lambda g: survivors(g.drop(columns="__level")), rows.schema)
+    return some.groupBy("sketch_id").applyInPandas(survivors, rows.schema)
 
 
 def neighborhood(ads: DataFrame, d: float, k: int, family: str = "exp", seed: str = "s1") -> Sketch:

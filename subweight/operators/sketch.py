@@ -7,8 +7,11 @@ than k items a sketch holds them all: tau is null and exact is true.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -146,11 +149,49 @@ def merge(*sketches: Sketch, k: int, family: str = "exp", seed: str = "s1", dist
     return Sketch(top.entries.crossJoin(least).filter(F.col("least").isNull() | (F.col("rank") < F.col("least"))).drop("least"), own.select("sketch_id", "family", "seed", "k", "n_seen", total.alias("total_weight"), tau.alias("tau"), tau.isNull().alias("exact")), family)
 
 
+def least_distinct(rows: DataFrame, k: int) -> DataFrame:
+    """Of ranked rows, in each partition, one of each of the k+1 least (rank, item): copies never leave their partition.
+
+    Copies of unlike weight have unlike ranks; the least of an item's ranks is kept by whoever merges.
+    """
+    order = [("rank", "ascending"), ("item_id", "ascending")]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: pa.Table | None = None
+        for batch in batches:
+            part = pa.Table.from_batches([batch])
+            if held is not None and held.num_rows > k:
+                part = part.filter(pc.less_equal(part.column("rank"), held.column("rank")[k]))
+            if not part.num_rows:
+                continue
+            part = (part if held is None else pa.concat_tables([held, part])).sort_by(order)
+            item, rank = part.column("item_id").to_pylist(), part.column("rank").to_pylist()
+            seen: set = set()
+            keep = []
+            for i, x in enumerate(item):
+                if rank[i] is not None and x not in seen:
+                    seen.add(x)
+                    keep.append(i)
+                    if len(keep) > k:
+                        break
+            held = part.take(pa.array(keep, pa.int64()))
+        if held is not None:
+            yield from held.to_batches()
+
+    return rows.mapInArrow(run, rows.schema)
+
+
 def bottomk_distinct(df: DataFrame, item: Column | str, k: int, weight: Column | str | None = None, seed: str = "s1", family: str = "exp") -> Sketch:
-    """The sketch of the set of distinct ids: copies have equal ranks and collapse before anything is shuffled."""
+    """The sketch of the set of distinct ids: copies collapse and all but k+1 ids go in each partition, before anything is shuffled.
+
+    The number of distinct ids and their total weight are not known from it (null) unless it holds all of them.
+    """
     rows = ranked(df, item, F.lit(1.0) if weight is None else weight, family, seed)
-    once = rows.groupBy("sketch_id", "item_id").agg(F.max("weight").alias("weight"), F.min("rank").alias("rank"), F.min("u").alias("u")).withColumn("attrs", F.struct(F.lit(None).cast("string").alias("none")))
-    return top_by(once, k, family, seed)
+    near = least_distinct(rows.select("item_id", "weight", "rank", "u"), k)
+    once = near.groupBy("item_id").agg(F.min(F.struct("rank", "weight", "u")).alias("m")).select(F.lit(WHOLE).alias("sketch_id"), "item_id", "m.weight", "m.rank", "m.u", F.struct(F.lit(None).cast("string").alias("none")).alias("attrs"))
+    few = F.count("*") <= k
+    stats = once.groupBy("sketch_id").agg(F.when(few, F.count("*")).alias("n_seen"), F.when(few, F.sum("weight")).alias("total_weight"))
+    return top_by(once, k, family, seed, stats)
 
 
 def bottomk_unaggregated(pieces: DataFrame, item: str, piece: list[str], weight: Column | str, k: int, seed: str = "s1") -> Sketch:

@@ -95,6 +95,17 @@ def _km_rows(s: kmins.KMins) -> DataFrame:
 add("sketch_kmins_orders", KM_ROWS)(lambda spark, d: _km_rows(orders_kmins(spark, d)))
 
 
+for _f, _rank in (("priority", "u / weight"), ("uniform", "u")):
+    add(
+        f"sketch_kmins_{_f}",
+        f"""WITH y AS (SELECT j, item_id, weight, {_rank} AS rank FROM (SELECT j, c_custkey AS item_id, c_acctbal AS weight, {sql.uniform("s1", "j", "c_custkey")} AS u FROM customer, range(1, 17) AS t(j) WHERE c_acctbal > 0)),
+        m AS (SELECT j, min(struct_pack(rank := rank, item_id := item_id, weight := weight)) AS m FROM y GROUP BY j)
+        SELECT j::BIGINT AS j, m.item_id::BIGINT AS item_id, round(m.weight, 2) AS weight, round(m.rank * 1e6, 9) AS scaled_rank FROM m""",
+    )(
+        lambda spark, d, f=_f: kmins.kmins(table(spark, d, "customer").filter("c_acctbal > 0"), "c_custkey", "c_acctbal", 16, f).rows.select(F.col("j").cast("long").alias("j"), F.col("item_id").cast("long").alias("item_id"), F.round("weight", 2).alias("weight"), F.round(F.col("min_rank") * 1e6, 9).alias("scaled_rank"))
+    )
+
+
 @add("sketch_kmins_merge", KM_ROWS)
 def _km_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
     o = table(spark, sf_dir, "orders")
@@ -145,6 +156,17 @@ def _preagg(spark: SparkSession, sf_dir: str) -> DataFrame:
     return entries_of(sk.bottomk_preagg(table(spark, sf_dir, "lineitem"), "l_partkey", "l_extendedprice", K), 4)
 
 
+def monthly_orders(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, str, DataFrame, str]:
+    """Orders kept by month, with the stored catalogue of months and their weights: a sketch of it reads the folders of a few months."""
+    from .catalog_streams import scratch
+
+    folder = scratch(spark)
+    o = table(spark, sf_dir, "orders").withColumn("part", F.date_format("o_orderdate", "yyyy-MM"))
+    o.groupBy("part").agg(F.sum("o_totalprice").alias("pw")).coalesce(1).write.parquet(f"{folder}/catalogue")
+    o.repartition("part").write.partitionBy("part").parquet(f"{folder}/orders")
+    return spark.read.schema(o.schema).parquet(f"{folder}/orders"), "part", spark.read.parquet(f"{folder}/catalogue"), "pw"
+
+
 @add(
     "sketch_parts_eliminated",
     f"""WITH o AS (SELECT *, strftime(o_orderdate, '%Y-%m') AS part FROM orders), c AS (SELECT part, sum(o_totalprice) AS pw FROM o GROUP BY 1),
@@ -156,9 +178,7 @@ def _preagg(spark: SparkSession, sf_dir: str) -> DataFrame:
     SELECT pos, item_id::BIGINT AS item_id, part, round(weight, 2) AS weight, round(rank * w, 6) AS scaled_rank FROM q, t WHERE pos <= 12""",
 )
 def _eliminated(spark: SparkSession, sf_dir: str) -> DataFrame:
-    o = table(spark, sf_dir, "orders").withColumn("part", F.date_format("o_orderdate", "yyyy-MM"))
-    catalogue = o.groupBy("part").agg(F.sum("o_totalprice").alias("pw"))
-    s = sk.bottomk_partitioned(o, "part", catalogue, "pw", "o_orderkey", "o_totalprice", 12)
+    s = sk.bottomk_partitioned(*monthly_orders(spark, sf_dir), "o_orderkey", "o_totalprice", 12)
     return s.flat().select(F.col("pos").cast("long").alias("pos"), F.col("item_id").cast("long").alias("item_id"), "attrs.part", F.round("weight", 2).alias("weight"), F.round(F.col("rank") * F.col("total_weight"), 6).alias("scaled_rank"))
 
 
@@ -167,9 +187,10 @@ def _skip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return entries_of(sets.bottomk_skip(table(spark, sf_dir, "events"), "event_id", "value", K), 6)
 
 
-@add("sketch_distinct_users", sql.sketch("(SELECT DISTINCT user_id FROM events)", "user_id", "1", 32, extra="") + ENTRIES.format(d=6))
+@add("sketch_distinct_users", sql.sketch("(SELECT DISTINCT user_id FROM events)", "user_id", "1", 32, extra="") + " SELECT sketch_id, pos, item_id::BIGINT AS item_id, round(rank, 9) AS rank, round(tau, 9) AS tau FROM e")
 def _distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return entries_of(sk.bottomk_distinct(table(spark, sf_dir, "events"), "user_id", 32), 6)
+    flat = sk.bottomk_distinct(table(spark, sf_dir, "events"), "user_id", 32).flat()
+    return flat.select("sketch_id", F.col("pos").cast("long").alias("pos"), F.col("item_id").cast("long").alias("item_id"), F.round("rank", 9).alias("rank"), F.round("tau", 9).alias("tau"))
 
 
 _OLD, _WHICH = sql.uniform("mimic", "sketch_id", "d", "'old'"), sql.uniform("mimic", "sketch_id", "d", "'which'")
@@ -191,12 +212,11 @@ def _mimic(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @add("rank_redraws", orders_sql() + f" SELECT item_id::BIGINT AS item_id, round(-ln(1 - v * (1 - exp(-weight * tau))) / weight * total_weight, 6) AS scaled_rank, round((1 - exp(-weight * rank)) / weight * total_weight, 6) AS as_priority FROM (SELECT *, {sql.uniform('redraw', 'item_id')} AS v FROM e)")
 def _redraws(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from ..functions.ranks import redrawn_rank
+    from ..functions.ranks import redrawn_rank, remap_rank
 
     f = orders_sketch(spark, sf_dir).flat()
     again = redrawn_rank(hash_uniform("redraw", "item_id"), F.col("weight"), F.col("tau"))
-    level = -F.expm1(-F.col("weight") * F.col("rank"))
-    return f.select(F.col("item_id").cast("long").alias("item_id"), F.round(again * F.col("total_weight"), 6).alias("scaled_rank"), F.round(level / F.col("weight") * F.col("total_weight"), 6).alias("as_priority"))
+    return f.select(F.col("item_id").cast("long").alias("item_id"), F.round(again * F.col("total_weight"), 6).alias("scaled_rank"), F.round(remap_rank(F.col("rank"), F.col("weight"), "exp", "priority") * F.col("total_weight"), 6).alias("as_priority"))
 
 
 @add(
@@ -211,18 +231,20 @@ def _redraw_ordered(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # ---------------------------------------------------------------- sets and distances
 
-_FLAGS = {f: f"(SELECT DISTINCT l_partkey FROM lineitem WHERE l_returnflag = '{f}' AND l_quantity > 45)" for f in "AR"}
+#: Baskets of the lines of more than 45 pieces: without a condition on lines nearly every part has some of each flag.
+_FLAGS = {f: f"(SELECT DISTINCT l_partkey FROM lineitem WHERE l_returnflag = '{f}' AND l_quantity > 45)" for f in "ANR"}
+
 
-def _union_sql(select: str) -> str:
+def _union_sql(select: str, first: str = "A", second: str = "R") -> str:
     def one(tag: str) -> str:
         text = sql.sketch(f"part JOIN {_FLAGS[tag]} ON l_partkey = p_partkey", "p_partkey", "p_retailprice", K)
         return text.replace("WITH RECURSIVE ", f"e{tag} AS (WITH ", 1) + f" SELECT * FROM e), h{tag} AS (" + text.replace("WITH RECURSIVE", "WITH", 1) + " SELECT * FROM h)"
 
-    return f"""WITH {one("A")}, {one("R")},
-    u0 AS (SELECT item_id, weight, rank FROM eA UNION SELECT item_id, weight, rank FROM eR),
+    return f"""WITH {one(first)}, {one(second)},
+    u0 AS (SELECT item_id, weight, rank FROM e{first} UNION SELECT item_id, weight, rank FROM e{second}),
     u1 AS (SELECT *, row_number() OVER (ORDER BY rank, item_id) AS pos FROM u0),
-    tt AS (SELECT least((SELECT rank FROM u1 WHERE pos = {K + 1}), (SELECT tau FROM hA), (SELECT tau FROM hR)) AS tau),
-    u AS (SELECT u1.*, weight / (1 - exp(-weight * tau)) AS adj, item_id IN (SELECT item_id FROM eA) AS a, item_id IN (SELECT item_id FROM eR) AS b FROM u1, tt WHERE pos <= {K}) {select}"""
+    tt AS (SELECT least((SELECT rank FROM u1 WHERE pos = {K + 1}), (SELECT tau FROM h{first}), (SELECT tau FROM h{second})) AS tau),
+    u AS (SELECT u1.*, weight / (1 - exp(-weight * tau)) AS adj, item_id IN (SELECT item_id FROM e{first}) AS a, item_id IN (SELECT item_id FROM e{second}) AS b FROM u1, tt WHERE pos <= {K}) {select}"""
 
 
 def _relations(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -259,9 +281,14 @@ def _near(spark: SparkSession, sf_dir: str) -> DataFrame:
     return adj.groupBy("sketch_id").agg(F.count("*").alias("n"), F.round(F.sum("adj_weight"), 4).alias("estimate"))
 
 
-@add("decayed_sum")
+@add(
+    "decayed_sum",
+    _ADS_SQL
+    + """, z AS (SELECT * FROM a WHERE smaller <= 16), k AS (SELECT *, list_sort(list(rank) OVER (PARTITION BY sketch_id ORDER BY distance, rank, item_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))[16] AS kth FROM z)
+    SELECT sketch_id, round(sum(CASE WHEN kth IS NULL THEN weight WHEN rank < kth THEN weight / (1 - exp(-weight * kth)) ELSE 0 END * exp(-distance / 864000)), 4) AS estimate FROM k GROUP BY 1""",
+)
 def _decayed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return sets.decayed_weight(_ads(spark, sf_dir), 16, lambda x: F.exp(-x / 864000))
+    return sets.decayed_weight(_ads(spark, sf_dir), 16, lambda x: F.exp(-x / 864000)).withColumn("estimate", F.round("estimate", 4))
 
 
 # ---------------------------------------------------------------- with-replacement estimators
@@ -377,6 +404,7 @@ add(
 for _r, _p in ((5, 2), (20, 20), (400, 1), (1, 400)):
     add(f"chain_{_r}_{_p}", orders_sql() + sql.chain(_r, _p) + " SELECT sketch_id, item_id::BIGINT AS item_id, round(acc[pos] / total_weight, 8) AS share FROM e JOIN ch USING (sketch_id)")(lambda s, d, r=_r, p=_p: _shares(adjusted.subset_conditioned_chain(orders_sketch(s, d), redraws=r, steps=p)))
 
+add("partitioned_ht_items", orders_sql() + f" SELECT sketch_id, item_id::BIGINT AS item_id, round({sql.ADJ['exp']} / total_weight, 8) AS share FROM e")(lambda s, d: _shares(adjusted.partitioned_ht(orders_sketch(s, d), -F.expm1(-F.col("weight") * F.col("tau")))))
 add("horvitz_thompson", f"SELECT round(sum(o_totalprice / least(1, o_totalprice * 1e-6)), 2) AS estimate, count(*) AS n FROM orders WHERE {sql.uniform('poisson', 'o_orderkey')} < o_totalprice * 1e-6")(
     lambda s, d: adjusted.horvitz_thompson(table(s, d, "orders").withColumn("p", F.least(F.lit(1.0), F.col("o_totalprice") * 1e-6)).filter(hash_uniform("poisson", "o_orderkey") < F.col("p")), "o_totalprice", "p").agg(F.round(F.sum("adj_weight"), 2).alias("estimate"), F.count("*").alias("n"))
 )
@@ -419,7 +447,9 @@ _D = 50
 add("bounds_exp_total_quantile", orders_sql(k=24) + sql.splits("true") + _G + sql.draw_roots("dr", "sums", "tau", "bt", _D, "g2") + f" SELECT round(greatest(sum_in, {sql.pick('xs', 0.05, _D)}), 2) AS lower, round({sql.pick('xs', 0.95, _D)}, 2) AS upper FROM g2 JOIN dr USING (sketch_id)")(
     lambda s, d: _b(bounds.bounds_total(orders_sketch(s, d, k=24), solver="quantile", draws=_D))
 )
-add("bounds_exp_total_set")(lambda s, d: _b(bounds.bounds_total(orders_sketch(s, d), conditioning="set")))
+add("bounds_exp_total_set", orders_sql() + sql.set_limits("sl", 0.05) + " SELECT round(lower / w, 3) AS lower, round(upper / w, 3) AS upper FROM sl")(
+    lambda s, d: bounds.bounds_total(orders_sketch(s, d), conditioning="set").crossJoin(table(s, d, "orders").agg(F.sum("o_totalprice").alias("w"))).select(F.round(F.col("lower") / F.col("w"), 3).alias("lower"), F.round(F.col("upper") / F.col("w"), 3).alias("upper"))
+)
 add("bounds_subpop_normal", orders_sql() + sql.splits(_J) + _G + sql.upper_normal("up", "sums", "tau", 0.05, "g2") + sql.lower_normal("dn", "ins", "last", 0.05, "g2") + " SELECT round(greatest(coalesce(dn.root, sum_in), sum_in), 2) AS lower, round(up.root, 2) AS upper FROM g2 JOIN up USING (sketch_id) JOIN dn USING (sketch_id)")(
     lambda s, d: _b(bounds.bounds_subpop(opened(orders_sketch(s, d)), _J, solver="normal"))
 )
@@ -437,7 +467,8 @@ add(
     + sql.bisect("dn", f"n - mid + n * ln(mid / n) - ({_LOG!r}) < 0", "n * 1e-12", "n", "c")
     + " SELECT round(certain + dn.root / tau, 2) AS lower, round(certain + up.root / tau, 2) AS upper FROM c JOIN up USING (sketch_id) JOIN dn USING (sketch_id)",
 )(lambda s, d: _b(bounds.bounds_priority(opened(orders_sketch(s, d, "priority")), _J)))
-add("bounds_priority_poisson")(lambda s, d: _b(bounds.bounds_priority(opened(orders_sketch(s, d, "priority")), _J, "poisson")))
+add("bounds_priority_poisson", orders_sql("priority") + sql.poisson("pp", "e", _J) + " SELECT round(lower, 2) AS lower, round(upper, 2) AS upper FROM pp")(lambda s, d: _b(bounds.bounds_priority(opened(orders_sketch(s, d, "priority")), _J, "poisson")))
+add("bounds_priority_simulated", orders_sql("priority") + sql.simulated("ps", "e", _J) + " SELECT round(lower, 2) AS lower, round(upper, 2) AS upper FROM ps")(lambda s, d: _b(bounds.bounds_priority(opened(orders_sketch(s, d, "priority")), _J, "simulated")))
 add("bounds_priority_total")(lambda s, d: _b(bounds.bounds_priority_total(orders_sketch(s, d, "priority"))))
 SUBSET_SQL = orders_sql() + sql.subset() + " SELECT sketch_id, item_id::BIGINT AS item_id, share FROM e JOIN sc USING (sketch_id, pos)"
 add(

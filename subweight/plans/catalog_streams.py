@@ -12,21 +12,27 @@ from ..operators import sqlsurface
 from ..sources import io, pareto
 from ..streaming import streams
 from . import sql
+from .catalog import _ADS_SQL as ADS_SQL
 from .catalog import ENTRIES, SPLIT_SQL, SUBSET_SQL, K, add, entries_of, orders_sketch, orders_sql
 
 
 def scratch(spark: SparkSession) -> str:
-    """A new folder that all executors share: under the checkpoint folder the session names, else under the warehouse."""
+    """A new folder that all executors share: under the checkpoint folder the session names; only a local session has one of its own."""
     context = spark.sparkContext
     shared = context.getConf().get("spark.checkpoint.dir", None)
     if shared is None:
-        shared = "/tmp/checkpoints" if context.master.startswith("local") else spark.conf.get("spark.sql.warehouse.dir")
+        if not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        shared = "/tmp/checkpoints"
     return f"{shared}/streams-{uuid.uuid4().hex}"
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    schema = io.table(spark, sf_dir, "events").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    """The events as a stream, be the table one file or a folder of part files."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/events.parquet")
+    folder = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(path).isDirectory()
+    reader = spark.readStream.schema(io.table(spark, sf_dir, "events").schema)
+    return reader.parquet(f"{sf_dir}/events.parquet") if folder else reader.option("pathGlobFilter", "events.parquet").parquet(sf_dir)
 
 
 def collected(spark: SparkSession, stream: DataFrame, folder: str) -> DataFrame:
@@ -40,7 +46,7 @@ def collected(spark: SparkSession, stream: DataFrame, folder: str) -> DataFrame:
 def _stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = scratch(spark)
     streams.stream_bottomk(event_stream(spark, sf_dir), "event_id", "value", K, f"{folder}/store", f"{folder}/state").awaitTermination()
-    snap = streams.read_snapshot(spark, f"{folder}/store", 0, K)
+    snap = streams.read_snapshot(spark, f"{folder}/store", None, K)
     return snap.select(F.col("pos").cast("long").alias("pos"), "item_id", F.round("weight", 4).alias("weight"), F.round(F.col("rank") * F.col("total_weight"), 6).alias("scaled_rank"), F.round(F.col("tau") * F.col("total_weight"), 6).alias("scaled_tau"), "n_seen")
 
 
@@ -53,9 +59,24 @@ def _windowed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("sketch_id", F.col("pos").cast("long").alias("pos"), "item_id", F.round(F.col("rank") * 1000, 6).alias("scaled_rank"), "n_seen", F.round("total_weight", 4).alias("total_weight"))
 
 
-@add("stream_sessions")
+@add(
+    "stream_sessions",
+    """WITH a AS (SELECT *, coalesce(epoch(ts) - lag(epoch(ts)) OVER (PARTITION BY user_id ORDER BY ts) > 1800, true) AS new FROM events),
+    b AS (SELECT *, sum(new::INT) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM a)
+    SELECT user_id::BIGINT AS user_id, floor(epoch(min(ts)))::BIGINT AS start, count(*) AS n_seen, round(sum(value), 4) AS total_weight FROM b GROUP BY user_id, s
+    HAVING epoch(max(ts)) + 1800 <= (SELECT epoch(max(ts)) - 3600 FROM events)""",
+)
 def _sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return collected(spark, streams.stream_sessions(event_stream(spark, sf_dir), "ts", "user_id", "value"), scratch(spark))
+    out = collected(spark, streams.stream_sessions(event_stream(spark, sf_dir), "ts", "user_id", "value"), scratch(spark))
+    return out.select(F.col("user_id").cast("long").alias("user_id"), "start", "n_seen", F.round("total_weight", 4).alias("total_weight"))
+
+
+@add("stream_elapsed", ADS_SQL + " SELECT sketch_id, item_id::BIGINT AS item_id, round(weight, 4) AS weight, round(rank * 1000, 9) AS scaled_rank FROM a WHERE smaller <= 16")
+def _elapsed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = collected(spark, streams.stream_elapsed(event_stream(spark, sf_dir), "ts", "event_id", "value", 16, "event_type"), scratch(spark))
+    last = out.groupBy(F.col("sketch_id").alias("of")).agg(F.max("upto").alias("last"))
+    now = out.join(last, (F.col("sketch_id") == F.col("of")) & (F.col("upto") == F.col("last")))
+    return now.select("sketch_id", "item_id", F.round("weight", 4).alias("weight"), F.round(F.col("rank") * 1000, 9).alias("scaled_rank"))
 
 
 @add("sql_functions", orders_sql() + f" SELECT o_orderstatus, round(sum({sql.ADJ['exp']}), 2) AS estimate, round(max(greatest(weight, 1 / tau)), 2) AS heaviest FROM e GROUP BY 1")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ..operators import sketch as sk
 from . import sql, workloads
-from .catalog import PIECE_IDS, PIECE_SQL, K, _pieces, add
+from .catalog import _FLAGS, PIECE_IDS, PIECE_SQL, K, _pieces, _union_sql, add, orders_sql
 
 REPS = 10
 
@@ -160,7 +160,17 @@ add(
     + f", a AS (SELECT *, {sql.ADJ['exp']} AS adj FROM e) "
     + " UNION ALL ".join(f"SELECT '{c}' AS attribute, x.{c} AS part, round(x.exact, 4) AS exact, round(coalesce(y.est, 0), 4) AS estimate FROM (SELECT {c}, sum(value) AS exact FROM {_EVENTS} GROUP BY 1) x LEFT JOIN (SELECT {c}, sum(adj) AS est FROM a GROUP BY 1) y ON x.{c} = y.{c}" for c in ("event_type", "hour_of_day", "small_key")),
 )(lambda s, d: _round(workloads.run_event_shares(s, d), 4))
-add("exp_region_totals")(lambda s, d: _round(workloads.run_region_totals(s, d), 2))
+_DIMS = "(SELECT c_custkey, r_name FROM customer JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey)"
+add(
+    "exp_region_totals",
+    orders_sql(k=256)
+    + sql.subset(15)
+    + f", dm AS (SELECT * FROM {_DIMS}), e2 AS (SELECT e.* REPLACE (region.r_name AS sketch_id), dm.r_name = region.r_name AS chosen FROM e JOIN dm ON c_custkey = o_custkey, region)"
+    + sql.splits("chosen", "e2")
+    + sql.split_roots("sr", 200)
+    + f""" SELECT r_name, round(exact, 0) AS exact, round(estimate, 0) AS estimate, round({sql.pick("xs", 0.05, 200)}, 0) AS lower, round({sql.pick("xs", 0.95, 200)}, 0) AS upper FROM (SELECT r_name, sum(o_totalprice) AS exact FROM orders JOIN dm ON c_custkey = o_custkey GROUP BY 1)
+    LEFT JOIN (SELECT r_name, sum(share * total_weight) AS estimate FROM e JOIN sc USING (sketch_id, pos) JOIN dm ON c_custkey = o_custkey GROUP BY 1) USING (r_name) LEFT JOIN sr ON sr.sketch_id = r_name""",
+)(lambda s, d: _round(workloads.run_region_totals(s, d), 0))
 
 
 add(
@@ -172,6 +182,21 @@ add(
     SELECT 'two_pass' AS method, round(sum(weight / (1 - exp(-weight * t2))), 2) AS estimate, round(any_value(w), 2) AS exact FROM o, t WHERE p2 <= {K}
     UNION ALL SELECT 'pre_aggregated', round(sum(weight / (1 - exp(-weight * t1))), 2), round(any_value(w), 2) FROM o, t WHERE p1 <= {K}""",
 )(lambda s, d: _round(workloads.run_unaggregated(s, d, PIECE_IDS, _pieces(s, d), K), 2))
-add("exp_baskets")(lambda s, d: _round(workloads.run_baskets(s, d), 4))
+_EXACT = "(SELECT round(sum(p_retailprice), 4) FROM part WHERE p_partkey IN (SELECT * FROM {a}) {how} p_partkey IN (SELECT * FROM {b})) AS exact_{name}"
+add(
+    "exp_baskets",
+    " UNION ALL ".join(
+        "("
+        + _union_sql(
+            f"SELECT '{a + b}' AS pair, round(sum(adj), 4) AS union_weight, round(coalesce(sum(adj) FILTER (a AND b), 0), 4) AS intersection_weight, round(coalesce(sum(adj) FILTER (a AND NOT b), 0), 4) AS only_a, round(coalesce(sum(adj) FILTER (b AND NOT a), 0), 4) AS only_b, round(coalesce(sum(adj) FILTER (a AND b), 0) / sum(adj), 4) AS jaccard, "
+            + ", ".join(_EXACT.format(a=_FLAGS[a], b=_FLAGS[b], how=how, name=name) for how, name in (("OR", "union"), ("AND", "intersection")))
+            + " FROM u",
+            a,
+            b,
+        )
+        + ")"
+        for a, b in (("A", "N"), ("A", "R"), ("N", "R"))
+    ),
+)(lambda s, d: _round(workloads.run_baskets(s, d), 4))
 add("sampling_baseline")(lambda s, d: workloads.sampling_baseline(workloads.table(s, d, "orders"), "o_totalprice", 0.05))
 

@@ -161,3 +161,29 @@ def poisson(name: str, source: str, predicate: str, delta: float = 0.05) -> str:
 
 QUALITY = """round(avg(lower / truth), 6) AS lower, round(avg(upper / truth), 6) AS upper, round(avg((upper - lower) / truth), 6) AS width, round(avg(pow(upper / truth - 1, 2)), 6) AS upper_sq_error, round(avg(pow(lower / truth - 1, 2)), 6) AS lower_sq_error,
     round(avg(CASE WHEN lower <= truth AND truth <= upper THEN 1.0::DOUBLE ELSE 0 END), 6) AS in_bounds, round(avg(CASE WHEN truth > upper THEN 1.0::DOUBLE ELSE 0 END), 6) AS over_upper, round(avg(CASE WHEN truth < lower THEN 1.0::DOUBLE ELSE 0 END), 6) AS under_lower"""
+
+
+def simulated(name: str, source: str, predicate: str, delta: float = 0.05, draws: int = 50, seed: str = "light") -> str:
+    """CTE ``name`` (sketch_id, lower, upper): priority bounds with the seen light items drawn by their chances and the unseen ones Poisson."""
+    tail = lambda upto: f"coalesce(list_sum([exp(-mid + i * ln(mid) - lgamma(i + 1)) FOR i IN range(0, {upto})]), 0)"
+    text = f""", {name}_l AS (SELECT * FROM {source} WHERE ({predicate}) AND weight * tau < 1),
+    {name}_n AS (SELECT sketch_id, any_value(tau) AS tau, sum(weight) FILTER ({predicate}) AS seen, count(*) FILTER (({predicate}) AND weight * tau < 1) AS n FROM {source} GROUP BY 1),
+    {name}_d AS (SELECT sketch_id, d, count(*) FILTER ({uniform(seed, "sketch_id", "d", "pos")} < weight * tau) AS hit FROM {name}_l, range(1, {draws + 1}) AS t(d) GROUP BY 1, 2),
+    {name}_c AS (SELECT x.*, ls FROM {name}_n x JOIN (SELECT sketch_id, list(n - hit) AS ls FROM {name}_d JOIN {name}_n USING (sketch_id) GROUP BY 1) USING (sketch_id))"""
+    most = "n + 10 * sqrt(n + 1) + 20"
+    text += bisect(f"{name}_u", f"list_avg([{tail('m + 1')} FOR m IN ls]) > {delta!r}", "0.0", most, f"{name}_c", steps=60)
+    text += bisect(f"{name}_b", f"list_avg([CASE WHEN m > 0 THEN 1 - {tail('m')} ELSE 1 END FOR m IN ls]) < {delta!r}", "0.0", most, f"{name}_c", steps=60)
+    none = f"list_avg([CASE WHEN m > 0 THEN 0.0 ELSE 1.0 END FOR m IN ls]) >= {delta!r}"
+    return text + f", {name} AS (SELECT c.sketch_id, seen + CASE WHEN {none} THEN 0 ELSE b.root END / tau AS lower, seen + u.root / tau AS upper FROM {name}_c c JOIN {name}_u u USING (sketch_id) JOIN {name}_b b USING (sketch_id))"
+
+
+def set_limits(name: str, delta: float, step: float = 0.004, points: int = 4000) -> str:
+    """CTE ``name`` (sketch_id, lower, upper, w): bounds on the total given which items were sampled, by a grid that has ln tau as a point."""
+    text = f""", {name}_w AS (SELECT sketch_id, any_value(tau) AS tau, any_value(total_weight) AS w, sum(weight) AS seen, list(weight) AS ws FROM e GROUP BY 1),
+    {name}_p AS (SELECT sketch_id, i, exp(ln(tau) + i * {step}) AS y, ln(tau) + i * {step} + list_sum([ln(1 - exp(-x * exp(ln(tau) + i * {step}))) FOR x IN ws]) AS g FROM {name}_w, range({-points}, {points // 2}) AS t(i)),
+    {name}_g AS (SELECT x.*, ys, gs, tops FROM {name}_w x JOIN (SELECT sketch_id, list(y ORDER BY i) AS ys, list(g ORDER BY i) AS gs, max(g) AS tops FROM {name}_p GROUP BY 1) USING (sketch_id))"""
+    mass = lambda a, b: f"list_sum([exp(gs[i] - tops - mid * ys[i]) FOR i IN range({a}, {b})])"
+    share = f"({mass(1, points + 1)} + exp(gs[{points + 1}] - tops - mid * tau) / 2) / {mass(1, points + points // 2 + 1)}"
+    for side, level in (("lo", delta), ("hi", 1 - delta)):
+        text += bisect(f"{name}_{side}", f"{share} < {level!r}", "0.0", "200 * len(ws) / tau / 64", f"{name}_g", steps=50)
+    return text + f", {name} AS (SELECT x.sketch_id, w, seen + a.root AS lower, seen + b.root AS upper FROM {name}_w x JOIN {name}_lo a USING (sketch_id) JOIN {name}_hi b USING (sketch_id))"

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..operators.sketch import ranked
+from ..operators.sketch import least_distinct, ranked
 
 KEPT = "item_id long, weight double, rank double"
 OUT = "sketch_id string, pos int, item_id long, weight double, rank double, tau double, n_seen long, total_weight double"
@@ -35,22 +35,72 @@ def stream_bottomk(events: DataFrame, item: str, weight: str, k: int, store: str
         if number:
             best = best.unionByName(spark.read.parquet(f"{store}/entries/{number - 1}"))
             seen = seen.unionByName(spark.read.parquet(f"{store}/totals/{number - 1}")).agg(F.sum("n").alias("n"), F.sum("w").alias("w"))
-        best.dropDuplicates(["item_id"]).orderBy("rank", "item_id").limit(k + 1).write.mode("overwrite").parquet(f"{store}/entries/{number}")
+        once = least_distinct(best, k).groupBy("item_id").agg(F.min(F.struct("rank", "weight")).alias("m")).select("item_id", "m.weight", "m.rank")
+        once.orderBy("rank", "item_id").limit(k + 1).write.mode("overwrite").parquet(f"{store}/entries/{number}")
         seen.coalesce(1).write.mode("overwrite").parquet(f"{store}/totals/{number}")
 
     writer = events.writeStream.foreachBatch(fold).option("checkpointLocation", checkpoint)
     return (writer.trigger(availableNow=True) if once else writer.trigger(processingTime="10 seconds")).start()
 
 
-def read_snapshot(spark: SparkSession, store: str, number: int, k: int) -> DataFrame:
-    """The entries of a version with tau, count and total weight."""
+def latest_version(spark: SparkSession, store: str) -> int:
+    """The last version whose entries and totals are both complete."""
+    folder = spark._jvm.org.apache.hadoop.fs.Path(f"{store}/totals")
+    system = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    done = lambda name: system.exists(spark._jvm.org.apache.hadoop.fs.Path(folder, f"{name}/_SUCCESS"))
+    return max(int(x.getPath().getName()) for x in system.listStatus(folder) if x.getPath().getName().isdigit() and done(x.getPath().getName()))
+
+
+def read_snapshot(spark: SparkSession, store: str, number: int | None, k: int) -> DataFrame:
+    """The entries of a version (none given: the latest) with tau, count and total weight."""
+    number = latest_version(spark, store) if number is None else number
     best, seen = spark.read.parquet(f"{store}/entries/{number}"), spark.read.parquet(f"{store}/totals/{number}")
-    rows = [(i + 1, *r) for i, r in enumerate(best.orderBy("rank", "item_id").collect())]  # k+1 rows
+    rows = [(i + 1, *r) for i, r in enumerate(best.select("item_id", "weight", "rank").orderBy("rank", "item_id").collect())]  # k+1 rows
     tau = rows[k][3] if len(rows) > k else None
     head = spark.createDataFrame(rows[:k], f"pos int, {KEPT}").withColumn("tau", F.lit(tau).cast("double"))
     return head.crossJoin(seen.select(F.col("n").alias("n_seen"), F.col("w").alias("total_weight")))
 
 
+def late_rows(query) -> int:
+    """Rows that a query's operators have dropped as later than the watermark."""
+    return sum(int(o.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for o in p["stateOperators"])
+
+
+def _elapsed(k: int):
+    """State of each key: an item stays while its rank is among the k+1 smallest of those that came after it and itself."""
+
+    def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        kept = pd.DataFrame(dict(zip(("time", "item_id", "weight", "rank"), state.get, strict=True))) if state.exists else None
+        for g in batches:
+            own = g[["time", "item_id", "weight", "rank"]]
+            kept = own if kept is None else pd.concat([kept, own])
+            kept = kept.sort_values(["time", "rank", "item_id"], ascending=[False, True, True])
+            heap: list[float] = []
+            stay = []
+            for r in kept["rank"]:
+                stay.append(len(heap) <= k or r < -heap[0])
+                if len(heap) <= k:
+                    heapq.heappush(heap, -r)
+                elif r < -heap[0]:
+                    heapq.heapreplace(heap, -r)
+            kept = kept[stay]
+        state.update(tuple(kept[c].tolist() for c in ("time", "item_id", "weight", "rank")))
+        yield pd.DataFrame({"sketch_id": str(key[0]), "upto": float(kept["time"].iloc[0]), "time": kept["time"], "item_id": kept["item_id"], "weight": kept["weight"], "rank": kept["rank"]})
+
+    return run
+
+
+def stream_elapsed(events: DataFrame, ts: str, item: str, weight: str, k: int, by: str, family: str = "exp", seed: str = "s1") -> DataFrame:
+    """The all-distances state of each value of ``by``, backwards from its newest event: with every batch the whole state, marked by the time it goes up to.
+
+    From the rows of one mark the bottom-k sketch of any last span of time is the k+1 smallest ranks in it.
+    """
+    rows = ranked(events, item, weight, family, seed, [ts, by]).filter("rank IS NOT NULL")
+    rows = rows.select(F.col(f"attrs.{by}").cast("string").alias("part"), (F.unix_micros(F.col(f"attrs.{ts}").cast("timestamp")) / 1e6).alias("time"), F.col("item_id").cast("long").alias("item_id"), "weight", "rank")
+    out = "sketch_id string, upto double, time double, item_id long, weight double, rank double"
+    return rows.groupBy("part").applyInPandasWithState(_elapsed(k), out, "times array<double>, items array<long>, weights array<double>, ranks array<double>", "append", GroupStateTimeout.NoTimeout)
+
+
 def _windowed(k: int):
     """Keep a heap of k+1 ranks, the count and the total of each key; give them out when the watermark passes."""
 
