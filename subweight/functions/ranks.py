@@ -82,11 +82,10 @@ def family_of(family: str | RankFamily) -> RankFamily:
 
 
 def remap_rank(rank: Column, w: Column, source: str | RankFamily, target: str | RankFamily) -> Column:
-    """The rank that the same uniform number has in another family (exp: the number is that of the upper tail)."""
+    """The rank of another family that is as likely to be undercut: order is kept among items of one weight."""
     source, target = family_of(source), family_of(target)
     level = source.cdf(w, rank)
-    u = level if source.name != "exp" else 1 - level
-    return target.inverse(w, u)
+    return target.inverse(w, 1 - level if target.name == "exp" else level)  # exponential ranks fall with their uniform number
 
 
 def redrawn_rank(u: Column, w: Column, tau: Column, family: str = "exp") -> Column:
