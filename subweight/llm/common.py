@@ -9,7 +9,9 @@ one key at most once, so no key, however frequent, makes a task larger than the
 from __future__ import annotations
 
 import atexit
+import gc
 import math
+import time
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -70,8 +72,12 @@ def _remove(context, folder: str) -> None:
 
 
 def release(df: DataFrame) -> None:
-    """Let go of shuffle files that nothing can read any more: the engine removes them once the driver's plans are collected."""
-    df.sparkSession.sparkContext._jvm.System.gc()
+    """Let go of shuffle files that nothing can read any more: the engine removes them once the driver's plans are collected, which takes two rounds."""
+    jvm = df.sparkSession.sparkContext._jvm
+    gc.collect()
+    for _ in range(2):
+        jvm.System.gc()
+        time.sleep(0.3)
 
 
 def words_of(text: str | bytes | None) -> list[bytes]:

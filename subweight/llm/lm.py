@@ -43,6 +43,8 @@ ROUNDS, BATCH, RATE, STEP = 3, 8192, 0.15, 1 << 19
 LEAST_SEEN, RIDGE, PAIR_STEPS, LONGEST_STEP = 2, 0.25, 12, 1.0
 #: What the squares of gradients start from: larger, and rarely used weights move less.
 DAMPING = 0.01
+#: Stands for the ends of texts among the words of a block, in a question of its own level; no word has a newline.
+END_WORD, ENDS = b"\n", 2
 SEED = 77
 WIDTH = max(CLASSES, MEMBERS)
 
@@ -115,10 +117,21 @@ def _features(context: np.ndarray) -> np.ndarray:
 def _softmax(x: np.ndarray) -> np.ndarray:
     x -= x.max(axis=1, keepdims=True)
     np.exp(x, out=x)
-    x /= x.sum(axis=1, keepdims=True)
+    x /= (x @ np.ones(x.shape[1], x.dtype))[:, None]
     return x
 
 
+def _sums(values: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Sums of the rows of each segment; most segments have one row."""
+    size = np.diff(first, append=len(values))
+    out = values[first]
+    many = size > 1
+    if many.any():
+        starts = np.cumsum(size[many]) - size[many]
+        out[many] = np.add.reduceat(values[np.repeat(many, size)], starts, axis=0)
+    return out
+
+
 def _class_rows(mixed: np.ndarray) -> np.ndarray:
     return (mixed % np.uint64(CLASS_ROWS)).astype(np.uint16)
 
@@ -170,10 +183,14 @@ class Trainer:
         self.used = [np.zeros(len(w), np.int64) for w in weights]
 
     def _move(self, t: int, rows: np.ndarray, g: np.ndarray, n: np.ndarray) -> None:
-        g = (g / np.sqrt(n)[:, None]).astype(np.float32)
-        square = self.squares[t][rows] + g * g
+        g = g * (1 / np.sqrt(n)).astype(np.float32)[:, None]
+        square = self.squares[t][rows]
+        square += g * g
         self.squares[t][rows] = square
-        self.weights[t][rows] -= RATE * g / np.sqrt(square)
+        np.sqrt(square, out=square)
+        g /= square
+        g *= np.float32(RATE)
+        self.weights[t][rows] -= g
         self.used[t][rows] += n
 
     def _step(self, t: int, rows: np.ndarray, constant: np.ndarray, index: np.ndarray, target: np.ndarray) -> None:
@@ -194,7 +211,7 @@ class Trainer:
                 first = np.flatnonzero(np.concatenate([[True], placed[1:] != placed[:-1]]))
             else:
                 placed, gs, ns = own, g, n
-            self._move(t, placed[first].astype(np.int64), np.add.reduceat(gs, first, axis=0), np.add.reduceat(ns, first))
+            self._move(t, placed[first].astype(np.int64), _sums(gs, first), np.add.reduceat(ns, first))
 
     def learn(self, tokens: Tokens) -> None:
         context = tokens.contexts()
@@ -274,11 +291,13 @@ def answer_counts(keys: list[bytes], extras: list[bytes]) -> tuple[list[bytes],
         for w, n in zip(own, _large(extra).tolist(), strict=True):
             total[w] = total.get(w, 0) + n
     told = [_small(np.array([total[w] for w in own], np.int64)) for own in words]
+    ends = total.pop(END_WORD, 0)
     known = [(w, n) for w, n in total.items() if n]
     line = Words([b" ".join([w for w, _ in known])])
     cell = cells_of(line, line.hashes(1, SEED))
     counts = np.array([n for _, n in known], np.float64)
     of_cell = np.stack([np.bincount(cell, counts, CELLS).astype(np.int64), np.bincount(cell, minlength=CELLS)])
+    of_cell[:, END] += [ends, min(1, ends)]
     return told, of_cell.tobytes()
 
 
@@ -296,13 +315,9 @@ def count_words(blocks: DataFrame) -> tuple[DataFrame, np.ndarray]:
                 learnt = np.bincount(index[~held[tokens.words.text]], minlength=len(keys)) if len(keys) else np.zeros(0, np.int64)
                 bounds, own = split_buckets(keys, buckets)
                 rows = [(int(b), 0, row["block_id"], b" ".join(words[bounds[k] : bounds[k + 1]]), _small(learnt[bounds[k] : bounds[k + 1]])) for k, b in enumerate(own)]
+                rows.append((0, ENDS, row["block_id"], END_WORD, _small(np.array([np.sum(~held)], np.int64))))
                 yield arrow_rows(rows, QUESTION_ARROW)
 
-    def ends(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            n = sum(int((~_block(p)[1]).sum()) for p in batch.column(0).to_pylist())
-            yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64())], names=["n"])
-
     def cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((2, CELLS), np.int64)
         for batch in batches:
@@ -314,9 +329,7 @@ def count_words(blocks: DataFrame) -> tuple[DataFrame, np.ndarray]:
     sums = answers.filter("block_id = -1").select("answer").mapInArrow(cells, "cell int, n long, v long").groupBy("cell").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).toArrow()
     of_cell = np.zeros((2, CELLS), np.int64)
     of_cell[:, sums.column("cell").to_numpy()] = [sums.column("n").to_numpy(), sums.column("v").to_numpy()]
-    texts = blocks.select("payload").mapInArrow(ends, "n long").agg(F.sum("n")).first()[0] or 0
-    of_cell[:, END] = [texts, min(1, texts)]
-    return answers.filter("block_id >= 0"), of_cell
+    return answers.filter((F.col("block_id") >= 0) & (F.col("level") != ENDS)), of_cell
 
 
 # ---------------------------------------------------------------- sparse weights of word pairs
