@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ANSWER_ARROW, ANSWER_SCHEMA, QUESTION_ARROW, QUESTION_SCHEMA, Words, arrow_rows, ask, bucket_count, durable, mix, pack, release, split_buckets, to_blocks, unpack, utf8_columns, with_answers
+from .common import QUESTION_ARROW, QUESTION_SCHEMA, Words, arrow_rows, ask, bucket_count, durable, mix, pack, release, split_buckets, to_blocks, unpack, utf8_columns, with_answers
 
 #: Seeds of the window hashes.
 SEED_A, SEED_B = 101, 202
@@ -207,53 +207,49 @@ class Block:
 
 
 class Runs:
-    """The repeated windows of a block, from the wanted length on: their starts, texts and hashes, and what answers have left of them."""
+    """The repeated windows of a block at one length: their starts, texts and hashes; and the longest length so far of each text."""
 
-    def __init__(self, starts: np.ndarray, text: np.ndarray, hashes: np.ndarray, length: int, buckets: int):
-        self.starts, self.text, self.hashes, self.length, self.buckets = starts, text, hashes, length, buckets
-        self.longest: dict[int, int] = {}
-        self._note()
+    def __init__(self, starts: np.ndarray, text: np.ndarray, hashes: np.ndarray, length: int, longest: dict[int, int]):
+        self.starts, self.text, self.hashes, self.length = starts, text, hashes, length
+        self.longest = longest | dict.fromkeys(np.unique(text).tolist(), length)
 
-    def _note(self) -> None:
-        self.longest |= dict.fromkeys(np.unique(self.text).tolist(), self.length)
-
-    def packed(self) -> bytes:
-        return pack(pa.RecordBatch.from_arrays([pa.array(np.diff(self.starts, prepend=0)), pa.array(np.diff(self.text, prepend=0)), pa.array(self.hashes)], names=["starts", "text", "hash"]))
+    def packed(self) -> tuple[bytes | None, bytes]:
+        state = pack(pa.RecordBatch.from_arrays([pa.array(np.diff(self.starts, prepend=0)), pa.array(np.diff(self.text, prepend=0)), pa.array(self.hashes)], names=["starts", "text", "hash"]))
+        return state if len(self.starts) else None, np.array([*self.longest.items()], np.int64).reshape(-1, 2).tobytes()
 
     @classmethod
-    def unpacked(cls, blob: bytes, length: int, buckets: int) -> Runs:
-        batch = unpack(blob)
-        return cls(np.cumsum(batch.column(0).to_numpy()), np.cumsum(batch.column(1).to_numpy()), batch.column(2).to_numpy(), length, buckets)
-
-    def double(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Windows of twice the length, made of two: index into the sorted distinct hashes, those, and whether two texts here have each."""
-        other = np.searchsorted(self.starts, self.starts + self.length)
-        there = np.minimum(other, max(0, len(self.starts) - 1))
-        both = (other < len(self.starts)) & (self.starts[there] == self.starts + self.length) & (self.text[there] == self.text) if len(self.starts) else np.zeros(0, bool)
-        hashes = mix(mix(self.hashes[both]) + self.hashes[there[both]])
-        self.starts, self.text, self.hashes, self.length = self.starts[both], self.text[both], hashes, 2 * self.length
-        keys, index = np.unique(hashes, return_inverse=True)
-        order = np.argsort(index, kind="stable")
-        of, first = self.text[order], np.searchsorted(index[order], np.arange(len(keys)))
-        several = np.minimum.reduceat(of, first) != np.maximum.reduceat(of, first) if len(keys) else np.zeros(0, bool)
-        return index, keys, several
-
-    def keep(self, alive: np.ndarray) -> None:
-        self.starts, self.text, self.hashes = self.starts[alive], self.text[alive], self.hashes[alive]
-        self._note()
-
-    def replay(self, answers: list[dict[int, bytes]]) -> tuple[np.ndarray, np.ndarray]:
-        """Go through the answered levels; the keys and flags of the next one."""
-        for told in answers:
-            index, keys, several = self.double()
-            repeated = np.zeros(len(keys), bool)
-            bounds, buckets = split_buckets(keys, self.buckets)
-            for k, bucket in enumerate(buckets):
-                if int(bucket) in told:
-                    repeated[bounds[k] : bounds[k + 1]] = _flags(told[int(bucket)], int(bounds[k + 1] - bounds[k]))
-            self.keep((repeated | several)[index])
-        _, keys, several = self.double()
-        return keys, several
+    def unpacked(cls, state: bytes, longest: bytes, length: int) -> Runs:
+        batch = unpack(state)
+        return cls(np.cumsum(batch.column(0).to_numpy()), np.cumsum(batch.column(1).to_numpy()), batch.column(2).to_numpy(), length, dict(np.frombuffer(longest, np.int64).reshape(-1, 2).tolist()))
+
+    def doubled(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Windows of twice the length, made of two: the first ones' places and the new hashes, in order of these; where each distinct hash begins, those hashes, and whether two texts here have each."""
+        n = len(self.starts)
+        at = np.full(int(self.starts[-1]) + self.length + 1, -1, np.int32)
+        at[self.starts] = np.arange(n)
+        other = at[self.starts + self.length]
+        both = np.flatnonzero((other >= 0) & (self.text[other] == self.text))
+        hashes = mix(mix(self.hashes[both]) + self.hashes[other[both]])
+        order = np.argsort(hashes)
+        both, hashes = both[order], hashes[order]
+        first = np.flatnonzero(np.concatenate([[True], hashes[1:] != hashes[:-1]])) if len(both) else both
+        text = self.text[both]
+        several = np.minimum.reduceat(text, first) != np.maximum.reduceat(text, first) if len(both) else np.zeros(0, bool)
+        return both, hashes, first, hashes[first], several
+
+    def advanced(self, told: dict[int, bytes], buckets: int) -> Runs:
+        """The doubled windows that the answers leave."""
+        both, hashes, first, keys, several = self.doubled()
+        repeated = several.copy()
+        bounds, own = split_buckets(keys, buckets)
+        for k, bucket in enumerate(own):
+            if int(bucket) in told:
+                repeated[bounds[k] : bounds[k + 1]] |= _flags(told[int(bucket)], int(bounds[k + 1] - bounds[k]))
+        alive = np.repeat(repeated, np.diff(first, append=len(both)))
+        both, hashes = both[alive], hashes[alive]
+        order = np.argsort(both)
+        both = both[order]
+        return Runs(self.starts[both], self.text[both], hashes[order], 2 * self.length, self.longest)
 
 
 def _first_questions(block_id: int, level: int, keys: np.ndarray, several: np.ndarray, buckets: int) -> list[tuple]:
@@ -280,6 +276,9 @@ def _by_level(answers, levels_so_far: int) -> list[dict[int, bytes]]:
     return out
 
 
+STATE_SCHEMA = "block_id long, state binary, longest binary"
+
+
 def longest_repeats(blocks: DataFrame, answers: list[DataFrame], load, min_words: int, buckets: int) -> DataFrame:
     """Answers (level -1, bucket 0) with the longest doubled length of the repeated windows of each text of a block; levels go on until no window is left."""
 
@@ -289,36 +288,34 @@ def longest_repeats(blocks: DataFrame, answers: list[DataFrame], load, min_words
                 _, block = load(row["payload"])
                 state = block.run(_by_level(row["answers"], 2))
                 if len(state["starts"]):
-                    runs = Runs(state["starts"], block.words.text[state["starts"]], state["hash"], min_words, buckets)
-                    yield pa.RecordBatch.from_arrays([pa.array([row["block_id"]], pa.int64()), pa.array([runs.packed()], pa.binary())], names=["block_id", "state"])
+                    packed, longest = Runs(state["starts"], block.words.text[state["starts"]], state["hash"], min_words, {}).packed()
+                    yield pa.RecordBatch.from_arrays([pa.array([row["block_id"]], pa.int64()), pa.array([packed], pa.binary()), pa.array([longest], pa.binary())], names=["block_id", "state", "longest"])
 
-    states = durable(with_answers(blocks, answers).mapInArrow(start, "block_id long, state binary"))
-    told: list[DataFrame] = []
+    states = durable(with_answers(blocks, answers).mapInArrow(start, STATE_SCHEMA))
+    length = min_words
     while True:
-        level = len(told)
 
-        def send(batches: Iterator[pa.RecordBatch], level=level) -> Iterator[pa.RecordBatch]:
+        def send(batches: Iterator[pa.RecordBatch], length=length) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for row in batch.to_pylist():
-                    runs = Runs.unpacked(row["state"], min_words, buckets)
-                    keys, several = runs.replay(_by_level(row["answers"], level))
-                    yield arrow_rows(_first_questions(row["block_id"], level, keys, several, buckets), QUESTION_ARROW)
-
-        told.append(ask(with_answers(states, told).mapInArrow(send, QUESTION_SCHEMA), answer_first))
-        release(states)
-        if told[-1].isEmpty():
-            break
-    depth = len(told)
+                    _, _, _, keys, several = Runs.unpacked(row["state"], row["longest"], length).doubled()
+                    yield arrow_rows(_first_questions(row["block_id"], 0, keys, several, buckets), QUESTION_ARROW)
 
-    def end(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for row in batch.to_pylist():
-                runs = Runs.unpacked(row["state"], min_words, buckets)
-                runs.replay(_by_level(row["answers"], depth))
-                text, most = np.array([*runs.longest.items()], np.int64).reshape(-1, 2).T
-                yield arrow_rows([(row["block_id"], -1, 0, np.concatenate([text, most]).tobytes())], ANSWER_ARROW)
+        def advance(batches: Iterator[pa.RecordBatch], length=length) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for row in batch.to_pylist():
+                    state, longest = row["state"], row["longest"]
+                    if state is not None:
+                        state, longest = Runs.unpacked(state, longest, length).advanced({x["bucket"]: x["answer"] for x in row["answers"] or []}, buckets).packed()
+                    yield pa.RecordBatch.from_arrays([pa.array([row["block_id"]], pa.int64()), pa.array([state], pa.binary()), pa.array([longest], pa.binary())], names=["block_id", "state", "longest"])
 
-    return durable(with_answers(states, told).mapInArrow(end, ANSWER_SCHEMA))
+        told = ask(states.filter("state IS NOT NULL").mapInArrow(send, QUESTION_SCHEMA), answer_first)
+        if told.isEmpty():
+            break
+        states = durable(with_answers(states, [told]).mapInArrow(advance, STATE_SCHEMA))
+        release(states)
+        length *= 2
+    return states.select("block_id", F.lit(-1).alias("level"), F.lit(0).alias("bucket"), F.col("longest").alias("answer"))
 
 
 def remove_repeats(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", min_words: int = 13, longest: bool = False, stats: bool = True) -> DataFrame:
@@ -373,7 +370,7 @@ def remove_repeats(docs: DataFrame, id_column: str = "doc_id", text_column: str
                     most = np.zeros(len(lost), np.int64)
                     for x in row["answers"] or []:
                         if x["level"] < 0:
-                            text, value = np.frombuffer(x["answer"], np.int64).reshape(2, -1)
+                            text, value = np.frombuffer(x["answer"], np.int64).reshape(-1, 2).T
                             most[text] = value
                     columns.append(pa.array(most))
                 yield pa.RecordBatch.from_arrays(columns, names=names)
