@@ -5,8 +5,7 @@ a hash of a short word or of a longer word's last bytes; 16 classes have 32 cell
 gives P(class | context), P(cell | class, context) and P(token | cell): the first two are softmaxes
 over hashed features of the context, the last comes from the counts of the training tokens of the cell.
 Features are of two kinds.  Dense ones, in tables of a fixed size, are of the cells before: the last
-one, the one before that alone (a skip), both together, and a constant.  Sparse ones are of the words
-themselves: the last two words together with a class, or with a cell, that came after them in
+one, the one before that alone (a skip), and a constant.  Sparse ones are of the words themselves: the last two words together with a class, or with a cell, that came after them in
 training; their table has a row for each that was seen and grows with the corpus.
 
 Counts: every block sends its distinct words with their counts to buckets and gets back the totals.
@@ -109,9 +108,9 @@ def _ranked(values: np.ndarray, below: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _features(context: np.ndarray) -> np.ndarray:
-    """Hashes of the features of contexts: the cell before, the one before that alone, and both."""
+    """Hashes of the dense features of contexts: the cell before, and the one before that alone; both together are left to the sparse features of the words."""
     one, two = np.divmod(context.astype(np.uint64), np.uint64(CELLS + 1))
-    return mix(np.stack([one + np.uint64(1 << 20), two + np.uint64(2 << 20), context.astype(np.uint64) + np.uint64(3 << 20)], axis=1))
+    return mix(np.stack([one + np.uint64(1 << 20), two + np.uint64(2 << 20)], axis=1))
 
 
 def _softmax(x: np.ndarray) -> np.ndarray:
