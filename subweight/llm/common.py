@@ -72,12 +72,12 @@ def _remove(context, folder: str) -> None:
 
 
 def release(df: DataFrame) -> None:
-    """Let go of shuffle files that nothing can read any more: the engine removes them once the driver's plans are collected, which takes two rounds."""
+    """Let go of shuffle files that nothing can read any more: the engine removes them once the driver's plans are collected, which takes a few rounds."""
     jvm = df.sparkSession.sparkContext._jvm
     gc.collect()
-    for _ in range(2):
+    for _ in range(4):
         jvm.System.gc()
-        time.sleep(0.3)
+        time.sleep(0.5)
 
 
 def words_of(text: str | bytes | None) -> list[bytes]:
@@ -176,10 +176,10 @@ ANSWER_SCHEMA = "block_id long, level int, bucket int, answer binary"
 ANSWER_ARROW = pa.schema([("block_id", pa.int64()), ("level", pa.int32()), ("bucket", pa.int32()), ("answer", pa.binary())])
 
 
-def ask(questions: DataFrame, answer: Callable[[list[bytes], list[bytes]], list[bytes | None] | tuple[list[bytes | None], bytes]]) -> DataFrame:
+def ask(questions: DataFrame, answer: Callable[[list[bytes], list[bytes]], list[bytes | None] | tuple[list[bytes | None], bytes]], tasks: int | None = None) -> DataFrame:
     """Bring the questions of a bucket together; ``answer`` gets the blobs of all blocks and returns one for each (None: nothing to say).
 
-    If it returns a summary of the bucket too, that comes as the answer to a block -1.
+    ``tasks``: at most so many, for few questions.  If it returns a summary of the bucket too, that comes as the answer to a block -1.
     """
 
     def run(group: pa.Table) -> pa.Table:
@@ -190,7 +190,8 @@ def ask(questions: DataFrame, answer: Callable[[list[bytes], list[bytes]], list[
         rows += [(b, v, k, x) for b, v, k, x in zip(got["block_id"], got["level"], got["bucket"], told, strict=True) if x is not None]
         return pa.Table.from_batches([arrow_rows(rows, ANSWER_ARROW)])
 
-    return durable(questions.groupBy("bucket").applyInArrow(run, ANSWER_SCHEMA))
+    answers = questions.groupBy("bucket").applyInArrow(run, ANSWER_SCHEMA)
+    return durable(answers if tasks is None else answers.coalesce(tasks))
 
 
 def with_answers(blocks: DataFrame, answers: list[DataFrame]) -> DataFrame:

@@ -30,6 +30,8 @@ from .common import QUESTION_ARROW, QUESTION_SCHEMA, Words, arrow_rows, ask, buc
 SEED_A, SEED_B = 101, 202
 #: Stands for a null id: larger than every id, so it makes no other text lose words.
 NO_ID = np.iinfo(np.int64).max
+#: Bytes of windows of a task beyond the wanted length.
+TASK_BYTES = 16_000_000
 
 
 def levels(min_words: int) -> list[int]:
@@ -309,10 +311,13 @@ def longest_repeats(blocks: DataFrame, answers: list[DataFrame], load, min_words
                         state, longest = Runs.unpacked(state, longest, length).advanced({x["bucket"]: x["answer"] for x in row["answers"] or []}, buckets).packed()
                     yield pa.RecordBatch.from_arrays([pa.array([row["block_id"]], pa.int64()), pa.array([state], pa.binary()), pa.array([longest], pa.binary())], names=["block_id", "state", "longest"])
 
-        told = ask(states.filter("state IS NOT NULL").mapInArrow(send, QUESTION_SCHEMA), answer_first)
+        # windows get fewer with each level, and many tiny tasks would only start many workers
+        held = states.agg(F.sum(F.length("state"))).first()[0] or 0
+        tasks = max(states.sparkSession.sparkContext.defaultParallelism, held // TASK_BYTES)
+        told = ask(states.filter("state IS NOT NULL").coalesce(tasks).mapInArrow(send, QUESTION_SCHEMA), answer_first, tasks)
         if told.isEmpty():
             break
-        states = durable(with_answers(states, [told]).mapInArrow(advance, STATE_SCHEMA))
+        states = durable(with_answers(states, [told]).coalesce(tasks).mapInArrow(advance, STATE_SCHEMA))
         release(states)
         length *= 2
     return states.select("block_id", F.lit(-1).alias("level"), F.lit(0).alias("bucket"), F.col("longest").alias("answer"))
