@@ -63,7 +63,7 @@ def read_snapshot(spark: SparkSession, store: str, number: int | None, k: int) -
 
 def late_rows(query) -> int:
     """Rows that a query's operators have dropped as later than the watermark."""
-    return sum(int(o.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for o in p["stateOperators"])
+    return sum(int(o.numRowsDroppedByWatermark) for p in query.recentProgress for o in p.stateOperators)
 
 
 def _elapsed(k: int):
