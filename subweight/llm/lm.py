@@ -5,8 +5,9 @@ a hash of a short word or of a longer word's last bytes; 16 classes have 32 cell
 gives P(class | context), P(cell | class, context) and P(token | cell): the first two are softmaxes
 over hashed features of the context, the last comes from the counts of the training tokens of the cell.
 Features are of two kinds.  Dense ones, in tables of a fixed size, are of the cells before: the last
-one, the one before that alone (a skip), and a constant.  Sparse ones are of the words themselves: the last two words together with a class, or with a cell, that came after them in
-training; their table has a row for each that was seen and grows with the corpus.
+one, the one before that alone (a skip), and a constant.  Sparse ones are of the words themselves: the
+last two words together with a class, or with a cell, that came after them in training; their table
+has a row for each that was seen and grows with the corpus.
 
 Counts: every block sends its distinct words with their counts to buckets and gets back the totals.
 Dense training: in each round every task takes the weights as they are, makes gradient steps over the
@@ -15,7 +16,8 @@ were used.  Each round has other blocks, and the rounds together have all of the
 every block sends its distinct (two words, cell) with their counts to buckets; a bucket has all that
 came after its word pairs, and as their dense features are the same in every place, it makes the
 gradient steps of their sparse weights over the whole corpus at once, and answers each block with
-what the weights add to the log-probabilities.  Scoring adds both; the dense weights are broadcast.
+what the weights add to the log-probabilities.  Scoring adds both; the dense
+chances of all contexts, a table of a fixed size, are broadcast.
 """
 
 from __future__ import annotations
@@ -85,7 +87,6 @@ class Tokens:
             before[d - 1, d:][same] = self.cells[:-d][same]
         return before[0] * (CELLS + 1) + before[1]
 
-
     def pairs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Distinct (two words before, cell): 64-bit keys in order, each token's place among them, and the keys' contexts and cells."""
         words = np.zeros(len(self.text), np.uint64)
@@ -95,7 +96,13 @@ class Tokens:
             same = self.text[d:] == self.text[:-d]
             before[d - 1, d:][same] = words[:-d][same]
         both = mix(before[0] + mix(before[1] + np.uint64(1)))
-        keys, first, index = np.unique(both >> np.uint64(9) << np.uint64(9) | self.cells.astype(np.uint64), return_index=True, return_inverse=True)
+        token = both >> np.uint64(9) << np.uint64(9) | self.cells.astype(np.uint64)
+        order = np.argsort(token)
+        placed = token[order]
+        new = np.ones(len(placed), bool)
+        new[1:] = placed[1:] != placed[:-1]
+        keys, first, index = placed[new], order[new], np.empty(len(token), np.int64)
+        index[order] = np.cumsum(new) - 1
         return keys, index, self.contexts()[first], self.cells[first]
 
 
@@ -152,20 +159,55 @@ def _logits(table: np.ndarray, rows: np.ndarray, constant: np.ndarray) -> np.nda
     return x
 
 
+def _rows() -> np.ndarray:
+    """Rows of the two features of every cell before (CELLS + 1, 2): for the softmax of classes, then for those of each class's members."""
+    cells = np.arange(CELLS + 1)
+    mixed = _features(cells * (CELLS + 1) + cells)
+    return np.stack([_class_rows(mixed), *[_member_rows(mixed, np.full(len(cells), k)) for k in range(CLASSES)]])
+
+
+def chance_tables(weights: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For each softmax: the weights of the last cell, those of the cell before it with the constant, and the log normaliser of every context.
+
+    A target's weight in a context is a sum over the two cells, so its exponential is a product, and
+    the normalisers of all contexts are one product of matrices.  20 MB, whatever the data.
+    """
+    left, right, normal = [], [], []
+    for g, rows in enumerate(_rows()):
+        table, constant = (weights[1], MEMBER_ROWS + g - 1) if g else (weights[0], CLASS_ROWS)
+        one, two = table[rows[:, 0]].astype(np.float64), table[rows[:, 1]].astype(np.float64) + table[constant]
+        tops = one.max(axis=1, keepdims=True), two.max(axis=1, keepdims=True)
+        product = np.exp(one - tops[0]) @ np.exp(two - tops[1]).T
+        normal.append((np.log(np.maximum(product, 1e-300)) + tops[0] + tops[1].T).ravel())
+        gap = ((0, 0), (0, WIDTH - table.shape[1]))
+        left.append(np.pad(one, gap))
+        right.append(np.pad(two, gap))
+    return tuple(np.stack(x).astype(np.float32) for x in (left, right, normal))
+
+
+def log_chances(tables: tuple[np.ndarray, np.ndarray, np.ndarray], of: np.ndarray | int, context: np.ndarray, target: np.ndarray) -> np.ndarray:
+    """Natural logs of the chances of targets by the softmaxes ``of`` (0: classes; 1 + k: members of class k)."""
+    left, right, normal = tables
+    one, two = np.divmod(context, CELLS + 1)
+    out = left[of, one, target]
+    out += right[of, two, target]
+    out -= normal[of, context]
+    return np.maximum(out, np.float32(np.log(1e-30)))
+
+
 def log_cells(tokens: Tokens, weights: list[np.ndarray]) -> np.ndarray:
-    """Natural log of P(cell | context) of every token; each distinct context is worked out once."""
+    """Natural log of P(cell | context) of every token."""
+    return log_by_tables(tokens, chance_tables(weights))
+
+
+def log_by_tables(tokens: Tokens, tables: tuple[np.ndarray, np.ndarray, np.ndarray]) -> np.ndarray:
+    """The same, by ``chance_tables`` that many blocks share."""
     context = tokens.contexts()
     out = np.zeros(len(context))
     for a in range(0, len(out), STEP):
         s = slice(a, a + STEP)
         kind, member = np.divmod(tokens.cells[s], MEMBERS)
-        distinct, index = _ranked(context[s], (CELLS + 1) ** 2)
-        mixed = _features(distinct)
-        p = _softmax(_logits(weights[0], _class_rows(mixed), np.full(len(distinct), CLASS_ROWS)))
-        pairs, at = _ranked(kind * len(distinct) + index, CLASSES * len(distinct))
-        own, of = np.divmod(pairs, len(distinct))
-        q = _softmax(_logits(weights[1], _member_rows(mixed[of], own), MEMBER_ROWS + own))
-        out[s] = np.log(np.maximum(p[index, kind], 1e-30)) + np.log(np.maximum(q[at, member], 1e-30))
+        out[s] = log_chances(tables, 0, context[s], kind).astype(np.float64) + log_chances(tables, 1 + kind, context[s], member)
     return out
 
 
@@ -355,61 +397,54 @@ def fit_sparse(group: np.ndarray, chance: np.ndarray, n: np.ndarray) -> tuple[np
     ``chance``: what the dense features give the entry; n: how often it came.  Gradient steps, scaled by
     the curvature of each weight, on the log-likelihood less RIDGE / 2 of the weights' squares.
     """
-    w, whole = np.zeros(len(n)), np.bincount(group, n)
-    normal = lambda: 1 + np.bincount(group, chance * np.expm1(w), len(whole))
+    w, e, whole = np.zeros(len(n)), np.ones(len(n)), np.bincount(group, n)
+    total = whole[group]
+    normal = np.ones(len(whole))
     for _ in range(PAIR_STEPS):
-        p = chance * np.exp(w) / normal()[group]
-        slope, bend = n - whole[group] * p - RIDGE * w, whole[group] * p * (1 - p) + RIDGE
+        p = chance * e / normal[group]
+        slope, bend = n - total * p - RIDGE * w, total * p * (1 - p) + RIDGE
         w += np.clip(slope / bend, -LONGEST_STEP, LONGEST_STEP)
-    return w, np.log(normal())
+        e = np.exp(w)
+        normal = 1 + np.bincount(group, chance * (e - 1), len(whole))
+    return w, np.log(normal)
 
 
-def _among(sorted_values: np.ndarray, values: np.ndarray) -> np.ndarray:
-    """Places among sorted distinct values; -1: not there."""
-    if not len(sorted_values):
-        return np.full(len(values), -1)
-    at = np.minimum(np.searchsorted(sorted_values, values), len(sorted_values) - 1)
-    return np.where(sorted_values[at] == values, at, -1)
+def _starts(sorted_values: np.ndarray) -> np.ndarray:
+    """Marks of the first of each run of equal values."""
+    out = np.ones(len(sorted_values), bool)
+    out[1:] = sorted_values[1:] != sorted_values[:-1]
+    return out
 
 
-def pair_gains(pair: np.ndarray, context: np.ndarray, cell: np.ndarray, n: np.ndarray, weights: list[np.ndarray]) -> np.ndarray:
-    """What sparse weights add to the natural log of P(cell | context), for distinct (pair, cell) sorted by pair with their training counts."""
+def pair_gains(pair: np.ndarray, context: np.ndarray, cell: np.ndarray, n: np.ndarray, tables: tuple[np.ndarray, np.ndarray, np.ndarray]) -> np.ndarray:
+    """What sparse weights add to the natural log of P(cell | context), for distinct (pair, cell), sorted, with their training counts."""
     out = np.zeros(len(pair))
-    _, first, of = np.unique(pair, return_index=True, return_inverse=True)
+    start = _starts(pair)
+    of = np.cumsum(start) - 1
     active = np.bincount(of, n) >= LEAST_SEEN
     rows = np.flatnonzero(active[of])
     if not len(rows):
         return out
     number = np.cumsum(active) - 1  # of an active pair
-    of, cell, n, context = number[of[rows]], cell[rows], n[rows], context[first[active]]
+    of, cell, n, context = number[of[rows]], cell[rows], n[rows], context[np.flatnonzero(start)[active]]
     seen = n > 0
-    kind, member = np.divmod(cell, MEMBERS)
-    entry = np.unique(of[seen] * CELLS + cell[seen])  # (pair, cell) with a weight
-    count = np.bincount(_among(entry, of * CELLS + cell)[seen], n[seen], len(entry))
-    classes, class_of = np.unique(entry // MEMBERS, return_inverse=True)  # (pair, class) with a weight
-    p, q = np.zeros(len(classes)), np.zeros(len(entry))
-    distinct, index = np.unique(context, return_inverse=True)
-    for a in range(0, len(distinct), STEP // 8):  # the dense chances of classes
-        own = _softmax(_logits(weights[0], _class_rows(_features(distinct[a : a + STEP // 8])), np.full(len(distinct[a : a + STEP // 8]), CLASS_ROWS)))
-        here = (index[classes // CLASSES] >= a) & (index[classes // CLASSES] < a + STEP // 8)
-        p[here] = own[index[classes[here] // CLASSES] - a, classes[here] % CLASSES]
-    both, at = np.unique(index[classes // CLASSES] * CLASSES + classes % CLASSES, return_inverse=True)
-    place = at[class_of]
-    order = np.argsort(place, kind="stable")
-    edge = np.searchsorted(place[order], np.arange(0, len(both) + STEP // 8, STEP // 8))
-    for i, a in enumerate(range(0, len(both), STEP // 8)):  # and of members
-        part = both[a : a + STEP // 8]
-        own = _softmax(_logits(weights[1], _member_rows(_features(distinct[part // CLASSES]), part % CLASSES), MEMBER_ROWS + part % CLASSES))
-        here = order[edge[i] : edge[i + 1]]
-        q[here] = own[place[here] - a, entry[here] % MEMBERS]
+    kind = cell // MEMBERS
+    entry, count = of[seen] * CELLS + cell[seen], n[seen]  # (pair, cell) with a weight
+    there = np.where(seen, np.cumsum(seen) - 1, -1)
+    group = np.cumsum(_starts(of * CLASSES + kind)) - 1
+    known = np.bincount(group, seen) > 0
+    here = np.where(known, np.cumsum(known) - 1, -1)[group]
+    class_of = here[seen]
+    classes = entry[_starts(class_of)] // MEMBERS  # (pair, class) with a weight
+    p = np.exp(log_chances(tables, 0, context[classes // CLASSES], classes % CLASSES).astype(np.float64))  # what the dense features give
+    q = np.exp(log_chances(tables, 1 + entry // MEMBERS % CLASSES, context[entry // CELLS], entry % MEMBERS).astype(np.float64))
     w, z = fit_sparse(classes // CLASSES, p, np.bincount(class_of, count))
     u, y = fit_sparse(class_of, q, count)
-    here, there = _among(classes, of * CLASSES + kind), _among(entry, of * CELLS + cell)
     out[rows] = np.where(here >= 0, w[here] - y[here], 0) + np.where(there >= 0, u[there], 0) - z[of]
     return out
 
 
-def answer_pairs(keys: list[bytes], extras: list[bytes], weights: list[np.ndarray]) -> list[bytes | None]:
+def answer_pairs(keys: list[bytes], extras: list[bytes], tables: tuple[np.ndarray, np.ndarray, np.ndarray]) -> list[bytes | None]:
     """For each block's questions: a bit for each that has a gain, then those gains."""
     sizes = [len(k) // 8 for k in keys]
     record = np.frombuffer(b"".join(keys), np.uint64)
@@ -420,7 +455,7 @@ def answer_pairs(keys: list[bytes], extras: list[bytes], weights: list[np.ndarra
     n = np.bincount(index, n, len(distinct))
     context = ((distinct >> np.uint64(_CONTEXT_AT - _CELL_AT)) & np.uint64(_AT_START)).astype(np.int64)
     context[context == _AT_START] = START * (CELLS + 1) + START
-    gain = pair_gains(distinct >> np.uint64(_CONTEXT_AT - _CELL_AT), context, (distinct & np.uint64(CELLS - 1)).astype(np.int64), n, weights)[index].astype(np.float32)
+    gain = pair_gains(distinct >> np.uint64(_CONTEXT_AT - _CELL_AT), context, (distinct & np.uint64(CELLS - 1)).astype(np.int64), n, tables)[index].astype(np.float32)
     out, at = [], 0
     for size in sizes:
         own = gain[at : at + size]
@@ -436,8 +471,8 @@ def _gains(blob: bytes, n: int) -> np.ndarray:
     return out
 
 
-def learn_pairs(blocks: DataFrame, weights, buckets: int) -> DataFrame:
-    """Answers (level 1) with the gains of every distinct (two words, cell) of a block; ``weights``: the broadcast dense ones."""
+def learn_pairs(blocks: DataFrame, tables, buckets: int) -> DataFrame:
+    """Answers (level 1) with the gains of every distinct (two words, cell) of a block; ``tables``: the broadcast dense chances."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -448,7 +483,7 @@ def learn_pairs(blocks: DataFrame, weights, buckets: int) -> DataFrame:
                 learnt = np.bincount(index[~held[tokens.text]], minlength=len(keys))
                 yield arrow_rows(pair_questions(row["block_id"], keys, context, cells, learnt, buckets), QUESTION_ARROW)
 
-    return ask(blocks.mapInArrow(send, QUESTION_SCHEMA), lambda keys, extras: answer_pairs(keys, extras, weights.value))
+    return ask(blocks.mapInArrow(send, QUESTION_SCHEMA), lambda keys, extras: answer_pairs(keys, extras, tables.value))
 
 
 def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", held: Column | None = None, rounds: int = ROUNDS) -> DataFrame:
@@ -469,12 +504,12 @@ def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "
     release(docs)
     n, v = int(of_cell[0].sum()), int(of_cell[1].sum())
     buckets = bucket_count(blocks)
-    sent = docs.sparkSession.sparkContext.broadcast(weights)  # 2.3 MB, whatever the data
+    sent = docs.sparkSession.sparkContext.broadcast(chance_tables(weights))  # 20 MB, whatever the data
     pairs = learn_pairs(blocks, sent, buckets)
     release(docs)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        weights = sent.value
+        tables = sent.value
         in_cell = of_cell[0] + 0.5 * (of_cell[1] + 1)
         for batch in batches:
             for row in batch.to_pylist():
@@ -496,7 +531,7 @@ def score_texts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "
                 c[tokens.at] = counts[index]
                 size = len(texts)
                 base = np.bincount(tokens.text, np.log10((c + 0.5) / (n + 0.5 * (v + 1))), size)
-                model = np.bincount(tokens.text, (log_cells(tokens, weights) + gains[place]) / np.log(10) + np.log10((c + 0.5) / in_cell[tokens.cells]), size)
+                model = np.bincount(tokens.text, (log_by_tables(tokens, tables) + gains[place]) / np.log(10) + np.log10((c + 0.5) / in_cell[tokens.cells]), size)
                 known = np.bincount(tokens.text, c > 0, size).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([ids, pa.array(held, pa.bool_()), pa.array(tokens.counts), pa.array(known), pa.array(np.full(size, n, np.int64)), pa.array(base), pa.array(model)], names=["id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
