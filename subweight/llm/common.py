@@ -235,7 +235,7 @@ class Words:
     def __len__(self) -> int:
         return len(self.starts)
 
-    def hashes(self, length: int, seed: int, step: int = 1 << 17) -> np.ndarray:
+    def hashes(self, length: int, seed: int, step: int = 1 << 15) -> np.ndarray:
         """64-bit hashes of all windows of ``length`` words, spaces between words included; worked out ``step`` words at a time."""
         n = len(self) - length + 1
         if n <= 0:
@@ -243,22 +243,22 @@ class Words:
         rng = np.random.Generator(np.random.PCG64(seed))
         of_byte = rng.integers(0, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
         base = int(rng.integers(1 << 61, 1 << 62)) * 2 + 1
-        inverse = pow(base, -1, 1 << 64)
         array = np.frombuffer(self.buffer, np.uint8)
+        parts = [(a, min(n, a + step)) for a in range(0, n, step)]
+        spans = [(int(self.starts[a]), int(self.ends[b + length - 2])) for a, b in parts]
+        longest = max(high - low for low, high in spans)
+        powers, inverses = (np.full(longest, x, np.uint64) for x in (base, pow(base, -1, 1 << 64)))
+        for x in (powers, inverses):
+            np.multiply.accumulate(x, out=x)
+        total = np.zeros(longest + 1, np.uint64)
         out = np.empty(n, np.uint64)
-        for a in range(0, n, step):
-            b = min(n, a + step)
-            low, high = int(self.starts[a]), int(self.ends[b + length - 2])
+        for (a, b), (low, high) in zip(parts, spans, strict=True):
             size = high - low
-            power = np.full(size, base, np.uint64)
-            np.multiply.accumulate(power, out=power)
-            power *= of_byte[array[low:high]]
-            total = np.zeros(size + 1, np.uint64)
-            np.cumsum(power, out=total[1:])
-            power[:] = np.uint64(inverse)
-            np.multiply.accumulate(power, out=power)
+            value = of_byte[array[low:high]]
+            value *= powers[:size]
+            np.cumsum(value, out=total[1 : size + 1])
             s = self.starts[a:b] - low
-            out[a:b] = (total[self.ends[a + length - 1 : b + length - 1] - low] - total[s]) * power[s]
+            out[a:b] = (total[self.ends[a + length - 1 : b + length - 1] - low] - total[s]) * inverses[s]
         return mix(out)
 
 
