@@ -44,14 +44,14 @@ def repeated(base: DataFrame, reps: int) -> DataFrame:
 
 
 def sketches(base: DataFrame, reps: int, k: int, family: str = "exp", seed: str = "w") -> sk.Sketch:
-    """reps sketches of each weight."""
-    rows = repeated(base, reps).withColumn("u", hash_uniform(seed, "rep", "item_id"))
+    """reps sketches of each weight; items without weight are counted and never sampled."""
+    rows = repeated(base, reps).withColumn("weight", sk.checked_weight("weight")).withColumn("u", hash_uniform(seed, "rep", "item_id"))
     rows = rows.select("sketch_id", "item_id", "weight", family_of(family).rank(F.col("u"), F.col("weight")).alias("rank"), "u", F.struct("wt").alias("attrs"))
     return sk.top_by(rows, k, family, seed)
 
 
 def kmins_sketches(base: DataFrame, reps: int, k: int, seed: str = "w") -> kmins.KMins:
-    each = repeated(base, reps).withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(k)))).withColumn("rank", -F.log(hash_uniform(seed, "rep", "j", "item_id")) / F.col("weight"))
+    each = repeated(base, reps).withColumn("weight", sk.checked_weight("weight")).filter("weight IS NOT NULL").withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(k)))).withColumn("rank", -F.log(hash_uniform(seed, "rep", "j", "item_id")) / F.col("weight"))
     least = each.groupBy("sketch_id", "j").agg(F.min(F.struct("rank", "item_id", "weight")).alias("m")).select("sketch_id", "j", F.col("m.rank").alias("min_rank"), F.col("m.item_id").alias("item_id"), F.col("m.weight").alias("weight"))
     header = repeated(base, reps).groupBy("sketch_id").agg(F.lit(k).alias("k"), F.count("*").alias("n_seen"), F.sum("weight").alias("total_weight"))
     return kmins.KMins(least, header)

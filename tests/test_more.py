@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from subweight.functions import ranks
 from subweight.operators import adjusted, bounds
 from subweight.operators import sketch as sk
-from subweight.plans import metrics
+from subweight.plans import metrics, workloads
 from subweight.streaming import streams
 
 W = np.array([5.0, 3.0, 2.0, 1.0, 1.0])
@@ -133,3 +133,15 @@ def test_stream_of_several_batches(spark, tmp_path):
     query = streams.stream_sessions(stream, "ts", "id", "w").writeStream.format("memory").queryName("late").option("checkpointLocation", f"{tmp_path}/late").trigger(availableNow=True).start()
     query.awaitTermination()
     assert streams.late_rows(query) >= 5
+
+
+def test_items_without_weight_in_experiments(spark):
+    """Weights of 0 or null are in no sketch of a repetition and change no estimate or total, only the counts."""
+    rows = [("a", i, float(i % 7 + 1)) for i in range(40)]
+    base = spark.createDataFrame(rows, "wt string, item_id long, weight double")
+    more = spark.createDataFrame([*rows, ("a", 90, 0.0), ("a", 91, None)], base.schema)
+    key = lambda df: sorted((r.method, r.sketch_id, round(r.estimate, 9)) for r in df.collect())
+    assert key(workloads.total_estimates(more, 2, 5)) == key(workloads.total_estimates(base, 2, 5))
+    header = workloads.sketches(more, 2, 5, "priority").header.collect()
+    assert {(r.n_seen, r.total_weight) for r in header} == {(42, sum(w for _, _, w in rows))}
+    sk.release_cached()
