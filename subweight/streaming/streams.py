@@ -122,7 +122,8 @@ def _windowed(k: int):
                 if r == r:
                     (heapq.heappush if len(heap) <= k else heapq.heappushpop)(heap, (-r, -int(i), float(w)))
         state.update(([-i for _, i, _ in heap], [w for _, _, w in heap], [-r for r, _, _ in heap], n, total))
-        state.setTimeoutTimestamp(max(int(pd.Timestamp(key[-1]).timestamp() * 1000), state.getCurrentWatermarkMs() + 1))
+        # a timeout comes when the watermark is above it: of a window, when the watermark is at its end, as no event before that is taken any more
+        state.setTimeoutTimestamp(max(int(pd.Timestamp(key[-1]).timestamp() * 1000) - 1, state.getCurrentWatermarkMs() + 1))
 
     return run
 

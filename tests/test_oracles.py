@@ -60,5 +60,12 @@ def test_days_of_times_near_their_ends(spark, tmp_path):
     assert ("view", "1704240000", "3") in rows and ("view", "None", "1") in rows and len(rows) == 5
 
 
+def test_windows_of_times_near_their_ends(spark, tmp_path):
+    """As of days; a window is given out when the watermark is just at its end."""
+    events_at(tmp_path, "2024-01-06 01:00:00", "2024-01-07 23:59:59.7", "2024-01-07 23:59:59.5", "2024-01-08 00:00:01", "2024-01-18 00:59:59.6")
+    rows = same_as_sql(spark, tmp_path, "stream_windowed_sketch")
+    assert len(rows) == 4 and len({r[0] for r in rows}) == 2
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() == 5
