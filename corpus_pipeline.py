@@ -27,8 +27,8 @@ def classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies (five-word shingles, a similarity of about 0.8 or more) the document of the smallest id stays."""
-    return simhash.drop_near_duplicates(docs.select(*COLUMNS), shingle=5, similarity=0.8)
+    """Of each group of near copies the document of the smallest id stays: fingerprints of five-word shingles that differ in 4 or fewer bits, or, farther apart, a similarity of the shingle sets of 0.8 or more."""
+    return simhash.drop_near_duplicates(docs.select(*COLUMNS), shingle=5, similarity=None, beyond=0.8)
 
 
 def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

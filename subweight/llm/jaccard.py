@@ -234,11 +234,18 @@ def similar_sets(sets: DataFrame, similarity: float) -> DataFrame:
         low, high = high, high * (1 + PROBES)
 
 
-def jaccard_representatives(docs: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(id, text_key) of one row of each group of rows (id, text) that links of the similarity or more connect: the one of the smallest id; equal sets are linked."""
-    from .simhash import representatives, text_key
+def jaccard_components(docs: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(id, text_key, component) of every row (id, text): links of the similarity or more connect the sets of a component; equal sets are linked."""
+    from .simhash import text_key
 
     rows, sets = text_sets(docs.select("id", "text", text_key(F.col("text")).alias("text_key")), shingle, similarity)
     found = similar_sets(sets, similarity).withColumnRenamed("node", "of")
-    joined = rows.select("id", "text_key", "node").join(found, F.col("node") == F.col("of"), "left")
-    return representatives(joined.select("id", "text_key", F.coalesce("component", "node").alias("component")))
+    joined = rows.join(found, F.col("node") == F.col("of"), "left")
+    return joined.select("id", "text_key", F.coalesce("component", "node").alias("component"))
+
+
+def jaccard_representatives(docs: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(id, text_key) of one row of each of these components: the one of the smallest id."""
+    from .simhash import representatives
+
+    return representatives(jaccard_components(docs, shingle, similarity))

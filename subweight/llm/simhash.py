@@ -9,7 +9,8 @@ pair of nearby codewords of the same two segments: about 3 x 28 keys a fingerpri
 
 Near copies of a given similarity differ in more bits than that: five-word shingles at a Jaccard
 similarity of 0.8 leave some 14 of 64 bits apart, beyond what any number of such keys can find.  For
-these ``drop_near_duplicates`` takes candidates from the shingle sets themselves (see ``jaccard``).
+these ``drop_near_duplicates`` can add, to the links of fingerprints, exact ones of the shingle sets
+themselves (see ``jaccard``).
 
 Only distinct fingerprints get keys.  Rows of a key are brought together by sorting; within a run
 each fingerprint is compared with those not yet reached, so a large group costs its size times its
@@ -25,9 +26,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, utf8_columns
+from .common import durable, release, utf8_columns
 from .components import components
-from .jaccard import jaccard_representatives
+from .jaccard import jaccard_components, jaccard_representatives
 
 #: Fixed value: a generator polynomial of the binary Golay code of length 23 (x^11 + x^9 + x^7 + x^6 + x^5 + x + 1).
 GOLAY = 0b101011100011
@@ -258,11 +259,24 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str
     return joined.select("id", "fp", F.when(F.col("id").isNotNull(), F.col("component")).alias("component_id"))
 
 
-def drop_near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 5, most: int = MOST_BITS, similarity: float | None = 0.8) -> DataFrame:
+def _connected(one: DataFrame, other: DataFrame) -> DataFrame:
+    """(id, text_key, component) of the components that links of either kind connect; both are (id, text_key, component) of the same rows."""
+    left, right = one.distinct().withColumnRenamed("component", "part"), other.distinct()
+    rows = durable(left.join(right, ["id", "text_key"]))
+    parts = rows.select("part", "component").distinct()
+    least = parts.groupBy("part").agg(F.min("component").alias("least"), F.count("*").alias("n")).filter("n > 1").drop("n")
+    links = parts.join(least, "part").filter("component <> least").select(F.col("component").alias("a"), F.col("least").alias("b"))
+    found = components(links).select(F.col("node").alias("of"), F.col("component").alias("whole"))
+    joined = rows.join(found, F.col("component") == F.col("of"), "left")
+    return joined.select("id", "text_key", F.coalesce("whole", "component").alias("component"))
+
+
+def drop_near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", shingle: int = 5, most: int = MOST_BITS, similarity: float | None = 0.8, beyond: float | None = None) -> DataFrame:
     """The rows of ``docs`` without all but one of each group of near copies: the one of the smallest id stays.
 
     With ``similarity``, near copies are texts of that Jaccard similarity of shingles or more, exactly; without, of
-    fingerprints of ``most`` or fewer differing bits.
+    fingerprints of ``most`` or fewer differing bits, and with ``beyond`` also those of that Jaccard similarity or more
+    whose fingerprints are farther apart: a group is what links of both kinds connect.
 
     Rows of a null id are not compared, and stay.  Unlike texts of one id are documents of their
     own; of rows of one id and equal texts (a null text is an empty one) one stays.  No rows give no
@@ -271,7 +285,11 @@ def drop_near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column
     own = docs.select(F.col(f"`{id_column}`").cast("long").alias("id"), F.col(f"`{text_column}`").cast("string").alias("text")).filter("id IS NOT NULL")
     if similarity is None:
         rows = fingerprints(own, "id", "text", shingle, keyed=True)
-        found = representatives(rows.join(_component_of(rows, most), F.col("fp") == F.col("of_fp")).select(F.col("part").alias("component"), "id", "text_key"))
+        groups = rows.join(_component_of(rows, most), F.col("fp") == F.col("of_fp")).select("id", "text_key", F.col("part").alias("component"))
+        if beyond is not None:
+            release(docs)
+            groups = _connected(groups, jaccard_components(own, shingle, beyond))
+        found = representatives(groups)
     else:
         found = jaccard_representatives(own, shingle, similarity)
     kept = durable(found.select(F.col("id").alias("__kept_id"), F.col("text_key").alias("__kept_key")))
