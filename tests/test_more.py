@@ -145,3 +145,23 @@ def test_items_without_weight_in_experiments(spark):
     header = workloads.sketches(more, 2, 5, "priority").header.collect()
     assert {(r.n_seen, r.total_weight) for r in header} == {(42, sum(w for _, _, w in rows))}
     sk.release_cached()
+
+
+def test_source_gives_weights_to_a_table(spark):
+    """The rows' own weights, in partitions of several ranges, wherever the ids are; repeated ids have a row each and a null one has no weight."""
+    import hashlib
+
+    from subweight.sources import pareto
+
+    ids = [*range(5), 70_000, 70_001, 70_001, -3, 1 << 40, None]
+    got = pareto.weights_of(spark.createDataFrame([(i,) for i in ids], "o_orderkey long"), "o_orderkey", 2.0).collect()
+    u = lambda i: (int(hashlib.md5(f"pareto|{i}".encode()).hexdigest()[:13], 16) + 0.5) / 2.0**52
+    want = [(i, None if i is None else (1 - u(i)) ** -0.5) for i in ids]
+    assert sorted(got, key=str) == sorted(want, key=str)
+    assert pareto.weights_of(spark.createDataFrame([], "o_orderkey long"), "o_orderkey", 2.0).count() == 0
+    reader = pareto._Reader({"ranges": "0:9,20:24"})
+    reader.part = 4
+    parts = reader.partitions()
+    assert [i for p in parts for a, b in p.ranges for i in range(a, b)] == [*range(10), *range(20, 25)]
+    assert max(sum(b - a for a, b in p.ranges) for p in parts) == 4
+    assert [b.num_rows for b in reader.read(pareto._Part([(0, 5)]), most=2)] == [2, 2, 1]
