@@ -42,6 +42,8 @@ CLASS_ROWS, MEMBER_ROWS = 1 << 12, 1 << 14
 ROUNDS, BATCH, RATE, STEP = 3, 8192, 0.15, 1 << 19
 #: Fewest training tokens after a pair of words that has sparse weights; the weight of their squares; their gradient steps, and the longest one.
 LEAST_SEEN, RIDGE, PAIR_STEPS, LONGEST_STEP = 2, 0.25, 12, 1.0
+#: Rows of a segment up to which they are added without reduceat, which is slow on short segments.
+FEW = 8
 #: What the squares of gradients start from: larger, and rarely used weights move less.
 DAMPING = 0.01
 #: Stands for the ends of texts among the words of a block, in a question of its own level; no word has a newline.
@@ -128,10 +130,19 @@ def _softmax(x: np.ndarray) -> np.ndarray:
 
 
 def _sums(values: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """Sums of the rows of each segment; most segments have one row."""
+    """Sums of the rows of each segment; most segments have few rows, which are added turn by turn in the order that reduceat has."""
     size = np.diff(first, append=len(values))
     out = values[first]
-    many = size > 1
+    few = np.flatnonzero((size > 1) & (size <= FEW))
+    if len(few):
+        few = few[np.argsort(-size[few], kind="stable")]  # the longest first
+        at, n = first[few], size[few]
+        rest = values[at + 1]
+        for turn in range(2, int(n[0])):
+            k = np.searchsorted(-n, -turn)
+            rest[:k] += values[at[:k] + turn]
+        out[few] += rest
+    many = size > FEW
     if many.any():
         starts = np.cumsum(size[many]) - size[many]
         out[many] = np.add.reduceat(values[np.repeat(many, size)], starts, axis=0)
