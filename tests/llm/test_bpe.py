@@ -1,5 +1,6 @@
 import base64
 import random
+import sys
 
 import public_tokenizers as P
 import pytest
@@ -36,6 +37,48 @@ def test_leftmost_of_equal_ranks():
     assert bpe.merge(b"aaaaa", ranks) == [1, 1, 107]
 
 
+def plain(piece, ranks):
+    """One pair after the other, by looking at all."""
+    parts = [piece[i : i + 1] for i in range(len(piece))]
+    while True:
+        found = [(ranks[a + b], i) for i, (a, b) in enumerate(zip(parts, parts[1:], strict=False)) if a + b in ranks]
+        if not found:
+            return [ranks[x] for x in parts]
+        i = min(found)[1]
+        parts[i : i + 2] = [parts[i] + parts[i + 1]]
+
+
+@pytest.mark.parametrize("fan", [2, 3, 32])
+def test_trees_of_any_depth(monkeypatch, fan):
+    monkeypatch.setattr(bpe, "FAN", fan, raising=False)
+    rng = random.Random(fan)
+    made = {bytes(rng.choices(b"abc", k=rng.randint(2, 6))) for _ in range(150)}
+    ranks = {x: i for i, x in enumerate([*rng.sample(sorted(made), len(made)), b"a", b"b", b"c"])}
+    for n in [*range(1, 70), 95, 96, 97, 300, 1023, 1024, 1025]:
+        piece = bytes(rng.choices(b"abc", k=n))
+        assert bpe.merge(piece, ranks) == ([ranks[piece]] if piece in ranks else plain(piece, ranks)), piece
+
+
+def test_ordinary_pieces_are_merged_without_calls(lines):
+    """The time a GB hangs on this: a node's least is found by one built-in call, not by a climb in Python for each changed leaf."""
+    ranks, calls = bpe.load_ranks(lines), []
+    sys.setprofile(lambda frame, event, _: calls.append(frame.f_code.co_name) if event == "call" else None)
+    try:
+        ids = bpe.merge(b" hehaoninchpfbelichen", ranks)
+    finally:
+        sys.setprofile(None)
+    assert ids == plain(b" hehaoninchpfbelichen", ranks) and calls == ["merge"]
+
+
+def test_repeats_after_full_memory(lines, monkeypatch):
+    monkeypatch.setattr(bpe, "MOST_REMEMBERED", 600)
+    merged, merge = [], bpe.merge
+    monkeypatch.setattr(bpe, "merge", lambda piece, ranks: merged.append(piece) or merge(piece, ranks))
+    own = bpe.Encoder(bpe.load_ranks(lines), P.PATTERN)
+    own.encode(" aq bq cq dq eq fq" + " gq" * 50)
+    assert merged.count(b" gq") == 1
+
+
 def test_bounded_memory(lines, monkeypatch):
     monkeypatch.setattr(bpe, "MOST_REMEMBERED", 600)
     ranks = bpe.load_ranks(lines)
